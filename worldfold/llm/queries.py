@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from worldfold.llm import fingerprints, langid, linededup, mixing, packing, pii, sharding, simhash, tiff
+from worldfold.llm import fingerprints, langid, linededup, mixing, packing, pii, secrets, sharding, simhash, tiff
 
 QUERIES = {
     "op1_mix_sources": mixing.op1_mix_sources,
@@ -13,7 +13,8 @@ QUERIES = {
     "op6_sharding": sharding.op6_sharding,
     "op7_line_dedup": linededup.op7_line_dedup,
     "op8_tiff": tiff.op8_tiff,
+    "op9_secrets": secrets.op9_secrets,
     "op10_language": langid.op10_language,
 }
 
-ORACLES = {"op1_mix_sources": mixing.ORACLE, "op7_line_dedup": linededup.ORACLE}
+ORACLES = {"op1_mix_sources": mixing.ORACLE, "op7_line_dedup": linededup.ORACLE, "op9_secrets": secrets.oracle()}

@@ -21,8 +21,9 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType
 
-from worldfold.llm.common import cut, documents
+from worldfold.llm.common import cut, documents, small_batches
 
 #: The base pivot is 0, the others 3 << 2b; a section is a run of bit pairs.
 PAIRS = 32
@@ -211,3 +212,220 @@ def groups(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int
 
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return groups(documents(spark, sf_dir))
+
+
+# ---- near copies by similarity: wide fingerprints, candidates by fingerprints of small samples
+
+#: Bits of the wide fingerprint, and the most that may differ. At a Jaccard similarity of 0.8 some 39 of 256 differ
+#: (deviation 6), at 0.6 some 59.
+WIDE, WIDE_RADIUS = 256, 56
+SIMILAR = 0.8
+#: Samples of a text and shingles in each: two texts of similarity s agree in a sample with chance s**SAMPLED.
+SAMPLES, SAMPLED = 12, 3
+LEVELS = 3
+
+
+def _wide(h: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Wide fingerprints (texts x WIDE/64) of shingle hashes ``h``; those of text i are h[at[i]:at[i + 1]]."""
+    lanes = WIDE // 64
+    out = np.zeros((len(at) - 1, lanes), np.uint64)
+    for k in range(lanes):
+        m = _remix(h, 2 * k + 1)
+        for i in range(len(at) - 1):
+            n = at[i + 1] - at[i]
+            if n:
+                total = np.zeros(64, np.int64)
+                for a in range(at[i], at[i + 1], 1 << 16):
+                    part = m[a : min(at[i + 1], a + (1 << 16))]
+                    total += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int32)
+                out[i, k] = np.packbits(total * 2 > n, bitorder="little").view("<u8")[0]
+    return out
+
+
+def _remix(h: np.ndarray, seed: int) -> np.ndarray:
+    x = h ^ np.uint64(seed * 0x9E3779B97F4A7C15 & (2**64 - 1))
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def _samples(h: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Fingerprints (texts x SAMPLES) of the shingles that come first in SAMPLED orders each; texts without shingles: 0."""
+    out = np.zeros((len(at) - 1, SAMPLES), np.uint64)
+    some = np.flatnonzero(at[1:] > at[:-1])
+    if len(some):
+        for t in range(SAMPLES):
+            key = np.zeros(len(some), np.uint64)
+            for j in range(SAMPLED):
+                least = np.minimum.reduceat(_remix(h, 1000 + t * SAMPLED + j), at[some])
+                key = _remix(key + least, j + 1)
+            out[some, t] = key
+    return out
+
+
+def wide_fingerprints(docs: DataFrame, keep: list[str], text: str = "text", words: int = 5) -> DataFrame:
+    """``keep`` columns, ``wide`` (the fingerprint as longs) and ``samples`` (a long each) of whole texts."""
+    from worldfold.llm.fingerprints import _parts, shingle_hashes
+
+    schema = docs.select(*keep).schema.add("wide", ArrayType(LongType())).add("samples", ArrayType(LongType()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = [(x.as_py() or "").encode() for x in b.column(0)]
+            wide, samples = [], []
+            for part in _parts(texts):
+                ends = np.cumsum(np.fromiter(map(len, part), np.int64, len(part)))
+                h, owner = shingle_hashes(np.frombuffer(b"".join(part), np.uint8), ends, words)
+                order = np.argsort(owner, kind="stable")
+                h = h[order]
+                at = np.concatenate(([0], np.cumsum(np.bincount(owner, minlength=len(part))))).astype(np.int64)
+                wide.append(_wide(h, at))
+                samples.append(_samples(h, at))
+            both = [pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(x).ravel().view(np.int64)), n).cast(pa.list_(pa.int64())) for x, n in ((wide, WIDE // 64), (samples, SAMPLES))]
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], *both], names=[*keep, "wide", "samples"])
+
+    return docs.select(F.col(text).alias("__text"), *keep).mapInArrow(run, schema)
+
+
+def _near(a: str, b: str):
+    """Whether two wide fingerprints are within the radius."""
+    differ = F.zip_with(a, b, lambda x, y: F.bit_count(x.bitwiseXOR(y)))
+    return F.aggregate(differ, F.lit(0), lambda s, x: s + x) <= WIDE_RADIUS
+
+
+def near_links(nodes: DataFrame, group: int = GROUP) -> DataFrame:
+    """Links (a, b) that connect nodes (id, wide, samples) whose wide fingerprints are within the radius.
+
+    Candidates share a sample's fingerprint. In groups of up to ``group`` nodes pairs are discarded by a pivot table of
+    distances to members, then verified, and a spanning set is kept. In a larger group all nodes are verified against
+    its smallest one; those that are not near it go on to groups that agree in two samples, and so on for LEVELS levels.
+    """
+    rows = nodes.select("id", "wide", F.posexplode("samples").alias("t", "key"), "samples")
+    found = None
+    for level in range(LEVELS):
+        sizes = rows.groupBy("t", "key").agg(F.count("*").alias("n"), F.min(F.struct("id", "wide")).alias("first")).where("n > 1")
+        met = cut(rows.join(sizes, ["t", "key"]))
+        small = met.where(F.col("n") <= group).select("t", "key", "id", "wide")
+        more = small.repartition("t", "key").sortWithinPartitions("t", "key", "id").mapInArrow(_group_links, "a long, b long")
+        large = met.where((F.col("n") > group) & (F.col("id") != F.col("first.id"))).withColumn("near", _near("wide", "first.wide"))
+        more = more.unionByName(large.where("near").select(F.col("first.id").alias("a"), F.col("id").alias("b")))
+        found = more if found is None else found.unionByName(more)
+        rows = large.where("not near")
+        again = F.transform(F.sequence(F.lit(1), F.lit(4)), lambda j: F.xxhash64("key", j, F.element_at("samples", (F.pmod(F.col("t") + j * (3 ** level), F.lit(SAMPLES)) + 1).cast("int"))))
+        if level + 1 == LEVELS or rows.isEmpty():
+            break
+        rows = rows.select("id", "wide", "t", F.explode(again).alias("key"), "samples")
+    return found.distinct()
+
+
+def _group_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Spanning links of groups; rows come sorted by group, a group at a time is held."""
+    held: list[pa.RecordBatch] = []
+    rows = 0
+
+    def flush(table: pa.Table) -> pa.RecordBatch:
+        t, key, node = (table.column(c).to_numpy() for c in ("t", "key", "id"))
+        flat = table.column("wide").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(t), -1).view(np.uint64) if len(t) else np.zeros((0, WIDE // 64), np.uint64)
+        edge = np.flatnonzero(np.concatenate(([True], (t[1:] != t[:-1]) | (key[1:] != key[:-1]), [True]))) if len(t) else []
+        out = [np.empty((0, 2), np.int64), *[_wide_span(node[s:e], flat[s:e]) for s, e in zip(edge[:-1], edge[1:], strict=True) if e - s > 1]]
+        both = np.concatenate(out)
+        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
+
+    for b in batches:
+        held.append(b)
+        rows += b.num_rows
+        if rows > 5 * GROUP:
+            table = pa.Table.from_batches(held).combine_chunks()
+            t, key = table.column("t").to_numpy(), table.column("key").to_numpy()
+            last = int(np.flatnonzero((t != t[-1]) | (key != key[-1])).max(initial=-1)) + 1
+            yield flush(table.slice(0, last).combine_chunks())
+            held, rows = table.slice(last).to_batches(), len(t) - last
+    if rows:
+        yield flush(pa.Table.from_batches(held).combine_chunks())
+
+
+def _wide_span(node: np.ndarray, wide: np.ndarray) -> np.ndarray:
+    distance = lambda x, y: np.bitwise_count(x ^ y).sum(-1, dtype=np.int16)
+    pivots = wide[np.linspace(0, len(wide) - 1, min(8, len(wide))).astype(int)]
+    columns = np.stack([distance(wide, p) for p in pivots], axis=1)
+    parent = np.arange(len(node))
+
+    def root(i: int) -> int:
+        while parent[i] != i:
+            parent[i] = parent[parent[i]]
+            i = parent[i]
+        return i
+
+    pairs = []
+    for i in range(len(node) - 1):
+        at = np.flatnonzero(np.abs(columns[i + 1 :] - columns[i]).max(1) <= WIDE_RADIUS) + i + 1
+        d = distance(wide[at], wide[i])
+        pairs.append(np.stack([d, np.full(len(at), i), at], axis=1)[d <= WIDE_RADIUS])
+    pairs = np.concatenate(pairs)
+    out = []
+    for _, i, j in pairs[np.argsort(pairs[:, 0], kind="stable")].tolist():  # closest first: links that hold are kept
+        a, b = root(i), root(j)
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+            out.append((node[i], node[j]))
+    return np.array(out, np.int64).reshape(-1, 2)
+
+
+def shingle_sets(docs: DataFrame, keep: list[str], text: str = "text", words: int = 5) -> DataFrame:
+    """``keep`` columns and ``shingles``, the sorted different hashes of the whole text's shingles."""
+    from worldfold.llm.fingerprints import shingle_hashes
+
+    schema = docs.select(*keep).schema.add("shingles", ArrayType(LongType()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            sets = []
+            for t in b.column(0):
+                raw = (t.as_py() or "").encode()
+                sets.append(np.unique(shingle_hashes(np.frombuffer(raw, np.uint8), np.array([len(raw)]), words)[0]).view(np.int64))
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], pa.array(sets, pa.list_(pa.int64()))], names=[*keep, "shingles"])
+
+    return docs.select(F.col(text).alias("__text"), *keep).mapInArrow(run, schema)
+
+
+def verified(links: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame:
+    """The links whose texts have at least ``similar`` of their shingles in common, by their exact sets.
+
+    Only texts that have a link are read again: ``base`` holds key, h, text, and ``nodes`` names one text a node.
+    """
+    some = links.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    one = nodes.join(some, "id").select("id", F.col("first.key").alias("k"), F.col("first.h").alias("hh"))
+    texts = base.join(one, F.col("key").eqNullSafe(F.col("k")) & (F.col("h") == F.col("hh"))).select("id", "text")
+    sets = cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
+    both = links.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
+    common = F.size(F.array_intersect("sa", "sb"))
+    return both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
+
+
+def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5) -> DataFrame:
+    """``docs`` without all but the first (smallest key) of each group of exact or near copies, similarity 0.8 or more.
+
+    Equal wide fingerprints are one node (exact copies among them); nodes are linked by ``near_links``, links are held
+    against the exact shingle sets, and groups are what links connect. Texts without words are all alike. Of repeated rows one stays. Columns are those of ``docs``.
+    """
+    h = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+    base = docs.select(F.col(key).alias("key"), F.col(text).alias("text"), h.alias("h"))
+    with small_batches(docs.sparkSession):
+        marked = cut(wide_fingerprints(base, ["key", "h"], "text", words))
+    nodes = marked.groupBy("wide").agg(F.min(F.struct("key", "h")).alias("first"), F.first("samples").alias("samples"))
+    nodes = cut(nodes.withColumn("id", F.xxhash64("wide")))
+    roots = components(verified(cut(near_links(nodes)), nodes, base, words))
+    of = nodes.join(roots, nodes.id == roots.node, "left").select("id", "first", F.coalesce("root", "id").alias("root"))
+    best = of.groupBy("root").agg(F.min("first").alias("first"))
+    kept = cut(best.select("first.key", "first.h"))
+    # what goes is listed, as it is less than what stays; repeated rows of what stays are made one
+    row = marked.groupBy("key", "h").agg(F.count("*").alias("n"))
+    k = kept.select(F.col("key").alias("k2"), F.col("h").alias("h2"))
+    row = cut(row.join(k, F.col("key").eqNullSafe(F.col("k2")) & (F.col("h") == F.col("h2")), "left").where("n > 1 or h2 is null").withColumn("stays", F.col("h2").isNotNull()).select(F.col("key").alias("__k"), F.col("h").alias("__h"), "stays"))
+    same = F.col(key).eqNullSafe(F.col("__k")) & (F.col("__hash") == F.col("__h"))
+    with_hash = docs.withColumn("__hash", h)
+    out = with_hash.join(row, same, "left_anti").select(*docs.columns)
+    again = row.where("stays")
+    if not again.isEmpty():
+        out = out.unionByName(with_hash.join(again, same, "left_semi").dropDuplicates([key, "__hash"]).select(*docs.columns))
+    return out
