@@ -14,19 +14,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from worldfold.llm.common import buckets_for, cut, documents, running
+from worldfold.llm.common import buckets_for, cut, documents, running, small_batches
 
 LENGTH = 2048
-#: Words kept with their ids in a worker; the table is emptied when it is full.
-KEPT_WORDS = 300_000
-
 
 class Encoder:
-    """Byte-level BPE ids as little-endian 32-bit bytes.
-
-    A single space before a non-space always starts a new unit of this vocabulary's splitting pattern, so words are
-    looked up one by one and only those not met before are encoded, all of them in one call.
-    """
+    """Byte-level BPE ids as little-endian 32-bit bytes, by the faster of two libraries that hold the same vocabulary."""
 
     def __init__(self, ranks_path: str | None = None, json_path: str | None = None):
         import public_tokenizers
@@ -34,49 +27,18 @@ class Encoder:
 
         ranks = {base64.b64decode(a): int(b) for a, b in (line.split() for line in open(ranks_path or public_tokenizers.path("byte_bpe_50k.tiktoken"), "rb"))}
         self.fast = tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
-        self.width = np.zeros(max(ranks.values()) + 1, np.int64)
-        for k, v in ranks.items():
-            self.width[v] = len(k)
         self.json_path = json_path or public_tokenizers.path("byte_bpe_50k.json")
         self.full = None
-        self.known: dict[str, bytes] = {}
 
-    def whole(self, text: str) -> bytes:
-        """Text with the special token's string: that string is one id."""
-        if self.full is None:
+    def __call__(self, text: str) -> bytes:
+        if "<|endoftext|>" not in text:
+            return np.array(self.fast.encode_ordinary(text), "<u4").tobytes()
+        if self.full is None:  # the special token's string is one id, which only this library gives
             from tokenizers import Tokenizer
 
             self.full = Tokenizer.from_file(self.json_path)
         return np.array(self.full.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def learn(self, words: list[str]) -> None:
-        ids = np.array(self.fast.encode_ordinary("".join(words)), "<u4")
-        ends = np.searchsorted(np.cumsum(self.width[ids]), np.cumsum([len(w.encode()) for w in words])) + 1
-        raw, at = ids.tobytes(), 0
-        for w, e in zip(words, ends.tolist(), strict=True):
-            self.known[w] = raw[4 * at : 4 * e]
-            at = e
-
-    def __call__(self, text: str) -> bytes:
-        if "<|endoftext|>" in text:
-            return self.whole(text)
-        if not text:
-            return b""
-        parts = text.split(" ")
-        # a space next to other white space belongs to it: such texts are not cut at spaces
-        if "" in parts[1:] or any(w[0].isspace() or w[-1].isspace() for w in parts if w) or text[0] == " ":
-            return np.array(self.fast.encode_ordinary(text), "<u4").tobytes()
-        words = [parts[0], *[" " + w for w in parts[1:]]]
-        known = self.known
-        if new := [w for w in dict.fromkeys(words) if w not in known]:
-            if len(known) + len(new) > KEPT_WORDS:
-                known.clear()
-                new = list(dict.fromkeys(words))
-            if max(map(len, new)) > 1000 or len(new) > KEPT_WORDS:
-                return np.array(self.fast.encode_ordinary(text), "<u4").tobytes()
-            self.learn(new)
-        return b"".join([known[w] for w in words])
-
 
 @lru_cache(2)
 def encoder(ranks_path: str | None = None, json_path: str | None = None) -> Encoder:
@@ -179,7 +141,8 @@ def pack(docs: DataFrame, key: str = "doc_id", text: str = "text", length: int =
     ignored.
     """
     spark = docs.sparkSession
-    p = cut(pieces(docs, key, text, length, end_id, **paths))
+    with small_batches(spark):
+        p = cut(pieces(docs, key, text, length, end_id, **paths))
     histogram = {r["length"]: r["n"] for r in p.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `length` rows
     table = spark.sparkContext.broadcast(places(patterns(histogram, length)))
     n = buckets_for(sum(histogram.values()))
