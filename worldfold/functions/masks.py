@@ -44,8 +44,8 @@ def _balanced(parts, ctx: QueryContext, word: int) -> Column:
         return h
     if ctx.balance == "complement":
         return h.bitwiseAND(F.lit(LOW32)).bitwiseOR(F.shiftleft(F.bitwise_not(h).bitwiseAND(F.lit(LOW32)), 32))
-    draw = lambda j: F.struct(F.xxhash64(*parts, F.lit(f"{ctx.key}#{word}"), j), j)
-    order = F.transform(F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(63)), draw)), lambda x: x.getField("col2"))
+    draw = lambda j: F.struct(F.xxhash64(*parts, F.lit(f"{ctx.key}#{word}"), j).alias("h"), j.alias("j"))
+    order = F.transform(F.array_sort(F.transform(F.sequence(F.lit(0), F.lit(63)), draw)), lambda x: x["j"])
     bit = lambda j: F.call_function("shiftleft", F.lit(1).cast("long"), j)
     if ctx.balance == "exact":
         return F.aggregate(F.slice(order, 1, 32), F.lit(0).cast("long"), lambda a, j: a.bitwiseOR(bit(j)))

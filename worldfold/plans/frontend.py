@@ -37,6 +37,7 @@ def _tree(flat: list[dict]) -> dict:
 class Reader:
     def __init__(self):
         self.ctes: dict[int, ir.Node] = {}
+        self.common: dict[str, object] = {}
         self.fresh = -1
 
     def new_id(self) -> int:
@@ -78,6 +79,12 @@ class Reader:
             return ir.Sub("in", sub.plan, sub.outer, tuple(parts[:-1]))
         if c in ("Cast", "AnsiCast"):
             return ir.Call("Cast", (self._expr(kids[0]),), (e["dataType"] if isinstance(e["dataType"], str) else "complex",))
+        if c == "With":  # a value that is used more than once, such as the middle of BETWEEN
+            for d in kids[1:]:
+                self.common[str(d["id"])] = self._expr(d["kids"][0])
+            return self._expr(kids[0])
+        if c == "CommonExpressionRef":
+            return self.common[str(e["id"])]
         if c in ("WindowExpression",):
             return ir.Call("?Window", tuple(self._expr(k) for k in kids))
         if c in ("Murmur3Hash", "Rand", "Randn", "PythonUDF", "ScalaUDF"):
