@@ -68,6 +68,15 @@ def world_moments(mask: ColumnOrName, expr: ColumnOrName, worlds: int = 64, kind
     return _each(mask, worlds, lambda b: f(F.when(b, e)))
 
 
+def by_name(fn: str, mask: str, column: str | None, worlds: int = 64) -> Column:
+    """Any of the aggregates above over named columns."""
+    if fn == "count":
+        return world_count(mask, column, worlds)
+    if fn in ("sum", "avg", "min", "max"):
+        return {"sum": world_sum, "avg": world_avg, "min": world_min, "max": world_max}[fn](mask, column, worlds)
+    return world_moments(mask, column, worlds, fn)
+
+
 def touched(mask: ColumnOrName, expr: ColumnOrName | None = None) -> Column:
     """Worlds (a long) that at least one row, with a value where ``expr`` is given, has reached."""
     m = _col(mask)

@@ -19,6 +19,7 @@ from worldfold.functions import aggregates as A
 from worldfold.functions import lift as L
 from worldfold.functions.masks import world_mask
 from worldfold.functions.release import release
+from worldfold.operators import vectorized as V
 from worldfold.plans import ir
 from worldfold.plans.expressions import COMPARE, FLIPPED, NotExpressible, to_column
 from worldfold.sources.catalog import UnitCatalog
@@ -58,10 +59,10 @@ def name(i: int) -> str:
 
 
 class Rewriter:
-    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = False, share_sums: bool = True):
+    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = False, share_sums: bool = True, strategy: str = "kernel"):
         """``mode``: "release", "vectors" (for tests; shows what must stay hidden) or "plain" (unit joins, plain aggregates)."""
         self.spark, self.catalog, self.ctx, self.mode = spark, catalog, ctx, mode
-        self.null_draw, self.share_sums = null_draw, share_sums
+        self.null_draw, self.share_sums, self.strategy = null_draw, share_sums, strategy
         self.fresh = count(1_000_000_000)
         self.joins_added = self.cells = self.releases = 0
         self.formal = True
@@ -442,37 +443,44 @@ class Rewriter:
 
     def worlds(self, rel: Rel, keys: list, key_cols: list, aggs: list[ir.Agg], ids: dict, attrs: list, origin: dict) -> Rel:
         """World aggregates of a sensitive relation by unprotected keys. Sums and counts that averages need are shared."""
-        w, cols, vectors, shared = self.ctx.worlds, [], {}, {}
+        w, vectors = self.ctx.worlds, {}
         distinct = [a for a in aggs if a.distinct and a.fn in ("count", "sum", "avg")]
         df = rel.df.withColumns({name(i): c for (i, _), c in zip(keys, key_cols, strict=True)}) if keys else rel.df
-        types = dict(df.select(*[self.argument(a, rel).alias(name(ids[a])) for a in aggs if self.argument(a, rel) is not None]).dtypes) if any(self.argument(a, rel) is not None for a in aggs) else {}
+        read: dict[str, str] = {}  # arguments become columns, each once
+        new, wanted = {}, []
         for a in aggs:
-            out = name(ids[a])
             if a in distinct:
                 continue
             e = self.argument(a, rel)
-            if e is not None and a.fn in ("min", "max") and types[out] in ("string", "binary", "boolean"):
-                raise Rejected("UNSUPPORTED_AGG", f"{a.fn} of {types[out]}")
-            if e is not None and types[out].startswith(("timestamp", "date")):
-                e = F.unix_micros(e.cast("timestamp")) / 1e6 if types[out].startswith("timestamp") else F.unix_date(e)
-            if a.fn == "count":
-                v = A.scaled(A.world_count(MASK, e, w), self.ctx)
-            elif a.fn == "sum":
-                v = A.scaled(A.world_sum(MASK, e, w), self.ctx)
-            elif a.fn == "avg":
-                v = A.world_avg(MASK, e, w)
-            elif a.fn in ("min", "max"):
-                v = (A.world_min if a.fn == "min" else A.world_max)(MASK, e, w)
-            else:
-                v = A.world_moments(MASK, e, w, a.fn)
-            t = str(e) if e is not None else "*"
-            if w == 64 and t not in shared:
-                shared[t] = f"__t{self.new()}"
-                cols.append(A.touched(MASK, e).alias(shared[t]))
-            cols.append(v.alias(out))
-            vectors[ids[a]] = Vector(a.fn, shared.get(t))
+            if e is not None and str(e) not in read:
+                read[str(e)] = f"__a{len(read)}"
+                new[read[str(e)]] = e
+            wanted.append((a, None if e is None else read[str(e)]))
+        df = df.withColumns(new) if new else df
+        types = dict(df.dtypes)
+        for a, c in wanted:
+            if c and a.fn in ("min", "max") and types[c] in ("string", "binary", "boolean"):
+                raise Rejected("UNSUPPORTED_AGG", f"{a.fn} of {types[c]}")
+            if c and types[c].startswith(("timestamp", "date")) and a.fn != "count":
+                df = df.withColumn(c, F.unix_micros(F.col(c).cast("timestamp")) / 1e6 if types[c].startswith("timestamp") else F.unix_date(c).cast("double"))
+                types = dict(df.dtypes)
         by = [name(i) for i, _ in keys]
-        out_df = df.groupBy(*by).agg(*cols) if cols else None
+        specs = V.specs_of(df, [(name(ids[a]), a.fn, c) for a, c in wanted]) if self.strategy == "kernel" and w == 64 else None
+        out_df = None
+        if wanted and specs is not None:
+            out_df, touched = V.aggregate(df, by, MASK, specs)
+            vectors = {ids[a]: Vector(a.fn, touched[name(ids[a])]) for a, _ in wanted}
+        elif wanted:
+            cols, shared = [], {}
+            for a, c in wanted:
+                if w == 64 and c not in shared:
+                    shared[c] = f"__t{self.new()}"
+                    cols.append(A.touched(MASK, c).alias(shared[c]))
+                cols.append(A.by_name(a.fn, MASK, c, w).alias(name(ids[a])))
+                vectors[ids[a]] = Vector(a.fn, shared.get(c))
+            out_df = df.groupBy(*by).agg(*cols)
+        doubled = {name(ids[a]): A.scaled(F.col(name(ids[a])), self.ctx) for a, _ in wanted if a.fn in ("sum", "count")}
+        out_df = out_df.withColumns(doubled) if doubled else out_df
         for a in distinct:  # a value counts once in each world that has it
             if a.fn != "count":
                 raise Rejected("UNSUPPORTED_AGG", f"{a.fn} of distinct values")

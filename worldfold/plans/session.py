@@ -47,9 +47,12 @@ class PrivateSession:
             return Verdict("reject", x.reason, x.node)
         return self._classify(plan)
 
+    def passes(self, plan: ir.Node) -> bool:
+        """No unit data is read."""
+        return not any(isinstance(n, ir.Scan) and self.catalog.sensitive(n.table) or isinstance(n, ir.Unsupported) and n.what == "RECURSION" for n in ir.walk(plan))
+
     def _classify(self, plan: ir.Node) -> Verdict:
-        nodes = list(ir.walk(plan))
-        if not any(isinstance(n, ir.Scan) and self.catalog.sensitive(n.table) for n in nodes) and not any(isinstance(n, ir.Unsupported) and n.what == "RECURSION" for n in nodes):
+        if self.passes(plan):
             return Verdict("pass")
         r = Rewriter(self.spark, self.catalog, QueryContext.new(0, **self.options), null_draw=self.null_draw)
         try:
@@ -61,7 +64,7 @@ class PrivateSession:
     def rewrite(self, sql: str, ctx: QueryContext | None = None, mode: str = "release") -> DataFrame:
         """The rewritten query, lazily. Pass-through queries come back as they are; others raise ``Rejected``."""
         plan, df = parse(self.spark, sql)
-        if self._classify(plan).kind == "pass":
+        if self.passes(plan):
             return df
         r = Rewriter(self.spark, self.catalog, ctx or self.context(), mode, self.null_draw)
         return r.finish(r.node(plan))
@@ -69,7 +72,7 @@ class PrivateSession:
     def sql(self, text: str, ctx: QueryContext | None = None) -> DataFrame:
         """Released rows. They are computed once and kept, their cells are counted and charged, and only then given out."""
         plan, df = parse(self.spark, text)
-        if self._classify(plan).kind == "pass":
+        if self.passes(plan):
             return df
         ctx = ctx or self.context()
         r = Rewriter(self.spark, self.catalog, ctx, "release", self.null_draw)
