@@ -2,8 +2,9 @@
 
 64 worlds times a dozen aggregates are too many buffers for generated code: it is compiled for seconds and then runs
 uncompiled. A kernel adds a batch of values times its bit matrix instead, for all aggregates at once. A task keeps one
-state a group and gives it out when it ends, or when it holds many; states of one group then meet in sorted order and
-are merged as they stream by, so neither side holds more than a bounded number of groups.
+state a group and gives it out when it ends, or when it holds many. A batch in which most rows are of different groups
+is passed on as it is, since its states would be larger than its rows. States and rows of one group then meet in sorted
+order and are merged as they stream by, so neither side holds more than a bounded number of groups.
 """
 
 from __future__ import annotations
@@ -13,7 +14,9 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import ArrayType, DoubleType, LongType, StructType
 
 from worldfold.operators.kernels import WORLDS, bits
@@ -21,6 +24,8 @@ from worldfold.operators.kernels import WORLDS, bits
 #: Groups a task holds before it gives them out.
 HELD = 8192
 WHOLE = ("tinyint", "smallint", "int", "bigint")
+#: Rows a group must have in a batch, on average, for states to be made before the shuffle.
+DENSE = 16
 #: Up to so many groups in a batch are multiplied one by one; more are summed as outer products.
 FEW = 48
 
@@ -110,8 +115,8 @@ def _top(whole: bool):
     return np.iinfo(np.int64).max if whole else np.inf
 
 
-def _partial(b: pa.RecordBatch, keys: list[str], state: _State) -> None:
-    t = pa.Table.from_batches([b])
+def _partial(t: pa.Table | pa.RecordBatch, keys: list[str], state: _State) -> None:
+    t = pa.Table.from_batches([t]) if isinstance(t, pa.RecordBatch) else t
     group, first = _codes(t, keys)
     order = np.argsort(group, kind="stable")
     starts = np.concatenate(([0], np.flatnonzero(np.diff(group[order])) + 1))
@@ -168,8 +173,7 @@ def _partial(b: pa.RecordBatch, keys: list[str], state: _State) -> None:
     state.add(names, out, touched)
 
 
-def _merge(b: pa.RecordBatch, keys: list[str], state: _State) -> None:
-    t = pa.Table.from_batches([b])
+def _merge(t: pa.Table, keys: list[str], state: _State) -> None:
     group, first = _codes(t, keys)
     order = np.argsort(group, kind="stable")
     starts = np.concatenate(([0], np.flatnonzero(np.diff(group[order])) + 1))
@@ -193,32 +197,44 @@ def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> t
     Returns the name of the touched column for each spec's output, too. Without keys there is one row even for no input.
     """
     columns = list(dict.fromkeys(s.column for s in specs))
-    small = df.select(*keys, df[mask].alias("__mask"), *[c for c in columns if c is not None]).where("__mask IS NOT NULL")
-    schema = StructType(small.select(*keys).schema.fields)
+    small = df.select(*keys, df[mask].alias("__mask"), *[c for c in columns if c is not None and c not in keys]).where("__mask IS NOT NULL")
+    raw = [c for c in small.columns if c not in keys]
+    schema = StructType(list(small.schema.fields))
     for s in specs:
         schema = schema.add(s.out, ArrayType(LongType() if s.whole else DoubleType()))
     for i in range(len(columns)):
         schema = schema.add(f"__touched{i}", LongType())
 
+    result = StructType([f for f in schema.fields if f.name not in raw])
+    arrow = to_arrow_schema(schema)
+
+    def wide(b: pa.RecordBatch) -> pa.RecordBatch:
+        """The columns that a batch of rows or of states lacks, as nulls."""
+        return pa.RecordBatch.from_arrays([b.column(b.schema.get_field_index(f.name)) if f.name in b.schema.names else pa.nulls(b.num_rows, f.type) for f in arrow], schema=arrow)
+
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        state, fields = _State(specs), None
+        state, fields = _State(specs), [arrow.field(k) for k in keys]
         for b in batches:
-            fields = [b.schema.field(k) for k in keys]
-            if b.num_rows:
-                _partial(b, keys, state)
+            if not b.num_rows:
+                continue
+            if keys and b.num_rows > DENSE:
+                groups = len(_codes(pa.Table.from_batches([b]), keys)[1])
+                if groups * DENSE > b.num_rows:
+                    yield wide(pa.RecordBatch.from_arrays(b.columns, names=b.schema.names))
+                    continue
+            _partial(b, keys, state)
             if len(state.at) > HELD:
-                yield state.batch(fields)
+                yield wide(state.batch(fields))
                 state.clear()
         if state.at:
-            yield state.batch(fields)
+            yield wide(state.batch(fields))
         elif not keys:
             state.add([()], {s.out: state.values[s.out][:0].sum(0)[None] if s.fn in ("sum", "count") else np.full((1, WORLDS), _top(s.whole) if s.fn == "min" else -_top(s.whole), state.values[s.out].dtype) for s in specs}, {c: np.zeros(1, np.int64) for c in columns})
-            yield state.batch([])
+            yield wide(state.batch([]))
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        state, fields = _State(specs), None
+        state, fields = _State(specs), [arrow.field(k) for k in keys]
         for b in batches:
-            fields = [b.schema.field(k) for k in keys]
             if not b.num_rows:
                 continue
             if len(state.at) > HELD:  # rows come sorted: only the last group can go on
@@ -226,10 +242,14 @@ def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> t
                 if last not in state.at:
                     yield state.batch(fields)
                     state.clear()
-            _merge(b, keys, state)
+            rows = pa.Table.from_batches([b])
+            of_rows = rows.column("__mask").is_valid()
+            for t, add in ((rows.filter(of_rows), _partial), (rows.filter(pc.invert(of_rows)), _merge)):
+                if t.num_rows:
+                    add(t, keys, state)
         if state.at:
             yield state.batch(fields)
 
     parts = small.mapInArrow(part, schema)
     dealt = parts.repartition(*keys).sortWithinPartitions(*keys) if keys else parts.repartition(1)
-    return dealt.mapInArrow(meet, schema), {s.out: f"__touched{columns.index(s.column)}" for s in specs}
+    return dealt.mapInArrow(meet, result), {s.out: f"__touched{columns.index(s.column)}" for s in specs}

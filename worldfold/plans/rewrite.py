@@ -250,7 +250,7 @@ class Rewriter:
                 tmp = f"__v{self.new()}"
                 df = rel.df.withColumn(tmp, v).withColumn(MASK, L.mask_cmp(MASK, self.col(p.args[two.index(False)], rel), op, tmp, self.ctx.worlds)).drop(tmp)
             else:
-                df = rel.df.withColumn(MASK, L.mask_and(MASK, self.lifted(p, rel)[0]))
+                df = rel.df.withColumn(MASK, L.mask_and(MASK, self.lifted(p, rel)[0], self.ctx.worlds))
             return replace(rel, df=df.where(L.any_world(MASK, self.ctx.worlds)), narrowed=True)
         coin = f"__coin{self.new()}"
         self.formal = False
