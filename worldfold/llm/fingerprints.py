@@ -119,8 +119,12 @@ def sketch(texts: list[bytes], bins: int = BINS, words: int = WORDS) -> tuple[np
 
 
 def pack(least: np.ndarray, some: np.ndarray, bits: int = BITS) -> np.ndarray:
-    """The low bits of each bin, mixed first; texts without words are all zero."""
-    low = (_mix(least) & U((1 << bits) - 1)).astype(np.uint8)
+    """The low bits of each bin, mixed with the bin's number first; texts without words are all zero.
+
+    A borrowed minimum stands in several bins: with the number its low bits agree by chance in each on its own.
+    """
+    at = np.arange(least.shape[1], dtype=U) * U(0xA24BAED4963EE407)
+    low = (_mix(least + at) & U((1 << bits) - 1)).astype(np.uint8)
     low[~some] = 0
     return low
 
