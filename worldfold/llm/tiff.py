@@ -280,7 +280,7 @@ def pages(files: DataFrame, key: str = "doc_id", media: str = "media") -> DataFr
 
     A file that is broken or of a kind that is not read gives one row with the error's text; null gives no row.
     """
-    schema = files.select(key).schema.add("page", "int").add("width", "int").add("height", "int").add("channels", "int").add("samples", "binary").add("error", "string")
+    schema = files.select(key).schema.add("page", "integer").add("width", "integer").add("height", "integer").add("channels", "integer").add("samples", "binary").add("error", "string")
     names = [f.name for f in schema.fields]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
