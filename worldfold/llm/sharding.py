@@ -14,15 +14,16 @@ SAMPLE, RANGES, MOST_RANGES = 1 << 16, 2048, 1 << 16
 LOW = (1 << 24) - 1
 
 
-def splitters(rows: DataFrame, ranges: int, sample: int = SAMPLE) -> np.ndarray:
+def splitters(rows: DataFrame, total: int, ranges: int, sample: int = SAMPLE) -> np.ndarray:
     """At most ``ranges`` - 1 splitters: quantiles of a sample of keys drawn in proportion to their sizes.
 
-    Each row draws an exponential of rate its size, by hash; the rows with the smallest draws are the sample. Between
-    splitters of different texts the cut is moved to the first key of the text, so its copies stay together; only a text
-    that fills more than a range is cut within.
+    Each row draws, by hash, an exponential number of rate its size; those under sample/total are the sample, which is
+    expected to be no more than ``sample`` keys however many tasks there are. Between splitters of different texts the
+    cut is moved to the first key of the text, so its copies stay together; only a text that fills more than a range is
+    cut within.
     """
     draw = -F.log((F.pmod(F.xxhash64("key", "crc", F.lit(7)), F.lit(1 << 52)) + 0.5) / float(1 << 52)) / F.col("size")
-    keys = np.array(sorted(r[0] for r in rows.select("k", draw.alias("d")).orderBy("d", "k").limit(sample).select("k").collect()), np.int64)
+    keys = np.array(sorted(r[0] for r in rows.where(draw < sample / max(1, total)).select("k").collect()), np.int64)
     if not len(keys):
         return keys
     cuts = keys[[len(keys) * i // ranges for i in range(1, ranges)]] if len(keys) > ranges else keys
@@ -56,18 +57,18 @@ def shard(docs: DataFrame, key: str = "doc_id", text: str = "text", shards: int
     t = F.coalesce(F.col(text), F.lit(""))
     k = F.xxhash64(t).bitwiseAND(F.lit(~LOW)).bitwiseOR(F.xxhash64(F.col(key), F.lit(3)).bitwiseAND(F.lit(LOW)))
     rows = cut(docs.select(F.col(key).alias("key"), (F.octet_length(t) + 1).cast("long").alias("size"), F.crc32(t.cast("binary")).alias("crc"), k.alias("k")))
-    n = rows.count()
+    n, total = rows.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
     ranges = ranges or min(MOST_RANGES // 2, max(RANGES, buckets_for(n, 500_000)))
-    cuts = splitters(rows, ranges)
+    cuts = splitters(rows, total, ranges)
     dealt = with_range(rows, cuts)
     sums = {r[0]: r[1] for r in dealt.groupBy("range").agg(F.sum("size")).collect()}  # at most `ranges` rows
     mean = sum(sums.values()) / max(1, len(sums))
     if over := [r for r, s in sums.items() if s > 2 * mean]:
-        more = splitters(dealt.where(F.col("range").isin(over)), min(MOST_RANGES - ranges, 4 * sum(int(sums[r] / mean) for r in over)))
+        more = splitters(dealt.where(F.col("range").isin(over)), sum(sums[r] for r in over), min(MOST_RANGES - ranges, 4 * sum(int(sums[r] / mean) for r in over)))
         dealt = with_range(rows, np.union1d(cuts, more))
         sums = {r[0]: r[1] for r in dealt.groupBy("range").agg(F.sum("size")).collect()}
     order = sorted(sums)
-    total, run, first = sum(sums.values()), np.cumsum([sums[r] for r in order]), [0]
+    run, first = np.cumsum([sums[r] for r in order]), [0]
     for i in range(1, shards):  # the range boundary nearest to the share, never before the last
         want = total * i / shards
         j = int(np.searchsorted(run, want))
