@@ -70,3 +70,27 @@ def test_generated_frames(spark):
     for order in ("uniform", "increasing", "decreasing"):
         df = distributions.frame(spark, 1000, 10, order, scattered=order == "uniform")
         assert df.count() == 1000 and df.select("g").distinct().count() == 10
+
+
+def test_resampled_rows_follow_their_share(spark):
+    from worldfold.functions.masks import worlds_of
+
+    runs = spark.range(3000).select("id", F.explode(F.sequence(F.lit(0), F.lit(15))).alias("world"))
+    n = B.resample_rows(runs, ["id"], CONTEXT).count()
+    assert n == pytest.approx(3000 * 16 / 64, rel=0.12)
+    df = spark.createDataFrame([(0b1011,)], "m long")
+    assert df.select(worlds_of("m")).first()[0] == [0, 1, 3]
+
+
+def test_experiments_give_their_tables(spark, sf):
+    from worldfold.workloads import experiments as X
+
+    assert X.run_times(spark, sf, ("h06",)).count() == 1
+    assert X.ablation(spark, "count", 2000, (0, 5)).count() == 12
+    assert X.ablation(spark, "max", 2000, (3,), "increasing").count() == 3
+    r = X.attacks(spark, sf, 150).collect()
+    assert all(x["measured"] <= x["bound"] + 0.1 for x in r)
+    w = {x["worlds"]: x["predicted_percent"] for x in X.worlds_compared(spark, sf).collect()}
+    assert w[64] > 0 and w[128] > 0
+    u = X.utility_runs(spark, sf, "SELECT l_returnflag, count(*) AS n FROM lineitem GROUP BY l_returnflag", ["l_returnflag"], 3)
+    assert u.where("recall = 1 AND precision = 1").count() == 3

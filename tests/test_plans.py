@@ -195,3 +195,22 @@ def test_kernel_and_built_in_strategies_agree(spark, sf, session):
 def test_128_worlds_through_sql(session):
     df = session.rewrite("SELECT l_returnflag, sum(l_quantity) AS q FROM lineitem GROUP BY l_returnflag", QueryContext.new(5, worlds=128), "vectors")
     assert df.select(F.size("q")).distinct().collect()[0][0] == 128
+
+
+def test_a_single_units_rows_are_refused_at_run_time(spark):
+    rows = [(1, "alone", 1.0)] * 100 + [(i, "many", 1.0) for i in range(2, 200)]
+    spark.createDataFrame(rows, "uid long, g string, v double").createOrReplaceTempView("t_fed")
+    s = PrivateSession(spark, UnitCatalog().declare_unit("t_fed", "uid", ["uid"]))
+    with pytest.raises(Exception, match="single privacy unit"):
+        s.rewrite("SELECT g, sum(v) AS s FROM t_fed GROUP BY g").collect()
+    assert s.rewrite("SELECT g, sum(v) AS s FROM t_fed WHERE g = 'many' GROUP BY g").count() == 1
+
+
+def test_aggregates_of_aggregates_by_world(spark, sf):
+    sql = "SELECT max(q) AS m FROM (SELECT l_suppkey, sum(l_quantity) AS q FROM lineitem GROUP BY l_suppkey) t"
+    release = tpch.session(spark, sf)
+    lift = tpch.session(spark, sf, boundary="lift")
+    assert release.classify(sql).releases == 1 and lift.classify(sql).releases == 1
+    inner = release.rewrite("SELECT l_suppkey, sum(l_quantity) AS q FROM lineitem GROUP BY l_suppkey", tpch.CONTEXT, "vectors").collect()
+    v = lift.rewrite(sql, tpch.CONTEXT, "vectors").collect()[0]["m"]
+    assert v == pytest.approx([max(r["q"][j] for r in inner if r["q"][j] is not None) for j in range(64)])

@@ -65,6 +65,12 @@ def in_world(mask: Column | str, j: int, worlds: int = 64) -> Column:
     return F.call_function("getbit", word, F.lit(j % 64)) == 1
 
 
+def worlds_of(mask: Column | str) -> Column:
+    """The numbers of the mask's worlds, for ``explode`` (64 worlds)."""
+    m = F.col(mask) if isinstance(mask, str) else mask
+    return F.filter(F.sequence(F.lit(0), F.lit(63)), lambda j: F.call_function("getbit", m, j) == 1)
+
+
 def mia_prior(units: DataFrame, mask: str = "mask") -> DataFrame:
     """Per unit: the share of worlds that has it, which is an attacker's chance before any release (64 worlds)."""
     return units.withColumn("prior", F.bit_count(mask) / F.lit(64.0))

@@ -140,5 +140,5 @@ def simulate_attack(vectors: np.ndarray, masks: np.ndarray, mi: float, runs: int
         for y in vectors:
             p.release(y)
         guess = (p.weights * masks).sum() >= 0.5
-        right += guess == bool(masks[p.secret])
+        right += int(bool(guess) == bool(masks[p.secret]))
     return right / runs

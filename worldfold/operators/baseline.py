@@ -69,6 +69,12 @@ def released_runs(rows: DataFrame, keys: list[str], values: list[str], ctx: Quer
     return v.select(*keys, *[release(c, ctx, c, *keys).alias(c) for c in values])
 
 
+def resample_rows(runs: DataFrame, keys: list[str], ctx: QueryContext) -> DataFrame:
+    """The baseline's answer to a filter that differs between runs: a keyed draw of one in ``worlds`` rows of the union of
+    all runs. A row that many runs keep is likely to come, and may come more than once."""
+    return runs.where(uniform(ctx, "resample", *keys, "world") < 1.0 / ctx.worlds).drop("world")
+
+
 def noise_each(vectors: DataFrame, keys: list[str], ctx: QueryContext, parts: list[str], combine: Callable, out: str) -> DataFrame:
     """The baseline of lifting: each aggregate is released on its own and the expression is applied to the noised values."""
     r = vectors.select(*keys, *[release(p, ctx, p, *keys).alias(p) for p in parts])

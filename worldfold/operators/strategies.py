@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, DoubleType
 
 from worldfold.functions import aggregates as A
+from worldfold.functions.masks import worlds_of
 from worldfold.operators import kernels as K
 
 #: The most rows that a chunk may add up in a lane: the top lane must not reach the sign bit.
@@ -87,8 +88,7 @@ def preaggregated(df: DataFrame, keys: list[str], mask: str, fn: str, value: str
 
 def branch(df: DataFrame, keys: list[str], mask: str, fn: str, value: str | None, out: str) -> DataFrame:
     """The unpredicated baseline: each row once for each of its worlds, 32 times the rows."""
-    worlds = F.filter(F.sequence(F.lit(0), F.lit(63)), lambda j: F.call_function("getbit", F.col(mask), j) == 1)
-    rows = df.select(*keys, *([value] if value else []), F.explode(worlds).alias("__j"))
+    rows = df.select(*keys, *([value] if value else []), F.explode(worlds_of(mask)).alias("__j"))
     f = F.count(F.lit(1)) if fn == "count" and value is None else getattr(F, fn)(value)
     part = rows.groupBy(*keys, "__j").agg(f.alias("__v"))
     m = part.groupBy(*keys).agg(F.map_from_entries(F.collect_list(F.struct("__j", "__v"))).alias("__m"))

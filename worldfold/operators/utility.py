@@ -55,7 +55,7 @@ def predicted_mape(vector: np.ndarray, mi: float) -> float:
     """Expected percentage error of a released cell from its own worlds: noise of the calibrated width plus the world's draw."""
     v = np.asarray(vector, float)
     sd = math.sqrt(v.var() / (2 * mi) + v.var())
-    return 100 * math.sqrt(2 / math.pi) * sd / abs(v.mean())
+    return float(100 * math.sqrt(2 / math.pi) * sd / abs(v.mean()))
 
 
 def slowdown(times: dict[str, float], plain: dict[str, float]) -> dict[str, float]:

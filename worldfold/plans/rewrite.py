@@ -25,6 +25,8 @@ from worldfold.plans.expressions import COMPARE, FLIPPED, NotExpressible, to_col
 from worldfold.sources.catalog import UnitCatalog
 
 MASK = "__mask"
+#: Rows from which on a group that one unit alone feeds is refused.
+MIN_UPDATES = 64
 
 
 class Rejected(Exception):
@@ -59,10 +61,15 @@ def name(i: int) -> str:
 
 
 class Rewriter:
-    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = False, share_sums: bool = True, strategy: str = "kernel"):
-        """``mode``: "release", "vectors" (for tests; shows what must stay hidden) or "plain" (unit joins, plain aggregates)."""
+    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = False, share_sums: bool = True, strategy: str = "kernel", diversity: bool = True, boundary: str = "release"):
+        """``mode``: "release", "vectors" (for tests; shows what must stay hidden) or "plain" (unit joins, plain aggregates).
+
+        ``boundary``: an aggregate of aggregates reads released cells, or ("lift") is taken world by world and released
+        once. ``diversity``: groups that many rows of one unit alone have fed are a runtime error.
+        """
         self.spark, self.catalog, self.ctx, self.mode = spark, catalog, ctx, mode
         self.null_draw, self.share_sums, self.strategy = null_draw, share_sums, strategy
+        self.diversity, self.boundary = diversity, boundary
         self.fresh = count(1_000_000_000)
         self.joins_added = self.cells = self.releases = 0
         self.formal = True
@@ -392,9 +399,10 @@ class Rewriter:
         aggs: list[ir.Agg] = []
         for i in n.items:
             aggs += [a for a in ir.aggregates(i) if a not in aggs]
-        if rel.vectors and not rel.sensitive:
+        lifted = self.boundary == "lift" and rel.vectors and not rel.sensitive and not rel.coins and all(isinstance(x, ir.Attr) and x.id in rel.vectors and a.fn in ("sum", "min", "max", "avg") for a in aggs for x in a.args if self.has_vector(x, rel))
+        if rel.vectors and not rel.sensitive and not lifted:
             rel = self.released(rel)
-        if any(self.has_vector(e, rel) for e in [*n.keys, *aggs]):
+        if any(self.has_vector(k, rel) for k in n.keys) or not lifted and any(self.has_vector(e, rel) for e in [*n.keys, *aggs]):
             raise Rejected("UNSUPPORTED_AGG", "an aggregate of an aggregate that differs between worlds")
         ids = {a: self.new() for a in aggs}
         keys = [(self.new(), k) if not isinstance(k, ir.Attr) else (k.id, k) for k in n.keys]
@@ -422,9 +430,27 @@ class Rewriter:
             if self.mode == "plain":
                 return self.project(Rel(rel.df.groupBy(*key_cols).agg(*self.plain(aggs, ids, rel)), attrs, origin), items)
             return self.project(self.worlds(rel, keys, key_cols, aggs, ids, attrs, origin), items)
+        if lifted:
+            return self.project(self.of_worlds(rel, key_cols, aggs, ids, attrs, origin), items)
         df = rel.df.groupBy(*key_cols).agg(*self.plain(aggs, ids, rel)) if aggs else rel.df.select(*key_cols).distinct()
         return self.project(Rel(df, attrs, origin, key_protected), items)
 
+    def of_worlds(self, rel: Rel, key_cols: list, aggs: list[ir.Agg], ids: dict, attrs: list, origin: dict) -> Rel:
+        """Aggregates of vectors, world by world."""
+        cols, vectors = [], {}
+        for a in aggs:
+            out = name(ids[a])
+            if a.args and self.has_vector(a.args[0], rel):
+                v = rel.vectors[a.args[0].id]
+                cols.append(F.array(*[getattr(F, a.fn)(F.element_at(name(a.args[0].id), j + 1)) for j in range(self.ctx.worlds)]).alias(out))
+                t = f"__t{self.new()}" if v.touched else None
+                if t:
+                    cols.append(F.bit_or(v.touched).alias(t))
+                vectors[ids[a]] = Vector(a.fn, t)
+            else:
+                cols += self.plain([a], ids, rel)
+        return Rel(rel.df.groupBy(*key_cols).agg(*cols), attrs, origin, vectors=vectors)
+
     def argument(self, a: ir.Agg, rel: Rel) -> Column | None:
         if a.fn == "count" and (not a.args or isinstance(a.args[0], ir.Lit)):
             return None if a.where is None else F.when(self.col(a.where, rel), 1)
@@ -468,7 +494,13 @@ class Rewriter:
         specs = V.specs_of(df, [(name(ids[a]), a.fn, c) for a, c in wanted]) if self.strategy == "kernel" and w == 64 else None
         out_df = None
         if wanted and specs is not None:
-            out_df, touched = V.aggregate(df, by, MASK, specs)
+            rows = "__updates"
+            guard = self.diversity and self.mode == "release" and self.ctx.balance != "none"
+            out_df, touched = V.aggregate(df, by, MASK, [*specs, *([V.Spec(rows, "count", None, True)] if guard else [])])
+            if guard:  # with balanced masks a row is counted in half of the worlds
+                updates = F.aggregate(rows, F.lit(0).cast("long"), lambda a, x: a + x) / 32
+                alone = (updates >= MIN_UPDATES) & (F.bit_count(touched[rows]) == 32)
+                out_df = out_df.where(F.when(alone, F.raise_error(F.lit("an aggregate was fed by a single privacy unit")).cast("boolean")).otherwise(True)).drop(rows)
             vectors = {ids[a]: Vector(a.fn, touched[name(ids[a])]) for a, _ in wanted}
         elif wanted:
             cols, shared = [], {}

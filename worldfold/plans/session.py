@@ -26,10 +26,10 @@ class Verdict:
 
 
 class PrivateSession:
-    def __init__(self, spark: SparkSession, catalog: UnitCatalog, mi: float = 1 / 128, worlds: int = 64, seed: int | None = None, mode: str = "query", null_draw: bool = False, limit: float | None = None, **context):
+    def __init__(self, spark: SparkSession, catalog: UnitCatalog, mi: float = 1 / 128, worlds: int = 64, seed: int | None = None, mode: str = "query", null_draw: bool = False, limit: float | None = None, boundary: str = "release", **context):
         """``mode`` "query" draws a key for each query; "session" keeps one, so budgets add up over the session."""
         self.spark, self.catalog, self.mode, self.null_draw = spark, catalog, mode, null_draw
-        self.seed, self.queries = seed, 0
+        self.seed, self.queries, self.boundary = seed, 0, boundary
         self.options = {"mi": mi, "worlds": worlds, **context}
         self.kept = QueryContext.new(seed, **self.options) if mode == "session" else None
         self.ledger = BudgetLedger(limit)
@@ -54,7 +54,7 @@ class PrivateSession:
     def _classify(self, plan: ir.Node) -> Verdict:
         if self.passes(plan):
             return Verdict("pass")
-        r = Rewriter(self.spark, self.catalog, QueryContext.new(0, **self.options), null_draw=self.null_draw)
+        r = Rewriter(self.spark, self.catalog, QueryContext.new(0, **self.options), null_draw=self.null_draw, boundary=self.boundary)
         try:
             r.finish(r.node(plan))
         except Rejected as x:
@@ -66,7 +66,7 @@ class PrivateSession:
         plan, df = parse(self.spark, sql)
         if self.passes(plan):
             return df
-        r = Rewriter(self.spark, self.catalog, ctx or self.context(), mode, self.null_draw)
+        r = Rewriter(self.spark, self.catalog, ctx or self.context(), mode, self.null_draw, boundary=self.boundary)
         return r.finish(r.node(plan))
 
     def sql(self, text: str, ctx: QueryContext | None = None) -> DataFrame:
@@ -75,7 +75,7 @@ class PrivateSession:
         if self.passes(plan):
             return df
         ctx = ctx or self.context()
-        r = Rewriter(self.spark, self.catalog, ctx, "release", self.null_draw)
+        r = Rewriter(self.spark, self.catalog, ctx, "release", self.null_draw, boundary=self.boundary)
         out = r.finish(r.node(plan)).persist()
         self.ledger.charge(text.strip()[:80], r.releases * out.count(), ctx.mi)
         return out
