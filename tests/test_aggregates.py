@@ -37,7 +37,7 @@ def _got(df):
     return {(r["g"], j): x for r in df.collect() for j, x in enumerate(r["v"])}
 
 
-@pytest.mark.parametrize("strategy", ["wide", "late", "preagg", "arrow", "branch", "levels"])
+@pytest.mark.parametrize("strategy", ["wide", "late", "preagg", "arrow", "branch", "levels", "auto"])
 def test_sums_equal_brute_force(data, strategy):
     rows, df = data
     got = _got(world_aggregate(df, ["g"], "mask", "sum", "v", strategy))
@@ -175,3 +175,13 @@ def test_intervals_hold_the_exact_answer(spark):
     df = spark.createDataFrame([(int(x), 1.0) for x in m], "mask long, v double")
     r = df.agg(A.half_sample_interval(F.transform(A.world_sum("mask", "v"), lambda x: x * 2)).alias("i")).collect()[0]["i"]
     assert r["low"] <= 500 <= r["high"]
+
+
+def test_a_hot_group_among_many_rare_ones(spark):
+    """Rare groups travel as rows and the hot one as states; both kinds meet in the same groups."""
+    m = masks_of(30_000)
+    rows = [(0 if i % 3 == 0 else i // 5, int(x), i % 100) for i, x in enumerate(m)]
+    df = spark.createDataFrame(rows, "g long, mask long, v long").repartition(3)
+    out, _ = V.aggregate(df, ["g"], "mask", V.specs_of(df, [("s", "sum", "v"), ("hi", "max", "v")]))
+    want = df.groupBy("g").agg(A.world_sum("mask", "v").alias("s"), A.world_max("mask", "v").alias("hi"))
+    assert {r["g"]: (r["s"], r["hi"]) for r in out.collect()} == {r["g"]: (r["s"], r["hi"]) for r in want.collect()}

@@ -18,6 +18,7 @@ ACCEPT = {
     "cartesian and anti join": ("SELECT count(*) AS n FROM customer WHERE c_acctbal > (SELECT avg(c_acctbal) FROM customer) AND NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)", 0, 1),
     "comma join": ("SELECT count(*) AS n FROM orders, lineitem WHERE o_orderkey = l_orderkey AND l_quantity > 3", 0, 1),
     "common table used twice": ("WITH t AS (SELECT o_orderpriority AS p, o_totalprice AS v FROM orders) SELECT a.p, sum(a.v) AS s FROM t a GROUP BY a.p", 0, 1),
+    "common table joined with itself": ("WITH t AS (SELECT o_orderkey AS k, o_orderpriority AS p FROM orders) SELECT a.p, count(*) AS n FROM t a JOIN t b ON a.k = b.k GROUP BY a.p", 0, 1),
     "union of unit rows": ("SELECT p, count(*) AS n FROM (SELECT o_orderpriority AS p FROM orders WHERE o_totalprice > 5 UNION ALL SELECT o_orderstatus AS p FROM orders) t GROUP BY p", 0, 1),
     "in a link": ("SELECT count(*) AS n FROM orders WHERE o_custkey IN (SELECT c_custkey FROM customer WHERE c_nationkey = 3)", 0, 1),
     "window over open tables": ("SELECT n_name, sum(q) AS s FROM (SELECT l_suppkey, l_quantity AS q FROM lineitem) t JOIN supplier ON s_suppkey = l_suppkey JOIN nation ON s_nationkey = n_nationkey GROUP BY n_name", 1, 1),
@@ -29,6 +30,7 @@ REJECT = {
     "SELECT c_acctbal + 1 AS b, count(*) AS n FROM customer GROUP BY c_acctbal": "PROTECTED_GROUP",
     "SELECT c_custkey, count(*) AS n FROM customer JOIN orders ON c_custkey = o_custkey GROUP BY c_custkey": "PROTECTED_OUTPUT",
     "SELECT o_orderkey, sum(l_tax) AS t FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderkey ORDER BY t": "PROTECTED_OUTPUT",
+    "SELECT m, count(*) AS n FROM (SELECT c_custkey, max(c_acctbal) AS m FROM customer GROUP BY c_custkey) t GROUP BY m": "PROTECTED_GROUP",
     "WITH t AS (SELECT c_name AS x FROM customer) SELECT x FROM t": "PROTECTED_OUTPUT",
     "SELECT c_mktsegment FROM customer": "NO_AGGREGATE",
     "SELECT DISTINCT c_mktsegment FROM customer": "NO_AGGREGATE",

@@ -25,16 +25,23 @@ def filled(vector: ColumnOrName) -> Column:
     return F.transform(_col(vector), lambda x: F.coalesce(x.cast("double"), F.lit(0.0)))
 
 
+def _bound(value: Column, use) -> Column:
+    """``use`` of a value that is computed once: lambdas evaluate what they capture for every element."""
+    return F.element_at(F.transform(F.array(value), lambda x: use(x)), 1)
+
+
+def _sum(v: Column) -> Column:
+    return F.aggregate(v, F.lit(0.0), lambda a, x: a + x)
+
+
 def weighted_var(vector: ColumnOrName, weights: list[float] | None = None) -> Column:
     """Population variance over the worlds, under ``weights`` (a posterior) or evenly."""
-    v = filled(vector)
     if weights is None:
-        n = F.size(v)
-        mean = F.aggregate(v, F.lit(0.0), lambda a, x: a + x) / n
-        return F.aggregate(v, F.lit(0.0), lambda a, x: a + (x - mean) * (x - mean)) / n
+        off = lambda v, m: F.aggregate(v, F.lit(0.0), lambda a, x: a + (x - m) * (x - m)) / F.size(v)
+        return _bound(filled(vector), lambda v: _bound(_sum(v) / F.size(v), lambda m: off(v, m)))
     w = F.array(*[F.lit(float(x)) for x in weights])
-    mean = F.aggregate(F.zip_with(v, w, lambda x, p: x * p), F.lit(0.0), lambda a, x: a + x)
-    return F.aggregate(F.zip_with(v, w, lambda x, p: p * (x - mean) * (x - mean)), F.lit(0.0), lambda a, x: a + x)
+    off = lambda v, m: _sum(F.zip_with(v, w, lambda x, p: p * (x - m) * (x - m)))
+    return _bound(filled(vector), lambda v: _bound(_sum(F.zip_with(v, w, lambda x, p: x * p)), lambda m: off(v, m)))
 
 
 def gaussian(ctx: QueryContext, tag: str, *keys: ColumnOrName) -> Column:
@@ -54,11 +61,9 @@ def release(vector: ColumnOrName, ctx: QueryContext, name: str, *group: ColumnOr
     retrying a task gives the same value. Cells all worlds agree on get no noise. ``touched`` turns on the null draw,
     which does not depend on the secret.
     """
-    v = filled(vector)
-    y = F.element_at(v, ctx.secret_world + 1)
+    y = F.coalesce(F.element_at(_col(vector), ctx.secret_world + 1).cast("double"), F.lit(0.0))
     if ctx.noise:
-        spread = F.sqrt(weighted_var(vector) / (2 * ctx.mi))
-        y = F.when(spread == 0, y).otherwise(y + spread * gaussian(ctx, name, *group))
+        y = y + F.sqrt(weighted_var(vector) / (2 * ctx.mi)) * gaussian(ctx, name, *group)
     if touched is None:
         return y
     return F.when(uniform(ctx, name + ":null", *group) >= null_chance(touched, ctx.worlds), y)

@@ -29,7 +29,8 @@ def world_aggregate(df: DataFrame, keys: list[str], mask: str, fn: str, value: s
     numbers. levels: exact cascading sums. float32: sums in single precision.
     """
     if strategy == "auto":
-        strategy = "wide"
+        strategy = choose_strategy(fn, shape_of(df, keys, mask))
+        strategy = "wide" if strategy == "multiply" and dict(df.dtypes)[value] in ("double", "float") else strategy
     if strategy in ("wide", "multiply", "late"):
         if strategy == "late" and keys:
             df = df.select(*keys, mask, *([value] if value else [])).repartition(*keys)
@@ -172,6 +173,13 @@ class Shape:
     tasks: int = 200
 
 
+def shape_of(df: DataFrame, keys: list[str], mask: str) -> Shape:
+    """Approximate counts, by one pass over keys and masks."""
+    some = F.approx_count_distinct(F.struct(*keys)) if keys else F.lit(1)
+    r = df.agg(F.count(F.lit(1)), some, F.approx_count_distinct(F.struct(*keys, mask))).first()
+    return Shape(r[0], max(1, r[1]), max(1, r[2]), max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+
+
 def choose_strategy(fn: str, shape: Shape) -> str:
     """Raw rows are shuffled where vectors would be more bytes; rows are added up by unit where that leaves few; else wide."""
     if shape.groups * min(shape.tasks, max(1, shape.rows // max(1, shape.groups))) * K.state_bytes("wide") > shape.rows * K.state_bytes("late") and shape.rows < 22 * shape.groups * shape.tasks:

@@ -2,9 +2,10 @@
 
 64 worlds times a dozen aggregates are too many buffers for generated code: it is compiled for seconds and then runs
 uncompiled. A kernel adds a batch of values times its bit matrix instead, for all aggregates at once. A task keeps one
-state a group and gives it out when it ends, or when it holds many. A batch in which most rows are of different groups
-is passed on as it is, since its states would be larger than its rows. States and rows of one group then meet in sorted
-order and are merged as they stream by, so neither side holds more than a bounded number of groups.
+state a group and gives it out when it ends, or when it holds many. Rows of groups that are rare in a batch are passed on
+as they are, since states would be larger. States and rows of one group then meet in sorted order and are merged as they
+stream by, so neither side holds more than a bounded number of groups, and a group with most rows is never shuffled as
+rows.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from worldfold.operators.kernels import WORLDS, bits
 #: Groups a task holds before it gives them out.
 HELD = 8192
 WHOLE = ("tinyint", "smallint", "int", "bigint")
-#: Rows a group must have in a batch, on average, for states to be made before the shuffle.
+#: Rows a group must have in a batch for a state to be made before the shuffle.
 DENSE = 16
 #: Up to so many groups in a batch are multiplied one by one; more are summed as outer products.
 FEW = 48
@@ -217,11 +218,14 @@ def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> t
         for b in batches:
             if not b.num_rows:
                 continue
-            if keys and b.num_rows > DENSE:
-                groups = len(_codes(pa.Table.from_batches([b]), keys)[1])
-                if groups * DENSE > b.num_rows:
-                    yield wide(pa.RecordBatch.from_arrays(b.columns, names=b.schema.names))
-                    continue
+            if keys:
+                group, _ = _codes(pa.Table.from_batches([b]), keys)
+                many = np.bincount(group)[group] >= DENSE
+                if not many.all():
+                    yield wide(b.filter(pa.array(~many)))
+                    b = b.filter(pa.array(many))
+                    if not b.num_rows:
+                        continue
             _partial(b, keys, state)
             if len(state.at) > HELD:
                 yield wide(state.batch(fields))

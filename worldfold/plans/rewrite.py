@@ -287,6 +287,8 @@ class Rewriter:
         if kind == "left" and left.sensitive:
             left = self.need_mask(left)
         r = right.df
+        seen = {name(a.id) for a in right.attrs}
+        r = r.drop(*[c for c in r.columns if c in left.df.columns and c not in seen and c != MASK])  # unseen keys of a table read twice
         if right.masked:
             r = r.withColumnRenamed(MASK, "__right") if left.masked else r
             if kind in ("semi", "anti", "left"):
@@ -421,7 +423,8 @@ class Rewriter:
             if by_unit:
                 rel = self.need_mask(rel)
                 df = rel.df.groupBy(*key_cols, MASK).agg(*self.plain(aggs, ids, rel)) if aggs else rel.df.select(*key_cols, MASK).distinct()
-                return self.project(Rel(df, attrs, origin, key_protected, True, True, rel.narrowed), items)
+                told = {ids[a] for a in aggs if a.fn != "count" and ir.attrs_of(a) & rel.protected}  # a unit's own protected values
+                return self.project(Rel(df, attrs, origin, key_protected | told, True, True, rel.narrowed), items)
             if key_protected:
                 raise Rejected("PROTECTED_GROUP")
             if not aggs:

@@ -17,7 +17,7 @@ from worldfold.operators import baseline as B
 from worldfold.operators import utility as U
 from worldfold.operators.strategies import world_aggregate
 from worldfold.streaming import windows
-from worldfold.workloads import distributions, hits, ratios, storm, tpch
+from worldfold.workloads import distributions, experiments, hits, ratios, storm, tpch
 from worldfold.workloads.tpch import CONTEXT, KEY
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -266,6 +266,9 @@ def utility_pricing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _add("utility_pricing", utility_pricing)
+_add("utility_runs", lambda spark, d: experiments.utility_runs(spark, d, "SELECT o_orderpriority, count(*) AS n, avg(o_totalprice) AS a FROM orders GROUP BY o_orderpriority", ["o_orderpriority"], 3))
+_add("mia_attacks", partial(experiments.attacks, runs=100))
+_add("vec_sum_auto", partial(vec, fn="sum", group="flag", strategy="auto"), vec_sql("sum", "flag"))
 _add("noise_each_vs_lift", partial(ratios.lift_against_each, n=3, seeds=2))
 _add("approx_sum_study", lambda spark, d: distributions.study(spark))
 _add("storm_coverage", partial(storm.coverage_report, n=60))
