@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from worldfold.llm import langid, linededup, mixing, packing, simhash
-from worldfold.llm.common import cut
+from worldfold.llm.common import cut, small
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,7 +18,7 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     judged = langid.posteriors(docs.withColumn("__row", F.struct(F.col("doc_id").alias("k"), h.alias("h"))), key="__row")
     go = cut(judged.where(~F.col("kept")).select("__row.k", F.col("__row.h").alias("__h")).distinct())
     same = F.col("doc_id").eqNullSafe(F.col("k")) & (F.col("__hash") == F.col("__h"))
-    return docs.withColumn("__hash", h).join(go, same, "left_anti").select(*docs.columns)
+    return docs.withColumn("__hash", h).join(small(go), same, "left_anti").select(*docs.columns)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -24,6 +24,11 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def small(df: DataFrame, rows: int = 200_000) -> DataFrame:
+    """``df`` (a cut table of narrow rows) with a broadcast hint if it is counted to have ``rows`` at most, else as it is."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
 @contextmanager
 def small_batches(spark: SparkSession, rows: int = 1000) -> Iterator[None]:
     """Jobs run within it hand texts to Python by so many rows at once; the session's setting is put back."""

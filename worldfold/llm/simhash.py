@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, LongType
 
-from worldfold.llm.common import cut, documents, small_batches
+from worldfold.llm.common import cut, documents, small, small_batches
 
 #: The base pivot is 0, the others 3 << 2b; a section is a run of bit pairs.
 PAIRS = 32
@@ -396,7 +396,8 @@ def verified(links: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5
     some = links.select(F.explode(F.array("a", "b")).alias("id")).distinct()
     one = nodes.join(some, "id").select("id", F.col("first.key").alias("k"), F.col("first.h").alias("hh"))
     texts = base.join(one, F.col("key").eqNullSafe(F.col("k")) & (F.col("h") == F.col("hh"))).select("id", "text")
-    sets = cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
+    with small_batches(base.sparkSession):
+        sets = cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
     both = links.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
     return both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
@@ -424,7 +425,7 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: in
     row = cut(row.join(k, F.col("key").eqNullSafe(F.col("k2")) & (F.col("h") == F.col("h2")), "left").where("n > 1 or h2 is null").withColumn("stays", F.col("h2").isNotNull()).select(F.col("key").alias("__k"), F.col("h").alias("__h"), "stays"))
     same = F.col(key).eqNullSafe(F.col("__k")) & (F.col("__hash") == F.col("__h"))
     with_hash = docs.withColumn("__hash", h)
-    out = with_hash.join(row, same, "left_anti").select(*docs.columns)
+    out = with_hash.join(small(row), same, "left_anti").select(*docs.columns)
     again = row.where("stays")
     if not again.isEmpty():
         out = out.unionByName(with_hash.join(again, same, "left_semi").dropDuplicates([key, "__hash"]).select(*docs.columns))
