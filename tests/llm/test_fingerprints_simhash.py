@@ -56,6 +56,18 @@ def test_texts_in_any_company_have_the_same_sketch():
     assert alone[0] == alone[7] == "0" * 256 and len(set(alone[1:7])) == 6
 
 
+@pytest.mark.parametrize("step", [1, 7, 64])
+def test_blocks_do_not_change_hashes(monkeypatch, step):
+    r = random.Random(8)
+    texts = [prose(r, 200), "x" * 500 + " y z", "", prose(r, 3)]
+    raw = np.frombuffer("".join(texts).encode(), np.uint8)
+    ends = np.cumsum([len(t) for t in texts])
+    whole = fp.shingle_hashes(raw, ends)
+    monkeypatch.setattr(fp, "_STEP", step)
+    for a, b in zip(whole, fp.shingle_hashes(raw, ends), strict=True):
+        assert (a == b).all()
+
+
 def test_densification_fills_all_and_copies_only_filled_bins():
     least = np.full((3, 16), np.iinfo(np.uint64).max, np.uint64)
     least[0, 3], least[1, [0, 5]] = 7, (1, 2)

@@ -29,7 +29,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(31))
 
 
-@lru_cache(4)
+@lru_cache(2)
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of an odd number modulo 2**64 and of its inverse."""
     base = 0x9E3779B97F4A7C15
@@ -42,7 +42,8 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-_STEP = 1 << 22
+#: Bytes that are hashed together.
+_STEP = 1 << 20
 
 
 def shingle_hashes(data: np.ndarray, ends: np.ndarray, words: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -64,11 +65,18 @@ def shingle_hashes(data: np.ndarray, ends: np.ndarray, words: int = WORDS) -> tu
     after[:-1] = gap[1:]
     after[ends[first < ends] - 1] = True
     end = np.flatnonzero(after & ~gap) + 1
-    # a word's polynomial hash is a difference of prefix sums, moved to the word's own start
-    up, down = _powers(max(_STEP, 1 << (len(data) - 1).bit_length()))
-    sums = np.zeros(len(data) + 1, U)
-    np.cumsum((data.astype(U) + U(1)) * up[: len(data)], dtype=U, out=sums[1:])
-    word = _mix((sums[end] - sums[begin]) * down[begin] + (end - begin).astype(U))
+    word = np.empty(len(begin), U)
+    at = 0
+    while at < len(begin):  # by blocks of words, so that the 64-bit working arrays stay small for any text
+        to = max(at + 1, int(np.searchsorted(end, begin[at] + _STEP, side="right")))
+        s, e = begin[at:to] - begin[at], end[at:to] - begin[at]
+        block = data[begin[at] : end[to - 1]]
+        up, down = _powers(max(_STEP, 1 << (len(block) - 1).bit_length()))
+        # a word's polynomial hash is a difference of prefix sums, moved to the word's own start
+        sums = np.zeros(len(block) + 1, U)
+        np.cumsum((block.astype(U) + U(1)) * up[: len(block)], dtype=U, out=sums[1:])
+        word[at:to] = _mix((sums[e] - sums[s]) * down[s] + (e - s).astype(U))
+        at = to
     text = np.searchsorted(ends, begin, side="right")
     count = np.bincount(text, minlength=len(ends))
     n = len(word) - words + 1
@@ -159,7 +167,7 @@ def fingerprint(df: DataFrame, text: str = "text", out: str = "fingerprint") ->
 
 
 def _parts(texts: list[bytes]) -> Iterator[list[bytes]]:
-    """Consecutive texts of a few megabytes together; a longer one stands alone."""
+    """Consecutive texts of about a megabyte together; a longer one stands alone."""
     part: list[bytes] = []
     size = 0
     for t in texts:
