@@ -221,3 +221,45 @@ def test_large_groups_of_near_copies(spark, monkeypatch):
     nodes = simhash.wide_fingerprints(base, ["doc_id"]).selectExpr("doc_id AS id", "wide", "samples")
     root = {x["node"]: x["root"] for x in simhash.components(simhash.near_links(nodes, group=10)).collect()}
     assert {root.get(i) for i in range(60)} == {0} and not any(i in root for i in range(60, 80))
+
+
+def first_of_groups(texts):
+    """What brute force keeps: the first text of each group that pairs of Jaccard 0.8 or more connect."""
+    sets = [shingles(t or "") for t in texts]
+    parent = list(range(len(texts)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
+                a, b = root(i), root(j)
+                parent[max(a, b)] = min(a, b)
+    return [i for i in range(len(texts)) if parent[i] == i]
+
+
+def star(r, n, words=110):
+    """A base text, and copies near to it but not to each other: two words changed in each."""
+    base = prose(r, words).split()
+    out = [" ".join(base)]
+    for k in range(n):
+        w = list(base)
+        for i in r.sample(range(words), 2):
+            w[i] = f"changed{k}x{i}"
+        out.append(" ".join(w))
+    return out
+
+
+def kept_ids(df):
+    return sorted(x["doc_id"] for x in simhash.keep_one(df).collect())
+
+
+@pytest.mark.parametrize("n", [60, 500, 1500])
+def test_stars_of_near_copies_equal_brute_force(spark, n):
+    r = random.Random(11)
+    texts = [prose(r, 110), *star(r, n)[::-1]]  # the base comes last
+    assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == [0, 1]

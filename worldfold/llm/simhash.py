@@ -293,18 +293,28 @@ def _near(a: str, b: str):
     return F.aggregate(differ, F.lit(0), lambda s, x: s + x) <= WIDE_RADIUS
 
 
-def near_links(nodes: DataFrame, group: int = GROUP) -> DataFrame:
-    """Links (a, b) that connect nodes (id, wide, samples) whose wide fingerprints are within the radius.
+def meetings(rows: DataFrame) -> DataFrame:
+    """The rows (id, wide, t, key, ...) of samples that several nodes share, with their number and their smallest node."""
+    sizes = rows.groupBy("t", "key").agg(F.count("*").alias("n"), F.min(F.struct("id", "wide")).alias("first")).where("n > 1")
+    return cut(rows.join(sizes, ["t", "key"]))
 
-    Candidates share a sample's fingerprint. In groups of up to ``group`` nodes pairs are discarded by a pivot table of
-    distances to members, then verified, and a spanning set is kept. In a larger group all nodes are verified against
-    its smallest one; those that are not near it go on to groups that agree in two samples, and so on for LEVELS levels.
+
+def sampled(nodes: DataFrame) -> DataFrame:
+    return nodes.select("id", "wide", F.posexplode("samples").alias("t", "key"), "samples")
+
+
+def near_links(nodes: DataFrame, group: int = GROUP, met: DataFrame | None = None) -> DataFrame:
+    """First links (a, b) among nodes (id, wide, samples) whose wide fingerprints are within the radius.
+
+    Candidates share a sample's fingerprint (``met``: their meetings, if there already). In groups of up to ``group``
+    nodes pairs are discarded by a pivot table of distances to members, then verified, and a spanning set is kept. In a
+    larger group all nodes are verified against its smallest one; those that are not near it go on to groups that agree in
+    two samples, and so on for LEVELS levels. These links only spare work: what they miss is left to ``rest_links``.
     """
-    rows = nodes.select("id", "wide", F.posexplode("samples").alias("t", "key"), "samples")
     found = None
     for level in range(LEVELS):
-        sizes = rows.groupBy("t", "key").agg(F.count("*").alias("n"), F.min(F.struct("id", "wide")).alias("first")).where("n > 1")
-        met = cut(rows.join(sizes, ["t", "key"]))
+        if level or met is None:
+            met = meetings(rows if level else sampled(nodes))
         small = met.where(F.col("n") <= group).select("t", "key", "id", "wide")
         more = small.repartition("t", "key").sortWithinPartitions("t", "key", "id").mapInArrow(_group_links, "a long, b long")
         large = met.where((F.col("n") > group) & (F.col("id") != F.col("first.id"))).withColumn("near", _near("wide", "first.wide"))
@@ -388,26 +398,98 @@ def shingle_sets(docs: DataFrame, keep: list[str], text: str = "text", words: in
     return docs.select(F.col(text).alias("__text"), *keep).mapInArrow(run, schema)
 
 
-def verified(links: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame:
-    """The links whose texts have at least ``similar`` of their shingles in common, by their exact sets.
-
-    Only texts that have a link are read again: ``base`` holds key, h, text, and ``nodes`` names one text a node.
-    """
-    some = links.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    one = nodes.join(some, "id").select("id", F.col("first.key").alias("k"), F.col("first.h").alias("hh"))
+def sets_of(ids: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5) -> DataFrame:
+    """id, shingles of the nodes ``ids``, cut. Their texts are read again: ``base`` holds key, h, text, ``nodes`` names one a node."""
+    one = nodes.join(ids, "id").select("id", F.col("first.key").alias("k"), F.col("first.h").alias("hh"))
     texts = base.join(one, F.col("key").eqNullSafe(F.col("k")) & (F.col("h") == F.col("hh"))).select("id", "text")
     with small_batches(base.sparkSession):
-        sets = cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
+        return cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
+
+
+def verified(links: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame:
+    """The links whose texts have at least ``similar`` of their shingles in common, by their exact sets."""
+    sets = sets_of(links.select(F.explode(F.array("a", "b")).alias("id")).distinct(), nodes, base, words)
     both = links.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
     return both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
 
 
+def rest_links(met: DataFrame, roots: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame | None:
+    """Links that join different ``roots``: all nodes that share a sample and are not connected yet, by their exact sets.
+
+    Only groups of more than one root are read. Groups of the same nodes (copies meet in most samples) are one. With the
+    verified links that made ``roots``, the result connects just what all pairs of ``similar`` that share a sample connect.
+    None: every group has one root.
+    """
+    of = met.select("t", "key", "id").join(roots, met.id == roots.node, "left").select("t", "key", "id", F.coalesce("root", "id").alias("root"))
+    members = [F.bit_xor(F.xxhash64("id", F.lit(i))).alias(f"m{i}") for i in range(2)]
+    open_ = of.groupBy("t", "key").agg(F.count("*").alias("n"), *members, F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi")
+    open_ = cut(open_.groupBy("n", "m0", "m1").agg(F.min(F.struct("t", "key")).alias("g")).select("g.*"))
+    if open_.isEmpty():
+        return None
+    of = cut(of.join(small(open_), ["t", "key"]))
+    sets = sets_of(of.select("id").distinct(), nodes, base, words)
+    dealt = of.join(sets, "id").select("t", "key", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("block"), "id", "root", "shingles")
+    keys = ["t", "key", "i", "j"]
+    with small_batches(base.sparkSession, 200):
+        return cut(dealt.repartition(*keys).sortWithinPartitions(*keys, "block", "id").mapInArrow(lambda b: _rest_links(b, similar), "a long, b long").distinct())
+
+
+def _rest_links(batches: Iterator[pa.RecordBatch], similar: float) -> Iterator[pa.RecordBatch]:
+    """Links of pairs of blocks; rows come sorted by pair, a pair at a time is held."""
+    held: list[pa.RecordBatch] = []
+    now = None
+    for b in batches:
+        keys = np.stack([b.column(c).to_numpy() for c in ("t", "key", "i", "j")], axis=1)
+        edge = np.flatnonzero(np.concatenate(([True], (keys[1:] != keys[:-1]).any(1), [True]))) if len(keys) else []
+        for s, e in zip(edge[:-1], edge[1:], strict=True):
+            if now is not None and (keys[s] != now).any():
+                yield _compared(held, similar)
+                held = []
+            now = keys[s]
+            held.append(b.slice(s, e - s))
+    if held:
+        yield _compared(held, similar)
+
+
+def _compared(held: list[pa.RecordBatch], similar: float) -> pa.RecordBatch:
+    """Spanning links between the roots of a block pair: nodes of block j are held against all of block i by exact sets."""
+    table = pa.Table.from_batches(held).combine_chunks()
+    node, root, block = (table.column(c).to_numpy() for c in ("id", "root", "block"))
+    shingles = table.column("shingles").combine_chunks()
+    flat, size = shingles.flatten().to_numpy(), shingles.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    at = np.concatenate(([0], np.cumsum(size)))
+    left, right = (np.flatnonzero(block == table.column(c)[0].as_py()) for c in ("i", "j"))
+    label = np.unique(root, return_inverse=True)[1]
+    out = []
+    if len(left) and len(right) and (label != label[0]).any():
+        spread = np.repeat(np.arange(len(node)), size)
+        mine = np.isin(spread, left)
+        order = np.argsort(flat[mine], kind="stable")
+        word, owner = flat[mine][order], spread[mine][order]
+        for b in right.tolist():
+            open_ = (label[left] != label[b]) & (size[left] >= similar * size[b]) & (size[b] >= similar * size[left])
+            if not open_.any():
+                continue
+            here = flat[at[b] : at[b + 1]]
+            lo = np.searchsorted(word, here, "left")
+            n = np.searchsorted(word, here, "right") - lo
+            places = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(n.sum())
+            common = np.bincount(owner[places], minlength=len(node))[left]
+            for a in left[open_ & (common >= similar * (size[left] + size[b] - common))].tolist():
+                if label[a] != label[b]:
+                    out.append((node[a], node[b]))
+                    label[label == label[a]] = label[b]
+    both = np.array(out, np.int64).reshape(-1, 2)
+    return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
+
+
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5) -> DataFrame:
     """``docs`` without all but the first (smallest key) of each group of exact or near copies, similarity 0.8 or more.
 
     Equal wide fingerprints are one node (exact copies among them); nodes are linked by ``near_links``, links are held
-    against the exact shingle sets, and groups are what links connect. Texts without words are all alike. Of repeated rows one stays. Columns are those of ``docs``.
+    against the exact shingle sets, and so are all other pairs that share a sample and are not connected by then; groups
+    are what links connect. Texts without words are all alike. Of repeated rows one stays. Columns are those of ``docs``.
     """
     h = F.xxhash64(F.coalesce(F.col(text), F.lit("")))
     base = docs.select(F.col(key).alias("key"), F.col(text).alias("text"), h.alias("h"))
@@ -415,7 +497,12 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: in
         marked = cut(wide_fingerprints(base, ["key", "h"], "text", words))
     nodes = marked.groupBy("wide").agg(F.min(F.struct("key", "h")).alias("first"), F.first("samples").alias("samples"))
     nodes = cut(nodes.withColumn("id", F.xxhash64("wide")))
-    roots = components(verified(cut(near_links(nodes)), nodes, base, words))
+    met = meetings(sampled(nodes))
+    links_ = cut(verified(cut(near_links(nodes, GROUP, met)), nodes, base, words))
+    roots = components(links_)
+    rest = rest_links(met, roots, nodes, base, words)
+    if rest is not None and not rest.isEmpty():
+        roots = components(links_.unionByName(rest))
     of = nodes.join(roots, nodes.id == roots.node, "left").select("id", "first", F.coalesce("root", "id").alias("root"))
     best = of.groupBy("root").agg(F.min("first").alias("first"))
     kept = cut(best.select("first.key", "first.h"))
