@@ -263,3 +263,11 @@ def test_stars_of_near_copies_equal_brute_force(spark, n):
     r = random.Random(11)
     texts = [prose(r, 110), *star(r, n)[::-1]]  # the base comes last
     assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == [0, 1]
+
+
+def test_groups_over_the_limit_equal_brute_force(spark, monkeypatch):
+    for name, value in (("GROUP", 10), ("BLOCK", 40), ("BLOCK_SHINGLES", 3000)):
+        monkeypatch.setattr(simhash, name, value, raising=False)
+    r = random.Random(12)
+    texts = [*star(r, 300)[::-1], *star(r, 80)[::-1], *[prose(r, 110) for _ in range(5)]]
+    assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == [0, 301, *range(382, 387)]

@@ -223,6 +223,8 @@ SIMILAR = 0.8
 #: Samples of a text and shingles in each: two texts of similarity s agree in a sample with chance s**SAMPLED.
 SAMPLES, SAMPLED = 12, 3
 LEVELS = 3
+#: A block of a group holds some so many nodes and shingles at most; a task holds two blocks against each other.
+BLOCK, BLOCK_SHINGLES = 1000, 1 << 18
 
 
 def _wide(h: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -419,7 +421,8 @@ def rest_links(met: DataFrame, roots: DataFrame, nodes: DataFrame, base: DataFra
 
     Only groups of more than one root are read. Groups of the same nodes (copies meet in most samples) are one. With the
     verified links that made ``roots``, the result connects just what all pairs of ``similar`` that share a sample connect.
-    None: every group has one root.
+    None: every group has one root. A large group is dealt into blocks and every block is held against every other, so no
+    task grows with the group.
     """
     of = met.select("t", "key", "id").join(roots, met.id == roots.node, "left").select("t", "key", "id", F.coalesce("root", "id").alias("root"))
     members = [F.bit_xor(F.xxhash64("id", F.lit(i))).alias(f"m{i}") for i in range(2)]
@@ -429,7 +432,11 @@ def rest_links(met: DataFrame, roots: DataFrame, nodes: DataFrame, base: DataFra
         return None
     of = cut(of.join(small(open_), ["t", "key"]))
     sets = sets_of(of.select("id").distinct(), nodes, base, words)
-    dealt = of.join(sets, "id").select("t", "key", F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(0).alias("block"), "id", "root", "shingles")
+    total = of.join(sets.select("id", F.size("shingles").alias("size")), "id").groupBy("t", "key").agg(F.count("*").alias("n"), F.sum("size").alias("size"))
+    total = cut(total.select("t", "key", F.greatest(F.ceil(F.col("n") / BLOCK), F.ceil(F.col("size") / BLOCK_SHINGLES)).cast("int").alias("blocks")))
+    of = of.join(small(total), ["t", "key"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit(2)), F.col("blocks")).cast("int"))
+    pairs = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("i"), F.greatest("block", j).alias("j")))
+    dealt = of.join(sets, "id").withColumn("pair", F.explode(pairs)).select("t", "key", "pair.i", "pair.j", "block", "id", "root", "shingles")
     keys = ["t", "key", "i", "j"]
     with small_batches(base.sparkSession, 200):
         return cut(dealt.repartition(*keys).sortWithinPartitions(*keys, "block", "id").mapInArrow(lambda b: _rest_links(b, similar), "a long, b long").distinct())
