@@ -271,3 +271,10 @@ def test_groups_over_the_limit_equal_brute_force(spark, monkeypatch):
     r = random.Random(12)
     texts = [*star(r, 300)[::-1], *star(r, 80)[::-1], *[prose(r, 110) for _ in range(5)]]
     assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == [0, 301, *range(382, 387)]
+
+
+def test_different_texts_with_one_filler_word_stay(spark):
+    r = random.Random(13)
+    texts = [" ".join(["x"] * 300) + " " + prose(r, 200) for _ in range(8)]
+    texts += [texts[0].upper(), texts[1] + " \n"]  # copies by their shingles
+    assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == list(range(8))

@@ -265,16 +265,29 @@ def _samples(h: np.ndarray, at: np.ndarray) -> np.ndarray:
     return out
 
 
+def _same(h: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """Two sums (texts x 2) over each text's different shingles, whatever their order; texts without shingles: 0."""
+    out = np.zeros((len(at) - 1, 2), np.uint64)
+    for i in range(len(at) - 1):
+        u = np.unique(h[at[i] : at[i + 1]])
+        for k in range(2):
+            out[i, k] = _remix(u, 2001 + k).sum(dtype=np.uint64)
+    return out
+
+
 def wide_fingerprints(docs: DataFrame, keep: list[str], text: str = "text", words: int = 5) -> DataFrame:
-    """``keep`` columns, ``wide`` (the fingerprint as longs) and ``samples`` (a long each) of whole texts."""
+    """``keep`` columns, ``wide`` (the fingerprint as longs), ``samples`` (a long each) and ``same`` of whole texts.
+
+    ``same`` (two longs) is equal for texts with equal sets of shingles, and for others by a chance of 2**-128 only.
+    """
     from worldfold.llm.fingerprints import _parts, shingle_hashes
 
-    schema = docs.select(*keep).schema.add("wide", ArrayType(LongType())).add("samples", ArrayType(LongType()))
+    schema = docs.select(*keep).schema.add("wide", ArrayType(LongType())).add("samples", ArrayType(LongType())).add("same", ArrayType(LongType()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = [(x.as_py() or "").encode() for x in b.column(0)]
-            wide, samples = [], []
+            wide, samples, same = [], [], []
             for part in _parts(texts):
                 ends = np.cumsum(np.fromiter(map(len, part), np.int64, len(part)))
                 h, owner = shingle_hashes(np.frombuffer(b"".join(part), np.uint8), ends, words)
@@ -283,8 +296,9 @@ def wide_fingerprints(docs: DataFrame, keep: list[str], text: str = "text", word
                 at = np.concatenate(([0], np.cumsum(np.bincount(owner, minlength=len(part))))).astype(np.int64)
                 wide.append(_wide(h, at))
                 samples.append(_samples(h, at))
-            both = [pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(x).ravel().view(np.int64)), n).cast(pa.list_(pa.int64())) for x, n in ((wide, WIDE // 64), (samples, SAMPLES))]
-            yield pa.RecordBatch.from_arrays([*b.columns[1:], *both], names=[*keep, "wide", "samples"])
+                same.append(_same(h, at))
+            both = [pa.FixedSizeListArray.from_arrays(pa.array(np.concatenate(x).ravel().view(np.int64)), n).cast(pa.list_(pa.int64())) for x, n in ((wide, WIDE // 64), (samples, SAMPLES), (same, 2))]
+            yield pa.RecordBatch.from_arrays([*b.columns[1:], *both], names=[*keep, "wide", "samples", "same"])
 
     return docs.select(F.col(text).alias("__text"), *keep).mapInArrow(run, schema)
 
@@ -494,7 +508,7 @@ def _compared(held: list[pa.RecordBatch], similar: float) -> pa.RecordBatch:
 def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5) -> DataFrame:
     """``docs`` without all but the first (smallest key) of each group of exact or near copies, similarity 0.8 or more.
 
-    Equal wide fingerprints are one node (exact copies among them); nodes are linked by ``near_links``, links are held
+    Texts with equal sets of shingles are one node (exact copies among them); nodes are linked by ``near_links``, links are held
     against the exact shingle sets, and so are all other pairs that share a sample and are not connected by then; groups
     are what links connect. Texts without words are all alike. Of repeated rows one stays. Columns are those of ``docs``.
     """
@@ -502,8 +516,8 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: in
     base = docs.select(F.col(key).alias("key"), F.col(text).alias("text"), h.alias("h"))
     with small_batches(docs.sparkSession):
         marked = cut(wide_fingerprints(base, ["key", "h"], "text", words))
-    nodes = marked.groupBy("wide").agg(F.min(F.struct("key", "h")).alias("first"), F.first("samples").alias("samples"))
-    nodes = cut(nodes.withColumn("id", F.xxhash64("wide")))
+    nodes = marked.groupBy("same").agg(F.min(F.struct("key", "h")).alias("first"), F.first("wide").alias("wide"), F.first("samples").alias("samples"))
+    nodes = cut(nodes.withColumn("id", F.xxhash64("same")))
     met = meetings(sampled(nodes))
     links_ = cut(verified(cut(near_links(nodes, GROUP, met)), nodes, base, words))
     roots = components(links_)
