@@ -278,3 +278,20 @@ def test_different_texts_with_one_filler_word_stay(spark):
     texts = [" ".join(["x"] * 300) + " " + prose(r, 200) for _ in range(8)]
     texts += [texts[0].upper(), texts[1] + " \n"]  # copies by their shingles
     assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == list(range(8))
+
+
+def test_repeated_lines_and_short_texts_equal_brute_force(spark):
+    r = random.Random(14)
+    texts = [prose(r, 150) for _ in range(6)]
+    texts += [t + f" {line}" * n for t in texts[:6] for line in [prose(r, 10)] for n in (5, 10)]
+    short = [prose(r, 8) for _ in range(60)]
+    texts += [*short, *[f"{t} more" for t in short]]
+    assert kept_ids(docs(spark, texts)) == first_of_groups(texts) == [*range(6), *range(18, 78)]
+
+
+def test_wide_fingerprints_count_a_shingle_once(spark):
+    r = random.Random(15)
+    t, line = prose(r, 150), prose(r, 10)
+    # five appended lines have all the shingles that fifty have
+    rows = simhash.wide_fingerprints(docs(spark, [f"{t} {line} {line}" + f" {line}" * n for n in (3, 48)]), ["doc_id"]).collect()
+    assert rows[0]["wide"] == rows[1]["wide"] and rows[0]["same"] == rows[1]["same"]

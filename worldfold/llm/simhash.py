@@ -228,7 +228,7 @@ BLOCK, BLOCK_SHINGLES = 1000, 1 << 18
 
 
 def _wide(h: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Wide fingerprints (texts x WIDE/64) of shingle hashes ``h``; those of text i are h[at[i]:at[i + 1]]."""
+    """Wide fingerprints (texts x WIDE/64) of different shingle hashes ``h``; those of text i are h[at[i]:at[i + 1]]."""
     lanes = WIDE // 64
     out = np.zeros((len(at) - 1, lanes), np.uint64)
     for k in range(lanes):
@@ -266,12 +266,12 @@ def _samples(h: np.ndarray, at: np.ndarray) -> np.ndarray:
 
 
 def _same(h: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """Two sums (texts x 2) over each text's different shingles, whatever their order; texts without shingles: 0."""
+    """Two sums (texts x 2) over the shingles of each text; texts without shingles: 0."""
     out = np.zeros((len(at) - 1, 2), np.uint64)
-    for i in range(len(at) - 1):
-        u = np.unique(h[at[i] : at[i + 1]])
+    some = np.flatnonzero(at[1:] > at[:-1])
+    if len(some):
         for k in range(2):
-            out[i, k] = _remix(u, 2001 + k).sum(dtype=np.uint64)
+            out[some, k] = np.add.reduceat(_remix(h, 2001 + k), at[some])
     return out
 
 
@@ -291,8 +291,11 @@ def wide_fingerprints(docs: DataFrame, keep: list[str], text: str = "text", word
             for part in _parts(texts):
                 ends = np.cumsum(np.fromiter(map(len, part), np.int64, len(part)))
                 h, owner = shingle_hashes(np.frombuffer(b"".join(part), np.uint8), ends, words)
-                order = np.argsort(owner, kind="stable")
-                h = h[order]
+                order = np.lexsort((h, owner))
+                h, owner = h[order], owner[order]
+                new = np.ones(len(h), bool)  # a shingle counts once a text, as it does in its set
+                new[1:] = (h[1:] != h[:-1]) | (owner[1:] != owner[:-1])
+                h, owner = h[new], owner[new]
                 at = np.concatenate(([0], np.cumsum(np.bincount(owner, minlength=len(part))))).astype(np.int64)
                 wide.append(_wide(h, at))
                 samples.append(_samples(h, at))
