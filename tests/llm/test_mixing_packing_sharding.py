@@ -178,3 +178,18 @@ def test_shards_of_few_rows(spark):
     assert len(got) == 3 and got["size"].tolist() == [1, 1, 1]
     for _, g in got.groupby("shard"):
         assert sorted(g.slot) == list(range(len(g)))
+
+
+def test_small_sources_of_a_large_corpus_meet_their_targets(spark):
+    # 20 million words; the weights ask for all of the small sources thrice
+    rows = [(0, "w " * 500, "b"), (1, "w " * 7, "c"), *[(k, "w " * 400_000, "a") for k in range(2, 52)]]
+    got = mixing.mix(docs(spark, rows).repartition(8), min_block=1).groupBy("source").agg({"taken": "sum", "target": "max"}).collect()
+    assert len(got) == 3 and all(abs(x["sum(taken)"] - x["max(target)"]) <= 4 for x in got), got
+
+
+def test_points_of_the_schedule_do_not_overflow(spark):
+    # slots over 2**32 / golden ratio would overflow a long as one product
+    n = 4_000_000_000
+    point = f"((slot div 65536 % 65536 * {mixing.GOLDEN} % 65536) * 65536 + slot % 65536 * {mixing.GOLDEN}) % {2**32}"
+    got = [x[1] for x in spark.range(n, n + 50).withColumnRenamed("id", "slot").selectExpr("slot", f"{point} AS point").orderBy("slot").collect()]
+    assert got == [s * mixing.GOLDEN % 2**32 for s in range(n, n + 50)]

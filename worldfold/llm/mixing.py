@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from worldfold.llm.common import buckets_for, cut, documents, running, word_count
+from worldfold.llm.common import buckets_for, cut, documents, running, small, word_count
 
 #: Fixed value: 2**32 divided by the golden ratio, made odd; multiples modulo 2**32 are the schedule's points.
 GOLDEN = 2654435769
@@ -46,30 +46,41 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = (5, 2, 1), cap: int = 3
     return s.select("source", "place", "source_size", F.when(F.col("stopped"), F.col("most").cast("double")).otherwise(share).alias("target"))
 
 
-def schedule(spark: SparkSession, per_source: DataFrame, total: int, block: int, cap: int = 3) -> DataFrame:
-    """A row a slot: slot, place (its source's), rank (among the source's slots) and block (of the source's stream).
+def slots_of(spark: SparkSession, per_source: DataFrame, total: int, block: int) -> DataFrame:
+    """A row a slot: slot, place (its source's) and blocks (of the source's stream).
 
-    The number of slots is total/block, bounded by the caller. Slots find their source by a join on cells of the unit
-    interval. A source gets at most ``cap`` passes over its blocks.
+    There are total/block slots. They find their source by a join on cells of the unit interval.
     """
     cum = F.sum("target").over(Window.orderBy("place").rowsBetween(Window.unboundedPreceding, 0))
-    bound = per_source.withColumn("hi", F.round(cum / total * float(2**32)).cast("long"))
+    bound = per_source.withColumn("hi", F.round(cum / max(total, 1) * float(2**32)).cast("long"))
     bound = bound.withColumn("lo", F.coalesce(F.lag("hi").over(Window.orderBy("place")), F.lit(0))).where("hi > lo")
     bound = bound.withColumn("blocks", F.ceil(F.col("source_size") / block))
     cells = bound.select("place", "lo", "hi", "blocks", F.explode(F.expr(f"sequence(lo div {2**32 // CELLS}, (hi - 1) div {2**32 // CELLS})")).alias("cell"))
     slots = spark.range(max(1, round(total / block)) if total else 0).withColumnRenamed("id", "slot")
-    slots = slots.withColumn("point", F.col("slot") * F.lit(GOLDEN) % F.lit(2**32)).withColumn("cell", F.expr(f"point div {2**32 // CELLS}"))
-    found = slots.join(cells, "cell").where("point >= lo and point < hi")
+    # the product modulo 2**32 by halves of the slot's number, so that no number of slots overflows
+    point = F.expr(f"((slot div 65536 % 65536 * {GOLDEN} % 65536) * 65536 + slot % 65536 * {GOLDEN}) % {2**32}")
+    slots = slots.withColumn("point", point).withColumn("cell", F.expr(f"point div {2**32 // CELLS}"))
+    return slots.join(small(cut(cells)), "cell").where("point >= lo and point < hi").select("slot", "place", "blocks")
+
+
+def schedule(spark: SparkSession, per_source: DataFrame, total: int, block: int, cap: int = 3) -> DataFrame:
+    """A row a slot: slot, place (its source's), rank (among the source's slots) and block (of the source's stream).
+
+    A source gets at most ``cap`` passes over its blocks. Ranks are a window by source: this lists a schedule to read it;
+    ``mix`` needs the number of a source's slots only.
+    """
+    found = slots_of(spark, per_source, total, block)
     found = found.withColumn("rank", F.row_number().over(Window.partitionBy("place").orderBy("slot")) - 1)
     return found.where(F.col("rank") < F.col("blocks") * cap).select("slot", "place", "rank", (F.col("rank") % F.col("blocks")).alias("block"))
 
 
-def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = (5, 2, 1), cap: int = 3, min_block: int = 16, max_slots: int = 1 << 20) -> DataFrame:
+def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", weights: tuple[int, ...] = (5, 2, 1), cap: int = 3, min_block: int = 16) -> DataFrame:
     """A row a document: key, source, size, source_size, target, taken (words the mix takes of it, repeats counted).
 
-    Blocks hold at least ``min_block`` words and as many as keep the schedule within ``max_slots`` slots, so the
-    schedule's size is bounded however large the corpus is; its error is a few blocks a source. A source's documents are
-    shuffled by a hash of the key and laid end to end; a prefix sum by buckets keeps a source with most rows spread out.
+    Blocks hold ``min_block`` words however large the corpus is, so the error stays a few such blocks a source. The k-th
+    slot of a source takes block k modulo its blocks: of n slots every block gets n div blocks, and the first n modulo
+    blocks get one more. So slots are only counted by source, and never listed, ranked or shuffled. A source's documents
+    are shuffled by a hash of the key and laid end to end; a prefix sum by buckets keeps a source with most rows spread out.
 
     Null text or source: no words; the null source is a source. Repeated rows are documents of their own. A document
     without words takes nothing. An empty table gives no rows. Other columns are ignored.
@@ -77,31 +88,22 @@ def mix(docs: DataFrame, key: str = "doc_id", text: str = "text", source: str =
     spark = docs.sparkSession
     sizes = sized(docs, key, text, source)
     rows, total = sizes.agg(F.count("*"), F.coalesce(F.sum("size"), F.lit(0))).first()
-    block = max(min_block, -(-total // max_slots))
     per_source = targets(sizes, weights, cap)
-    slots = schedule(spark, per_source, total, block, cap)
-    times = slots.groupBy("place", "block").count()
-    # words taken of the stream before each block: the mix of a document is a difference of two places of the stream
-    blocks = per_source.where("source_size > 0").select("place", "source_size", F.explode(F.expr(f"sequence(0L, source_size div {block})")).alias("block"))
-    blocks = blocks.join(times, ["place", "block"], "left").withColumn("times", F.coalesce("count", F.lit(0)))
-    length = F.least(F.lit(block), F.col("source_size") - F.col("block") * block)
-    before = Window.partitionBy("place").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    blocks = cut(blocks.select("place", "block", "times", F.coalesce(F.sum(F.col("times") * length).over(before), F.lit(0)).alias("before")))
+    count = slots_of(spark, per_source, total, min_block).groupBy("place", "blocks").agg(F.count("*").alias("slots"))
+    count = count.withColumn("slots", F.least("slots", F.col("blocks") * cap))
+    # whole passes over a source's stream, and the words of its start that are taken once more
+    count = count.select("place", F.expr("slots div blocks").alias("passes"), (F.col("slots") % F.col("blocks") * min_block).alias("more"))
+    per_source = cut(per_source.join(count, "place", "left").fillna(0, ["passes", "more"]))
     n = buckets_for(rows)
     placed = running(sizes.withColumn("bucket", F.expr(f"cast(conv(substr(shuffled, 1, 8), 16, 10) as bigint) * {n} div {2**32}")), ["source"], "bucket", [F.col("shuffled"), F.col("key"), F.col("size")], F.col("size"), "start")
     s = per_source.withColumnRenamed("source", "__source")
     placed = placed.join(s, F.col("source").eqNullSafe(F.col("__source")), "left").drop("__source")
-    some, none = placed.where("size > 0"), placed.where("size = 0")
-
-    def at(df: DataFrame, where: Column, out: str) -> DataFrame:
-        b = blocks.select("place", F.col("block").alias("__block"), "times", "before")
-        df = df.withColumn("__at", where).withColumn("__block", F.expr(f"__at div {block}"))
-        df = df.join(b, ["place", "__block"], "left")
-        return df.withColumn(out, F.col("before") + F.col("times") * (F.col("__at") - F.col("__block") * block)).drop("__at", "__block", "times", "before")
+    # words taken of the stream before a place of it: the mix of a document is a difference of two
+    def before(at: Column) -> Column:
+        return F.col("passes") * at + F.least(at, F.col("more"))
 
-    some = at(at(some, F.col("start"), "from"), F.col("start") + F.col("size"), "to")
-    cols = ["key", "source", "size", "source_size", "target"]
-    out = some.select(*cols, (F.col("to") - F.col("from")).alias("taken")).unionByName(none.select(*cols, F.lit(0).cast("long").alias("taken")))
+    taken = F.when(F.col("size") > 0, before(F.col("start") + F.col("size")) - before(F.col("start"))).otherwise(0)
+    out = placed.select("key", "source", "size", "source_size", "target", taken.cast("long").alias("taken"))
     return out.withColumnRenamed("key", key).withColumnRenamed("source", source)
 
 
