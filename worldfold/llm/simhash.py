@@ -425,15 +425,14 @@ def sets_of(ids: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5) -
         return cut(shingle_sets(texts, ["id"], "text", words).dropDuplicates(["id"]))
 
 
-def verified(links: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame:
-    """The links whose texts have at least ``similar`` of their shingles in common, by their exact sets."""
-    sets = sets_of(links.select(F.explode(F.array("a", "b")).alias("id")).distinct(), nodes, base, words)
+def verified(links: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> DataFrame:
+    """The links whose texts have at least ``similar`` of their shingles in common, by their exact ``sets``."""
     both = links.join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), "a").join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
     return both.where(common >= similar * (F.size("sa") + F.size("sb") - common)).select("a", "b")
 
 
-def rest_links(met: DataFrame, roots: DataFrame, nodes: DataFrame, base: DataFrame, words: int = 5, similar: float = SIMILAR) -> DataFrame | None:
+def rest_links(met: DataFrame, roots: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> DataFrame | None:
     """Links that join different ``roots``: all nodes that share a sample and are not connected yet, by their exact sets.
 
     Only groups of more than one root are read. Groups of the same nodes (copies meet in most samples) are one. With the
@@ -448,14 +447,13 @@ def rest_links(met: DataFrame, roots: DataFrame, nodes: DataFrame, base: DataFra
     if open_.isEmpty():
         return None
     of = cut(of.join(small(open_), ["t", "key"]))
-    sets = sets_of(of.select("id").distinct(), nodes, base, words)
     total = of.join(sets.select("id", F.size("shingles").alias("size")), "id").groupBy("t", "key").agg(F.count("*").alias("n"), F.sum("size").alias("size"))
     total = cut(total.select("t", "key", F.greatest(F.ceil(F.col("n") / BLOCK), F.ceil(F.col("size") / BLOCK_SHINGLES)).cast("int").alias("blocks")))
     of = of.join(small(total), ["t", "key"]).withColumn("block", F.pmod(F.xxhash64("id", F.lit(2)), F.col("blocks")).cast("int"))
     pairs = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda j: F.struct(F.least("block", j).alias("i"), F.greatest("block", j).alias("j")))
     dealt = of.join(sets, "id").withColumn("pair", F.explode(pairs)).select("t", "key", "pair.i", "pair.j", "block", "id", "root", "shingles")
     keys = ["t", "key", "i", "j"]
-    with small_batches(base.sparkSession, 200):
+    with small_batches(met.sparkSession, 200):
         return cut(dealt.repartition(*keys).sortWithinPartitions(*keys, "block", "id").mapInArrow(lambda b: _rest_links(b, similar), "a long, b long").distinct())
 
 
@@ -522,9 +520,10 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: in
     nodes = marked.groupBy("same").agg(F.min(F.struct("key", "h")).alias("first"), F.first("wide").alias("wide"), F.first("samples").alias("samples"))
     nodes = cut(nodes.withColumn("id", F.xxhash64("same")))
     met = meetings(sampled(nodes))
-    links_ = cut(verified(cut(near_links(nodes, GROUP, met)), nodes, base, words))
+    sets = sets_of(met.select("id").distinct(), nodes, base, words)  # once, for both kinds of links
+    links_ = cut(verified(cut(near_links(nodes, GROUP, met)), sets))
     roots = components(links_)
-    rest = rest_links(met, roots, nodes, base, words)
+    rest = rest_links(met, roots, sets)
     if rest is not None and not rest.isEmpty():
         roots = components(links_.unionByName(rest))
     of = nodes.join(roots, nodes.id == roots.node, "left").select("id", "first", F.coalesce("root", "id").alias("root"))
