@@ -75,7 +75,7 @@ def test_kernel_engine_with_many_groups_nulls_and_no_rows(spark):
     rows = [(i % 300, (i % 7) or None, int(m), None if i % 5 == 0 else i * 1.5) for i, m in enumerate(masks_of(2000))]
     df = spark.createDataFrame(rows, "a long, b long, mask long, v double")
     specs = V.specs_of(df, [("s", "sum", "v"), ("n", "count", "v")])
-    kernel, _ = V.aggregate(df, ["a", "b"], "mask", specs)
+    kernel, _, _ = V.aggregate(df, ["a", "b"], "mask", specs)
     wide = df.groupBy("a", "b").agg(A.world_sum("mask", "v").alias("s"), A.world_count("mask", "v").alias("n"))
     key = lambda r: (r["a"], r["b"] is None, r["b"])
     for x, y in zip(sorted(kernel.collect(), key=key), sorted(wide.collect(), key=key), strict=True):
@@ -90,7 +90,7 @@ def test_kernel_engine_with_many_groups_nulls_and_no_rows(spark):
 def test_kernel_engine_keeps_nan_to_its_worlds_and_big_numbers_exact(spark):
     m = [0b0101, 0b0010]
     df = spark.createDataFrame([(m[0], float("nan"), 2**60), (m[1], 1.0, 3)], "mask long, v double, w long")
-    out, _ = V.aggregate(df, [], "mask", V.specs_of(df, [("s", "sum", "v"), ("t", "sum", "w")]))
+    out, _, _ = V.aggregate(df, [], "mask", V.specs_of(df, [("s", "sum", "v"), ("t", "sum", "w")]))
     r = out.collect()[0]
     assert np.isnan(r["s"][0]) and r["s"][1] == 1.0 and r["s"][3] is None
     assert r["t"][:4] == [2**60, 3, 2**60, None]
@@ -182,6 +182,6 @@ def test_a_hot_group_among_many_rare_ones(spark):
     m = masks_of(30_000)
     rows = [(0 if i % 3 == 0 else i // 5, int(x), i % 100) for i, x in enumerate(m)]
     df = spark.createDataFrame(rows, "g long, mask long, v long").repartition(3)
-    out, _ = V.aggregate(df, ["g"], "mask", V.specs_of(df, [("s", "sum", "v"), ("hi", "max", "v")]))
+    out, _, _ = V.aggregate(df, ["g"], "mask", V.specs_of(df, [("s", "sum", "v"), ("hi", "max", "v")]))
     want = df.groupBy("g").agg(A.world_sum("mask", "v").alias("s"), A.world_max("mask", "v").alias("hi"))
     assert {r["g"]: (r["s"], r["hi"]) for r in out.collect()} == {r["g"]: (r["s"], r["hi"]) for r in want.collect()}

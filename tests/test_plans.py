@@ -113,7 +113,8 @@ def test_budget_is_charged_by_cell_before_rows_come_out(spark, sf):
 
 def test_session_mode_keeps_its_worlds(spark, sf):
     a = tpch.session(spark, sf, mode="session", seed=2)
-    assert a.context() is a.context()
+    one, two = a.context(), a.context()
+    assert one.key == two.key and one.secret_world == two.secret_world and one.draws != two.draws
     b = tpch.session(spark, sf, seed=2)
     assert b.context().key != b.context().key
 
@@ -216,3 +217,120 @@ def test_aggregates_of_aggregates_by_world(spark, sf):
     inner = release.rewrite("SELECT l_suppkey, sum(l_quantity) AS q FROM lineitem GROUP BY l_suppkey", tpch.CONTEXT, "vectors").collect()
     v = lift.rewrite(sql, tpch.CONTEXT, "vectors").collect()[0]["m"]
     assert v == pytest.approx([max(r["q"][j] for r in inner if r["q"][j] is not None) for j in range(64)])
+
+
+LEDGER = {  # query: (cells that are released, coins that are tossed) as functions of exact counts
+    "SELECT l_returnflag, count(*) AS n, sum(l_tax) AS t FROM lineitem GROUP BY l_returnflag": lambda n: (2 * n("l_returnflag"), 0),
+    "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY n DESC LIMIT 1": lambda n: (n("l_suppkey"), 0),
+    "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY n DESC LIMIT 2 OFFSET 3": lambda n: (n("l_suppkey"), 0),
+    "SELECT l_suppkey FROM lineitem GROUP BY l_suppkey HAVING sum(l_quantity) > 1200": lambda n: (0, n("l_suppkey")),
+    "SELECT max(q) AS m FROM (SELECT l_suppkey, sum(l_quantity) AS q FROM lineitem GROUP BY l_suppkey) t": lambda n: (n("l_suppkey"), 0),
+    "SELECT n_name FROM nation": lambda n: (0, 0),
+}
+
+
+@pytest.mark.parametrize("sql", LEDGER)
+def test_cells_are_charged_where_they_are_released(spark, sf, sql):
+    s = tpch.session(spark, sf, seed=4)
+    s.sql(sql).collect()
+    cells, tosses = LEDGER[sql](lambda c: spark.table("lineitem").select(c).distinct().count())
+    assert (sum(e.cells for e in s.ledger.entries), sum(e.tosses for e in s.ledger.entries)) == (cells, tosses)
+    assert s.ledger.spent == pytest.approx(cells / 128)
+    s.close()
+
+
+def test_two_answers_share_no_draw(spark, sf):
+    """Whoever knows all worlds could solve two answers with one draw for the secret world."""
+    import numpy as np
+
+    s = tpch.session(spark, sf, mode="session", seed=9)
+    left = []
+    for agg in ("sum(l_quantity)", "sum(l_tax)", "sum(l_quantity)"):
+        sql = f"SELECT l_suppkey, {agg} AS v, {agg} AS w FROM lineitem GROUP BY l_suppkey"
+        exact = {r["l_suppkey"]: np.array([x or 0.0 for x in r["v"]]) for r in s.rewrite(sql, s.kept, "vectors").collect()}
+        for c in ("v", "w"):
+            got = {r["l_suppkey"]: r[c] for r in s.rewrite(sql).collect()}
+            left.append([None if got[k] is None else (got[k] - v[s.kept.secret_world]) / (v.std() * 8) for k, v in sorted(exact.items())])
+    z = [np.array(x, float) for x in left]
+    for i in range(len(z)):
+        for j in range(i):
+            both = ~np.isnan(z[i]) & ~np.isnan(z[j])
+            assert both.sum() >= 8 and np.abs(z[i][both] - z[j][both]).max() > 0.1
+    assert np.nanstd(np.concatenate(z)) == pytest.approx(1, abs=0.35)
+    # the attack: the one world for which both answers give the same noise was the secret one
+    one, two = (s.rewrite(f"SELECT sum({c}) AS v FROM lineitem").first()["v"] for c in ("l_quantity", "l_tax"))
+    a, b = (np.array(s.rewrite(f"SELECT sum({c}) AS v FROM lineitem", s.kept, "vectors").first()["v"]) for c in ("l_quantity", "l_tax"))
+    gap = np.abs((one - a) / a.std() - (two - b) / b.std())
+    assert gap[s.kept.secret_world] > 1e-6
+
+
+def test_running_posterior_through_sql(spark, sf):
+    import numpy as np
+
+    from worldfold.functions.release import Posterior, gaussian
+
+    s = tpch.session(spark, sf, mode="session", seed=5, posterior="sequential", null_draw=False)
+    sql = "SELECT l_returnflag, sum(l_quantity) AS q, count(*) AS n FROM lineitem GROUP BY l_returnflag ORDER BY l_returnflag"
+    p, want = Posterior(64, s.kept.secret_world, s.kept.mi), []
+    for query in (1, 2):
+        got = [tuple(r)[1:] for r in s.sql(sql).collect()]
+        ctx = s.kept.but(query=query)
+        vectors = s.rewrite(sql, ctx, "vectors").select("l_returnflag", "q", "n", gaussian(ctx, "0:q", "l_returnflag").alias("g0"), gaussian(ctx, "1:n", "l_returnflag").alias("g1")).orderBy("l_returnflag").collect()
+        want = [(p.release(np.array(r["q"], float), r["g0"]), p.release(np.array(r["n"], float), r["g1"])) for r in vectors]
+        assert [x for r in got for x in r] == pytest.approx([x for r in want for x in r])
+    assert s.posterior == pytest.approx(p.log.tolist())
+    assert s.ledger.composes and s.ledger.spent == pytest.approx(12 / 128) and 0.5 < s.ledger.success_bound() < 1
+    stateless = tpch.session(spark, sf, seed=5)
+    stateless.sql(sql)
+    assert not stateless.ledger.composes
+    with pytest.raises(ValueError, match="sequential"):
+        stateless.ledger.success_bound()
+
+
+def test_nulls_are_drawn_for_sparse_groups_in_64_and_128_worlds(spark):
+    rows = [(i, i, 1.0) for i in range(600)]  # one unit a group: half of all cells
+    spark.createDataFrame(rows, "uid long, g long, v double").createOrReplaceTempView("t_sparse")
+    for worlds in (64, 128):
+        s = PrivateSession(spark, UnitCatalog().declare_unit("t_sparse", "uid", ["uid"]), worlds=worlds, seed=1)
+        got = [r["s"] for r in s.rewrite("SELECT g, sum(v) AS s FROM t_sparse GROUP BY g").collect()]
+        assert sum(x is None for x in got) == pytest.approx(300, abs=60)
+        both = [r["s"] for r in s.rewrite("SELECT g, sum(v) / count(*) AS s FROM t_sparse GROUP BY g").collect()]
+        assert sum(x is None for x in both) == pytest.approx(300, abs=60)
+
+
+@pytest.mark.parametrize("value", ["sum(cast(v AS decimal(12, 2)))", "count(DISTINCT v)", "sum(CASE WHEN uid = 1 THEN v END)", "max(v)"])
+@pytest.mark.parametrize("worlds", [64, 128])
+def test_every_aggregate_refuses_a_single_unit(spark, value, worlds):
+    rows = [(1, "alone", float(i)) for i in range(100)] + [(i, "many", 1.0) for i in range(2, 200)]
+    spark.createDataFrame(rows, "uid long, g string, v double").createOrReplaceTempView("t_fed")
+    s = PrivateSession(spark, UnitCatalog().declare_unit("t_fed", "uid", ["uid"]), worlds=worlds)
+    with pytest.raises(Exception, match="single privacy unit"):
+        s.rewrite(f"SELECT g, {value} AS s FROM t_fed GROUP BY g").collect()
+    assert s.rewrite(f"SELECT g, {value} AS s FROM t_fed WHERE g = 'many' GROUP BY g").count() == 1
+
+
+def test_formal_class_and_warnings(session):
+    v = session.classify("SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY n DESC LIMIT 3 OFFSET 10")
+    assert v.formal and set(v.warnings) == {"ORDER_BY_NOISED", "LIMIT_ON_NOISED_ORDER", "OFFSET_ON_NOISED_ORDER"}
+    assert session.classify("SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY l_suppkey LIMIT 3").warnings == ()
+    assert session.classify(tpch.SQL["h20"]).outside == ("FILTER_AFTER_AGGREGATE",)
+    assert session.classify("SELECT max(q) AS m FROM (SELECT l_suppkey, sum(l_quantity) AS q FROM lineitem GROUP BY l_suppkey) t").outside == ("COMPUTED_FROM_RELEASED",)
+    assert session.classify(tpch.SQL["h17"]).formal
+
+
+def test_inner_aggregates_read_only_what_is_asked(session):
+    df = session.rewrite(tpch.SQL["h17"], tpch.CONTEXT, "vectors")
+    plan = df._jdf.queryExecution().optimizedPlan().toString()
+    assert "LeftSemi" in plan
+    whole = "SELECT sum(l_tax) AS t FROM lineitem JOIN part ON p_partkey = l_partkey WHERE l_quantity < (SELECT avg(x.l_quantity) FROM lineitem x WHERE x.l_partkey = p_partkey)"
+    assert "LeftSemi" not in session.rewrite(whole, tpch.CONTEXT, "vectors")._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_columns_without_nulls_and_many_wide_keys(spark):
+    from worldfold.operators import vectorized as V
+
+    df = spark.range(3000).select(*[(F.col("id") * (k + 3)).alias(f"k{k}") for k in range(7)], (F.col("id") * 7919).alias("m"), F.lit(2).alias("v"))
+    assert not df.schema["m"].nullable
+    keys = [f"k{k}" for k in range(7)]
+    out, touched, updates = V.aggregate(df, keys, "m", [V.Spec("s", "sum", "v", True)])
+    assert out.count() == 3000 and out.agg(F.sum(updates["s"])).first()[0] == 3000

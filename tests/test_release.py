@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from worldfold.context import QueryContext, attack_bound
 from worldfold.functions import lift as L
-from worldfold.functions.release import Posterior, diversity_guard, null_chance, release, release_sequential, rounded, simulate_attack, weighted_var
+from worldfold.functions.release import Posterior, diversity_guard, gaussian, null_chance, release, release_sequential, rounded, simulate_attack, weighted_var
 from worldfold.workloads.distributions import masks_of
 
 CTX = QueryContext("k", 5, hash="md5")
@@ -76,10 +76,23 @@ def test_posterior_is_bayes():
 
 def test_sequential_release_is_a_fold_in_key_order(spark):
     df = spark.createDataFrame([(k, [float((k * j) % 13) for j in range(64)]) for k in (3, 1, 2)], "k int, v array<double>")
-    got = {r["k"]: r["v"] for r in release_sequential(df, ["k"], ["v"], CTX, seed=4).collect()}
-    p = Posterior(64, 5, CTX.mi, 4)
+    got = {r["k"]: r["v"] for r in release_sequential(df, ["k"], ["v"], CTX).collect()}
+    noise = {r["k"]: r["g"] for r in df.select("k", gaussian(CTX, "v", "k").alias("g")).collect()}
+    p = Posterior(64, 5, CTX.mi)
     for k in (1, 2, 3):
-        assert got[k] == pytest.approx(p.release(np.array([float((k * j) % 13) for j in range(64)])))
+        assert got[k] == pytest.approx(p.release(np.array([float((k * j) % 13) for j in range(64)]), noise[k]))
+
+
+def test_sequential_release_goes_on_from_an_earlier_posterior_and_skips_nulls(spark):
+    def rows(keys):
+        return spark.createDataFrame([(k, [float((k * j) % 13) for j in range(64)], 0 if k == 2 else -1) for k in keys], "k int, v array<double>, t long")
+
+    whole = release_sequential(rows((1, 2, 3, 4)), ["k"], ["v"], CTX, touched={"v": "t"}).orderBy("k").collect()
+    first = release_sequential(rows((1, 2)), ["k"], ["v"], CTX, touched={"v": "t"}, carry=True).collect()
+    left = max((r["__place"], r["__posterior"]) for r in first if r["__posterior"])[1]
+    rest = release_sequential(rows((3, 4)), ["k"], ["v"], CTX, touched={"v": "t"}, start=left).orderBy("k").collect()
+    assert whole[1]["v"] is None  # no world was reached
+    assert [r["v"] for r in whole[2:]] == pytest.approx([r["v"] for r in rest])
 
 
 def test_attack_stays_under_its_bound():

@@ -13,6 +13,8 @@ class QueryContext:
 
     ``key`` makes the worlds, ``secret_world`` is the one that is answered from, ``mi`` the mutual information spent on a
     released cell. A fresh key a query makes the budget one of the query; a session that keeps its key adds up.
+    ``query`` numbers the queries under one key: worlds depend on the key alone, noise, null draws and coins on both, so
+    two answers never share a draw.
     """
 
     key: str
@@ -24,6 +26,7 @@ class QueryContext:
     posterior: str = "uniform"  # or "sequential"
     scale: str = "estimate"  # counts and sums doubled before variance is measured; or "sample"
     noise: bool = True
+    query: int = 0
 
     @staticmethod
     def new(seed: int | None = None, **options) -> QueryContext:
@@ -34,6 +37,16 @@ class QueryContext:
             return QueryContext(entropy.token_hex(16), entropy.randbelow(worlds), **options)
         return QueryContext(f"seed-{seed}", (seed * 7919 + 13) % worlds, **options)
 
+    @property
+    def draws(self) -> str:
+        """The key of this query's draws."""
+        return f"{self.key}+{self.query}" if self.query else self.key
+
+    @property
+    def adaptive(self) -> bool:
+        """Whether noise follows the running posterior, which is what budgets add up under."""
+        return self.posterior == "sequential"
+
     @property
     def factor(self) -> int:
         return 2 if self.scale == "estimate" else 1
@@ -45,24 +58,50 @@ class QueryContext:
         return f"QueryContext(worlds={self.worlds}, mi={self.mi:g}, balance={self.balance}, posterior={self.posterior})"
 
 
+@dataclass(frozen=True)
+class Charge:
+    """One release: its cells and their price each.
+
+    ``tosses`` counts rows that a coin let through or not. A coin's chance is the share of worlds that keep the row, the same
+    whichever world is secret, so tosses tell nothing about it and cost nothing; they are listed to be seen.
+    """
+
+    what: str
+    cells: int
+    mi: float
+    tosses: int = 0
+    adaptive: bool = False
+
+
 @dataclass
 class BudgetLedger:
-    """Mutual information spent: it adds up over released cells."""
+    """Mutual information spent: it adds up over cells where they are released, below limits, filters and outer aggregates."""
 
     limit: float | None = None
-    entries: list[tuple[str, int, float]] = field(default_factory=list)
+    entries: list[Charge] = field(default_factory=list)
 
     @property
     def spent(self) -> float:
-        return sum(cells * mi for _, cells, mi in self.entries)
+        return sum(e.cells * e.mi for e in self.entries)
+
+    @property
+    def composes(self) -> bool:
+        """Whether ``spent`` bounds the information of all releases together: each cell took the running posterior into account.
+
+        Without it the bound holds for each cell on its own, not for the sum of many cells.
+        """
+        return all(e.adaptive for e in self.entries if e.cells) or sum(e.cells for e in self.entries) <= 1
 
-    def charge(self, what: str, cells: int, mi: float) -> float:
+    def charge(self, what: str, cells: int, mi: float, tosses: int = 0, adaptive: bool = False) -> float:
         if self.limit is not None and self.spent + cells * mi > self.limit + 1e-12:
             raise PermissionError(f"budget exceeded: {self.spent + cells * mi:g} of {self.limit:g}")
-        self.entries.append((what, cells, mi))
+        self.entries.append(Charge(what, cells, mi, tosses, adaptive))
         return self.spent
 
     def success_bound(self, prior: float = 0.5) -> float:
+        """The best success of an attack on all releases. Only adaptive releases have one."""
+        if not self.composes:
+            raise ValueError("releases without a running posterior have no joint bound: use posterior='sequential'")
         return attack_bound(self.spent, prior)
 
 

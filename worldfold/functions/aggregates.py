@@ -77,10 +77,24 @@ def by_name(fn: str, mask: str, column: str | None, worlds: int = 64) -> Column:
     return world_moments(mask, column, worlds, fn)
 
 
-def touched(mask: ColumnOrName, expr: ColumnOrName | None = None) -> Column:
-    """Worlds (a long) that at least one row, with a value where ``expr`` is given, has reached."""
+def touched(mask: ColumnOrName, expr: ColumnOrName | None = None, worlds: int = 64) -> Column:
+    """Worlds (a long, or an array of two) that at least one row, with a value where ``expr`` is given, has reached."""
     m = _col(mask)
-    return F.bit_or(m if expr is None else F.when(_col(expr).isNotNull(), m))
+    words = [m] if worlds == 64 else [F.element_at(m, w + 1) for w in range(worlds // 64)]
+    reached = [F.bit_or(w if expr is None else F.when(_col(expr).isNotNull(), w)) for w in words]
+    return reached[0] if worlds == 64 else F.array(*reached)
+
+
+def touched_both(a: ColumnOrName, b: ColumnOrName, worlds: int = 64) -> Column:
+    """Worlds that two touched columns have in common: those in which a combination of their aggregates has a value."""
+    return _col(a).bitwiseAND(_col(b)) if worlds == 64 else F.zip_with(a, b, lambda x, y: x.bitwiseAND(y))
+
+
+def worlds_touched(t: ColumnOrName, worlds: int = 64) -> Column:
+    """How many worlds a touched column has; null (no row at all) is none."""
+    if worlds == 64:
+        return F.coalesce(F.bit_count(_col(t)), F.lit(0))
+    return F.aggregate(_col(t), F.lit(0), lambda n, w: n + F.coalesce(F.bit_count(w), F.lit(0)))
 
 
 def scaled(vector: Column, ctx: QueryContext) -> Column:

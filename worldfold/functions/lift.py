@@ -71,12 +71,12 @@ def fraction_true(flags: Column | str) -> Column:
 
 
 def uniform(ctx: QueryContext, tag: str, *keys: Column | str) -> Column:
-    """A number between 0 and 1 that the query's key, the tag and the keys decide: the same on every retry."""
-    text = key_text(F.lit(tag), *[F.coalesce(_col(k).cast("string"), F.lit("~")) for k in keys], key=ctx.key)
+    """A number between 0 and 1 that the query's key and number, the tag and the keys decide: the same on every retry."""
+    text = key_text(F.lit(tag), *[F.coalesce(_col(k).cast("string"), F.lit("~")) for k in keys], key=ctx.draws)
     n = F.conv(F.substring(F.md5(text), 1, 13), 16, 10).cast("double")
     return (n + 0.5) / float(1 << 52)
 
 
-def coin_filter(flags: Column | str, ctx: QueryContext, *row_key: Column | str) -> Column:
-    """Keeps a row with the chance that its condition has among the worlds."""
-    return uniform(ctx, "coin", *row_key) < fraction_true(flags)
+def coin_filter(flags: Column | str, ctx: QueryContext, *row_key: Column | str, tag: str = "coin") -> Column:
+    """Keeps a row with the chance that its condition has among the worlds. Each filter of a query needs a tag of its own."""
+    return uniform(ctx, tag, *row_key) < fraction_true(flags)

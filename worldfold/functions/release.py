@@ -9,8 +9,10 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType
 
 from worldfold.context import QueryContext
+from worldfold.functions.aggregates import worlds_touched
 from worldfold.functions.lift import uniform
 
 ColumnOrName = Column | str
@@ -51,15 +53,15 @@ def gaussian(ctx: QueryContext, tag: str, *keys: ColumnOrName) -> Column:
 
 def null_chance(touched: ColumnOrName, worlds: int = 64) -> Column:
     """Chance that a cell is released as null: the share of worlds no row has reached."""
-    return (worlds - F.bit_count(_col(touched))) / float(worlds)
+    return (worlds - worlds_touched(touched, worlds)) / float(worlds)
 
 
 def release(vector: ColumnOrName, ctx: QueryContext, name: str, *group: ColumnOrName, touched: ColumnOrName | None = None) -> Column:
     """The secret world's value with Gaussian noise whose variance is the worlds' variance over twice the budget.
 
-    Noise and null draws depend on the query's key, the column's name and the group alone, so running the plan again or
-    retrying a task gives the same value. Cells all worlds agree on get no noise. ``touched`` turns on the null draw,
-    which does not depend on the secret.
+    Noise and null draws depend on the query's key and number, ``name`` and the group alone, so running the plan again or
+    retrying a task gives the same value; ``name`` must differ between the columns of a query, or they would share a
+    draw. Cells all worlds agree on get no noise. ``touched`` turns on the null draw, which does not depend on the secret.
     """
     y = F.coalesce(F.element_at(_col(vector), ctx.secret_world + 1).cast("double"), F.lit(0.0))
     if ctx.noise:
@@ -69,10 +71,19 @@ def release(vector: ColumnOrName, ctx: QueryContext, name: str, *group: ColumnOr
     return F.when(uniform(ctx, name + ":null", *group) >= null_chance(touched, ctx.worlds), y)
 
 
-def diversity_guard(value: Column, touched: ColumnOrName, updates: ColumnOrName, worlds: int = 64, min_updates: int = 64, tolerance: int = 0) -> Column:
-    """``value``, or a runtime error where many rows reached only about half of the worlds: a single unit's rows."""
-    missed = worlds - F.bit_count(_col(touched))
-    alone = (_col(updates) >= min_updates) & (F.abs(missed - worlds // 2) <= tolerance)
+def single_unit(touched: ColumnOrName, updates: ColumnOrName, worlds: int = 64, min_updates: int = 64, tolerance: int = 2) -> Column:
+    """Whether many rows have reached only about half of the worlds, as the rows of one unit do.
+
+    Two units reach three quarters of the worlds on average; with balanced masks the chance that they reach no more than
+    ``tolerance`` over a half is about 1e-7.
+    """
+    missed = worlds - worlds_touched(touched, worlds)
+    return (_col(updates) >= min_updates) & (F.abs(missed - worlds // 2) <= tolerance * worlds // 64)
+
+
+def diversity_guard(value: Column, touched: ColumnOrName, updates: ColumnOrName, worlds: int = 64, min_updates: int = 64, tolerance: int = 2) -> Column:
+    """``value``, or a runtime error where a single unit's rows are all there is."""
+    alone = single_unit(touched, updates, worlds, min_updates, tolerance)
     return F.when(alone, F.raise_error(F.lit("an aggregate was fed by a single privacy unit")).cast("double")).otherwise(value)
 
 
@@ -85,8 +96,8 @@ def rounded(value: Column, kind: str, clamp: bool = False) -> Column:
 class Posterior:
     """What an observer believes about the secret world, updated with every released value."""
 
-    def __init__(self, worlds: int, secret: int, mi: float, seed: int):
-        self.log = np.full(worlds, -math.log(worlds))
+    def __init__(self, worlds: int, secret: int, mi: float, seed: int = 0, log: list[float] | None = None):
+        self.log = np.full(worlds, -math.log(worlds)) if log is None else np.array(log, float)
         self.secret, self.mi, self.random = secret, mi, np.random.default_rng(seed)
 
     @property
@@ -107,28 +118,47 @@ class Posterior:
         return out
 
 
-def release_sequential(df: DataFrame, keys: list[str], vectors: list[str], ctx: QueryContext, seed: int = 0) -> DataFrame:
+def release_sequential(df: DataFrame, keys: list[str], vectors: list[str], ctx: QueryContext, names: dict[str, str] | None = None, touched: dict[str, str] | None = None, start: list[float] | None = None, carry: bool = False) -> DataFrame:
     """Releases every cell in the order of the keys and then of ``vectors``, carrying the posterior along.
 
-    Serial by nature: one task sees all groups, a batch at a time. It is meant for results of up to some 100,000 cells;
-    ``release`` is for more.
+    ``names`` tag the draws, which are keyed as those of ``release`` are; ``touched`` turns on the null draw, and a cell
+    that is drawn null teaches nothing. ``start`` is the posterior (as logarithms) that earlier releases have left;
+    with ``carry`` the last row of each batch has the posterior after it in ``__posterior`` and its place in ``__place``.
+
+    Serial by nature, as each cell's noise depends on all cells before: one task sees all groups, a batch at a time. It
+    is meant for results of up to some 100,000 cells; ``release`` is for more.
     """
+    names, touched = names or {}, touched or {}
     schema = df.select(*keys).schema
     for v in vectors:
         schema = schema.add(v, "double")
+    if carry:
+        schema = schema.add("__posterior", ArrayType(DoubleType())).add("__place", "long")
+    read = []
+    for i, v in enumerate(vectors):
+        tag, t = names.get(v, v), touched.get(v)
+        hidden = F.lit(False) if t is None else uniform(ctx, tag + ":null", *keys) < null_chance(t, ctx.worlds)
+        read += [filled(v).alias(v), gaussian(ctx, tag, *keys).alias(f"__g{i}"), hidden.alias(f"__null{i}")]
 
     def fold(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        p = Posterior(ctx.worlds, ctx.secret_world, ctx.mi, seed)
+        p, place = Posterior(ctx.worlds, ctx.secret_world, ctx.mi, log=start), 0
         for b in batches:
             out = b[keys].copy()
-            rows = []
-            for r in b[vectors].itertuples(index=False):
-                rows.append([p.release(np.array([0.0 if x is None else float(x) for x in v])) for v in r])
-            for i, v in enumerate(vectors):
-                out[v] = [r[i] for r in rows]
+            cells = {v: np.full(len(b), np.nan) for v in vectors}
+            columns = [(v, b[v].to_numpy(), b[f"__g{i}"].to_numpy(), b[f"__null{i}"].to_numpy()) for i, v in enumerate(vectors)]
+            for r in range(len(b)):
+                for v, y, g, hidden in columns:
+                    if not hidden[r]:
+                        cells[v][r] = p.release(np.asarray(y[r], float), g[r] if ctx.noise else 0.0)
+            for v in vectors:
+                out[v] = pd.Series(cells[v], index=out.index).astype(object).where(~np.isnan(cells[v]), None) if np.isnan(cells[v]).any() else cells[v]
+            if carry:
+                place += len(b)
+                out["__posterior"] = [None] * (len(b) - 1) + [p.log.tolist()] if len(b) else []
+                out["__place"] = place
             yield out
 
-    return df.select(*keys, *[filled(v).alias(v) for v in vectors]).repartition(1).sortWithinPartitions(*keys).mapInPandas(fold, schema)
+    return df.select(*keys, *read).repartition(1).sortWithinPartitions(*keys).mapInPandas(fold, schema)
 
 
 def simulate_attack(vectors: np.ndarray, masks: np.ndarray, mi: float, runs: int, seed: int = 0) -> float:

@@ -27,7 +27,7 @@ def sample_units(units: DataFrame, key: str, ctx: QueryContext, sampler: str = "
         return m.select("unit", F.explode(F.filter(worlds, lambda j: F.call_function("getbit", word(j), F.pmod(j, F.lit(64)).cast("int")) == 1)).alias("world"))
     if sampler == "bernoulli":
         each = one.select("unit", F.explode(worlds).alias("world"))
-        return each.where(uniform(ctx, "sample", "unit", "world") < 0.5)
+        return each.where(uniform(ctx.but(query=0), "sample", "unit", "world") < 0.5)
     if sampler == "balanced":
         order = F.array_sort(F.transform(worlds, lambda j: F.struct(F.xxhash64("unit", j, F.lit(ctx.key)).alias("h"), j.alias("j"))))
         half = F.transform(F.slice(order, 1, ctx.worlds // 2), lambda x: x["j"])

@@ -18,7 +18,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql.pandas.types import to_arrow_schema
-from pyspark.sql.types import ArrayType, DoubleType, LongType, StructType
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
 
 from worldfold.operators.kernels import WORLDS, bits
 
@@ -56,18 +56,22 @@ def specs_of(df: DataFrame, wanted: list[tuple[str, str, str | None]]) -> list[S
 def _codes(t: pa.Table, keys: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Group number of each row and the first row of each group."""
     n = t.num_rows
-    code = np.zeros(n, np.int64)
+    code, size = np.zeros(n, np.int64), 1
     for k in keys:
         d = t.column(k).combine_chunks()
         d = d.combine_chunks() if isinstance(d, pa.ChunkedArray) else d
         d = d.dictionary_encode(null_encoding="encode")
+        if size * (len(d.dictionary) + 1) >= 1 << 62:  # several wide keys: numbers of the groups so far
+            code = np.unique(code, return_inverse=True)[1]
+            size = n
         code = code * (len(d.dictionary) + 1) + d.indices.to_numpy(zero_copy_only=False)
+        size *= len(d.dictionary) + 1
     _, first, inverse = np.unique(code, return_index=True, return_inverse=True)
     return inverse, first
 
 
 class _State:
-    """Aggregates by group: arrays of groups x worlds for each spec, and the worlds touched for each column read."""
+    """Aggregates by group: arrays of groups x worlds for each spec; worlds touched and rows seen for each column read."""
 
     def __init__(self, specs: list[Spec]):
         self.specs = specs
@@ -78,8 +82,9 @@ class _State:
         self.at: dict[tuple, int] = {}
         self.values = {s.out: np.zeros((0, WORLDS), np.int64 if s.whole else np.float64) for s in self.specs}
         self.touched = {c: np.zeros(0, np.int64) for c in self.columns}
+        self.updates = {c: np.zeros(0, np.int64) for c in self.columns}
 
-    def add(self, keys: list[tuple], values: dict[str, np.ndarray], touched: dict[str | None, np.ndarray]) -> None:
+    def add(self, keys: list[tuple], values: dict[str, np.ndarray], touched: dict[str | None, np.ndarray], updates: dict[str | None, np.ndarray]) -> None:
         new = [k for k in keys if k not in self.at]
         for k in new:
             self.at[k] = len(self.at)
@@ -90,12 +95,14 @@ class _State:
                 self.values[s.out] = np.concatenate((old, np.full((len(new), WORLDS), start, old.dtype)))
             for c in self.columns:
                 self.touched[c] = np.concatenate((self.touched[c], np.zeros(len(new), np.int64)))
+                self.updates[c] = np.concatenate((self.updates[c], np.zeros(len(new), np.int64)))
         to = np.array([self.at[k] for k in keys])
         for s in self.specs:
             v = self.values[s.out]
             v[to] = {"min": np.minimum, "max": np.maximum}.get(s.fn, np.add)(v[to], values[s.out])
         for c in self.columns:
             self.touched[c][to] |= touched[c]
+            self.updates[c][to] += updates[c]
 
     def batch(self, key_schema: list[pa.Field], last_out: set | None = None) -> pa.RecordBatch:
         keys = list(self.at)
@@ -107,8 +114,8 @@ class _State:
             cols.append(pa.ListArray.from_arrays(pa.array(np.arange(len(keys) + 1, dtype=np.int32) * WORLDS), pa.array(flat, mask=gone)))
             names.append(s.out)
         for i, c in enumerate(self.columns):
-            cols.append(pa.array(self.touched[c]))
-            names.append(f"__touched{i}")
+            cols += [pa.array(self.touched[c]), pa.array(self.updates[c])]
+            names += [f"__touched{i}", f"__updates{i}"]
         return pa.RecordBatch.from_arrays(cols, names)
 
 
@@ -133,6 +140,7 @@ def _partial(t: pa.Table | pa.RecordBatch, keys: list[str], state: _State) -> No
             some = any(s.column == c and s.fn != "count" for s in state.specs)
             read[c] = (np.asarray(col.fill_null(0))[order] if some else None, ok[order])
     touched = {c: np.bitwise_or.reduceat(np.where(ok, mask, 0), starts) for c, (_, ok) in read.items() if c in state.columns}
+    updates = {c: np.add.reduceat(ok.astype(np.int64), starts) for c, (_, ok) in read.items() if c in state.columns}
     out: dict[str, np.ndarray] = {}
     adds = [s for s in state.specs if s.fn in ("sum", "count")]
     floats = []
@@ -171,16 +179,17 @@ def _partial(t: pa.Table | pa.RecordBatch, keys: list[str], state: _State) -> No
     # groups are numbered in the order of their codes, which is also the order they are sorted in
     firsts = t.select(keys).take(pa.array(first)).to_pydict() if keys else {}
     names = list(zip(*[firsts[k] for k in keys], strict=True)) if keys else [()]
-    state.add(names, out, touched)
+    state.add(names, out, touched, updates)
 
 
 def _merge(t: pa.Table, keys: list[str], state: _State) -> None:
     group, first = _codes(t, keys)
     order = np.argsort(group, kind="stable")
     starts = np.concatenate(([0], np.flatnonzero(np.diff(group[order])) + 1))
-    out, touched = {}, {}
+    out, touched, updates = {}, {}, {}
     for i, c in enumerate(state.columns):
         touched[c] = np.bitwise_or.reduceat(t.column(f"__touched{i}").to_numpy()[order], starts)
+        updates[c] = np.add.reduceat(t.column(f"__updates{i}").to_numpy()[order], starts)
     for s in state.specs:
         start = {"sum": 0, "count": 0, "min": _top(s.whole), "max": -_top(s.whole)}[s.fn]
         col = t.column(s.out).combine_chunks()
@@ -189,22 +198,23 @@ def _merge(t: pa.Table, keys: list[str], state: _State) -> None:
         out[s.out] = {"min": np.minimum, "max": np.maximum}.get(s.fn, np.add).reduceat(flat, starts)
     firsts = t.select(keys).take(pa.array(first)).to_pydict() if keys else {}
     names = list(zip(*[firsts[k] for k in keys], strict=True)) if keys else [()]
-    state.add(names, out, touched)
+    state.add(names, out, touched, updates)
 
 
-def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> tuple[DataFrame, dict[str, str]]:
-    """keys, a vector for each spec (not doubled; null where no value reached a world, counts 0), and touched columns.
+def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> tuple[DataFrame, dict[str, str], dict[str, str]]:
+    """keys, a vector for each spec (not doubled; null where no value reached a world, counts 0), touched and updates columns.
 
-    Returns the name of the touched column for each spec's output, too. Without keys there is one row even for no input.
+    Returns the names of the touched column and of the number of rows for each spec's output, too. Without keys there is
+    one row even for no input.
     """
     columns = list(dict.fromkeys(s.column for s in specs))
     small = df.select(*keys, df[mask].alias("__mask"), *[c for c in columns if c is not None and c not in keys]).where("__mask IS NOT NULL")
     raw = [c for c in small.columns if c not in keys]
-    schema = StructType(list(small.schema.fields))
+    schema = StructType([StructField(f.name, f.dataType) for f in small.schema.fields])  # a state has no row's columns
     for s in specs:
         schema = schema.add(s.out, ArrayType(LongType() if s.whole else DoubleType()))
     for i in range(len(columns)):
-        schema = schema.add(f"__touched{i}", LongType())
+        schema = schema.add(f"__touched{i}", LongType()).add(f"__updates{i}", LongType())
 
     result = StructType([f for f in schema.fields if f.name not in raw])
     arrow = to_arrow_schema(schema)
@@ -233,7 +243,7 @@ def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> t
         if state.at:
             yield wide(state.batch(fields))
         elif not keys:
-            state.add([()], {s.out: state.values[s.out][:0].sum(0)[None] if s.fn in ("sum", "count") else np.full((1, WORLDS), _top(s.whole) if s.fn == "min" else -_top(s.whole), state.values[s.out].dtype) for s in specs}, {c: np.zeros(1, np.int64) for c in columns})
+            state.add([()], {s.out: state.values[s.out][:0].sum(0)[None] if s.fn in ("sum", "count") else np.full((1, WORLDS), _top(s.whole) if s.fn == "min" else -_top(s.whole), state.values[s.out].dtype) for s in specs}, {c: np.zeros(1, np.int64) for c in columns}, {c: np.zeros(1, np.int64) for c in columns})
             yield wide(state.batch([]))
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -256,4 +266,4 @@ def aggregate(df: DataFrame, keys: list[str], mask: str, specs: list[Spec]) -> t
 
     parts = small.mapInArrow(part, schema)
     dealt = parts.repartition(*keys).sortWithinPartitions(*keys) if keys else parts.repartition(1)
-    return dealt.mapInArrow(meet, result), {s.out: f"__touched{columns.index(s.column)}" for s in specs}
+    return dealt.mapInArrow(meet, result), {s.out: f"__touched{columns.index(s.column)}" for s in specs}, {s.out: f"__updates{columns.index(s.column)}" for s in specs}

@@ -104,6 +104,13 @@ class Union(Node):
     out: list[Attr] = field(default_factory=list)
 
 
+@dataclass
+class Matching(Node):
+    """Rows of the child whose attributes are among given values: (attribute, DataFrame, its column) triples."""
+
+    among: list = field(default_factory=list)
+
+
 @dataclass
 class Unsupported(Node):
     what: str = ""

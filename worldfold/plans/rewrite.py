@@ -8,6 +8,7 @@ and is not joined.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 from itertools import count
 
@@ -18,7 +19,7 @@ from worldfold.context import QueryContext
 from worldfold.functions import aggregates as A
 from worldfold.functions import lift as L
 from worldfold.functions.masks import world_mask
-from worldfold.functions.release import release
+from worldfold.functions.release import release, release_sequential, single_unit
 from worldfold.operators import vectorized as V
 from worldfold.plans import ir
 from worldfold.plans.expressions import COMPARE, FLIPPED, NotExpressible, to_column
@@ -28,6 +29,10 @@ MASK = "__mask"
 #: Rows from which on a group that one unit alone feeds is refused.
 MIN_UPDATES = 64
 
+#: What takes a query out of the class that the theorems cover, and what is only worth a warning.
+COIN, NESTED = "FILTER_AFTER_AGGREGATE", "COMPUTED_FROM_RELEASED"
+LIMITED, SKIPPED, ORDERED = "LIMIT_ON_NOISED_ORDER", "OFFSET_ON_NOISED_ORDER", "ORDER_BY_NOISED"
+
 
 class Rejected(Exception):
     """The query can't be answered privately; ``reason`` is one of a fixed list, ``node`` says where."""
@@ -54,6 +59,16 @@ class Rel:
     narrowed: bool = False
     vectors: dict[int, Vector] = field(default_factory=dict)
     coins: list[str] = field(default_factory=list)
+    noised: set[int] = field(default_factory=set)  # released values
+    single: bool = False  # an aggregate without keys: one row
+    cut: bool = False  # filtered
+    roots: dict[int, tuple[DataFrame, bool]] | None = None  # of a join: what each attribute came from, and if that was filtered
+
+    def root(self, i: int) -> tuple[DataFrame, bool] | None:
+        """A relation that holds all values attribute ``i`` has here, and whether it is filtered."""
+        if self.sensitive and self.masked or self.vectors:
+            return None
+        return (self.df, self.cut) if self.roots is None else self.roots.get(i)
 
 
 def name(i: int) -> str:
@@ -61,21 +76,40 @@ def name(i: int) -> str:
 
 
 class Rewriter:
-    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = False, share_sums: bool = True, strategy: str = "kernel", diversity: bool = True, boundary: str = "release"):
+    def __init__(self, spark: SparkSession, catalog: UnitCatalog, ctx: QueryContext, mode: str = "release", null_draw: bool = True, share_sums: bool = True, strategy: str = "kernel", diversity: bool = True, boundary: str = "release", charge: Callable[[int, int], None] | None = None, posterior: list[float] | None = None):
         """``mode``: "release", "vectors" (for tests; shows what must stay hidden) or "plain" (unit joins, plain aggregates).
 
         ``boundary``: an aggregate of aggregates reads released cells, or ("lift") is taken world by world and released
-        once. ``diversity``: groups that many rows of one unit alone have fed are a runtime error.
+        once. ``diversity``: groups that many rows of one unit alone have fed are a runtime error. ``charge`` is called
+        with the cells and the coin tosses of every release, which is computed and kept for that (``held``); so it is
+        under a running posterior, which goes on from ``posterior``, since each release needs the one before.
         """
         self.spark, self.catalog, self.ctx, self.mode = spark, catalog, ctx, mode
         self.null_draw, self.share_sums, self.strategy = null_draw, share_sums, strategy
         self.diversity, self.boundary = diversity, boundary
         self.fresh = count(1_000_000_000)
-        self.joins_added = self.cells = self.releases = 0
-        self.formal = True
+        self.joins_added = self.releases = self.nodes = 0
+        self.charge, self.posterior = charge, posterior
+        self.held: list[DataFrame] = []
+        self.outside: list[str] = []
+        self.warnings: list[str] = []
 
     # ---- helpers
 
+    @property
+    def formal(self) -> bool:
+        """Within the class that the theorems cover; ``outside`` says what is not.
+
+        The walk itself keeps the other rules of that class or refuses: unit relations are joined on links only, rows of
+        different units are merged by the outermost aggregate only, inner aggregates meet unit rows by inner or left joins or
+        as one row, and what filters on them narrows masks.
+        """
+        return not self.outside
+
+    def note(self, where: list[str], what: str) -> None:
+        if what not in where:
+            where.append(what)
+
     def new(self) -> int:
         return next(self.fresh)
 
@@ -169,7 +203,7 @@ class Rewriter:
     def project(self, rel: Rel, items: list[ir.Item]) -> Rel:
         if any("?Window" in str(i.expr) for i in items) and rel.sensitive:
             raise Rejected("UNSUPPORTED_WINDOW")
-        cols, vectors, protected, origin = {}, {}, set(), {}
+        cols, vectors, protected, origin, noised = {}, {}, set(), {}, set()
         for i in items:
             e = i.expr
             if self.has_vector(e, rel):
@@ -180,11 +214,13 @@ class Rewriter:
                     t = f"__t{self.new()}"
                     both = F.col(touched[0])
                     for x in touched[1:]:
-                        both = both.bitwiseAND(F.col(x))
+                        both = A.touched_both(both, F.col(x), self.ctx.worlds)
                     cols[t] = both
                 vectors[i.id] = Vector(i.name, t)
                 continue
             cols[name(i.id)] = self.col(e, rel)
+            if ir.attrs_of(e) & rel.noised:
+                noised.add(i.id)
             if ir.attrs_of(e) & rel.protected:
                 protected.add(i.id)
             if isinstance(e, ir.Attr) and e.id in rel.origin:
@@ -195,7 +231,7 @@ class Rewriter:
             origin[i] = rel.origin[i]
         extra = [name(i) for i in keep] + ([MASK] if rel.masked else []) + rel.coins
         df = rel.df.select(*[c.alias(k) for k, c in cols.items()], *dict.fromkeys(extra))
-        return replace(rel, df=df, attrs=[ir.Attr(i.id, i.name) for i in items], origin=origin, protected=protected, vectors=vectors)
+        return replace(rel, df=df, attrs=[ir.Attr(i.id, i.name) for i in items], origin=origin, protected=protected, vectors=vectors, noised=noised)
 
     def on_filter(self, n: ir.Filter) -> Rel:
         child = n.children[0]
@@ -227,7 +263,7 @@ class Rewriter:
             if ir.subqueries(p) or self.has_vector(p, rel):
                 later.append(p)
             else:
-                rel = replace(rel, df=rel.df.where(self.col(p, rel)))
+                rel = replace(rel, df=rel.df.where(self.col(p, rel)), cut=True)
         for p in later:
             e = p
             negated = isinstance(e, ir.Call) and e.op == "Not" and isinstance(e.args[0], ir.Sub)
@@ -260,7 +296,7 @@ class Rewriter:
                 df = rel.df.withColumn(MASK, L.mask_and(MASK, self.lifted(p, rel)[0], self.ctx.worlds))
             return replace(rel, df=df.where(L.any_world(MASK, self.ctx.worlds)), narrowed=True)
         coin = f"__coin{self.new()}"
-        self.formal = False
+        self.note(self.outside, COIN)
         return replace(rel, df=rel.df.withColumn(coin, self.lifted(p, rel)[0]), coins=[*rel.coins, coin])
 
     # ---- joins
@@ -295,8 +331,8 @@ class Rewriter:
                 r = r.drop("__right", MASK)
         on = _all([self.col(p, both) for p in plain]) if plain else None
         how = {"inner": "inner", "left": "left", "full": "full", "semi": "left_semi", "anti": "left_anti"}[kind]
-        if on is None and kind in ("inner", "left"):
-            df = left.df.crossJoin(F.broadcast(r) if right.vectors and not right.sensitive else r)
+        if on is None and kind in ("inner", "left"):  # one row by construction is broadcast; else the engine's statistics decide
+            df = left.df.crossJoin(F.broadcast(r) if right.single and not right.sensitive else r)
         else:
             df = left.df.join(r, F.lit(True) if on is None else on, how)
         if kind in ("semi", "anti"):
@@ -308,7 +344,9 @@ class Rewriter:
                 word = F.col(MASK).bitwiseAND(F.col("__right")) if self.ctx.worlds == 64 else F.zip_with(MASK, "__right", lambda a, b: a.bitwiseAND(b))
                 df = df.withColumn(MASK, word).where(L.any_world(MASK, self.ctx.worlds))
             df = df.drop("__right")
-        out = Rel(df, attrs or [*left.attrs, *right.attrs], both.origin, left.protected | right.protected, left.sensitive or right.sensitive, masked, narrowed, both.vectors, [*left.coins, *right.coins])
+        out = Rel(df, attrs or [*left.attrs, *right.attrs], both.origin, left.protected | right.protected, left.sensitive or right.sensitive, masked, narrowed, both.vectors, [*left.coins, *right.coins], left.noised | right.noised)
+        roots = lambda side: side.roots or {a.id: side.root(a.id) for a in side.attrs if side.root(a.id)}
+        out.roots = {**roots(left), **roots(right)}
         for p in vec:
             out = self.by_worlds(out, p)
         return out
@@ -368,7 +406,7 @@ class Rewriter:
     def scalar(self, rel: Rel, s: ir.Sub) -> tuple[Rel, ir.Attr]:
         plan, taken = self.decorrelate(s.plan, True)
         value = ir.output(s.plan)[0]
-        inner = self.node(plan)
+        inner = self.node(self.only_asked(rel, plan, taken))
         if inner.sensitive:
             raise Rejected("NO_AGGREGATE", "a subquery returns unit rows")
         zero = isinstance(s.plan, ir.Aggregate) and any(a.fn == "count" for a in ir.aggregates(s.plan.items[0])) and not inner.vectors
@@ -377,6 +415,33 @@ class Rewriter:
             out = replace(out, df=out.df.withColumn(name(value.id), F.coalesce(name(value.id), F.lit(0))))
         return out, value
 
+    def only_asked(self, rel: Rel, plan: ir.Node, taken: list) -> ir.Node:
+        """The subquery's plan, its aggregate fed only with the groups that the outer rows may ask for.
+
+        The outer key's values come from the filtered relation that it was read from, not from all of the outer query.
+        """
+        if isinstance(plan, ir.Project):
+            return replace(plan, children=[self.only_asked(rel, plan.children[0], taken)])
+        if not isinstance(plan, ir.Aggregate):
+            return plan
+        inside = {a.id for a in ir.output(plan.children[0])}
+        among = []
+        for p in taken:
+            if isinstance(p, ir.Call) and p.op == "EqualTo" and all(isinstance(a, ir.Attr) for a in p.args):
+                a, b = (x.id for x in p.args)
+                a, b = (a, b) if a in inside else (b, a)
+                root = rel.root(b) if a in inside and b not in inside else None
+                if root and root[1] and name(b) in root[0].columns:
+                    among.append((a, root[0], name(b)))
+        return replace(plan, children=[ir.Matching(plan.children, among)]) if among else plan
+
+    def on_matching(self, n: ir.Matching) -> Rel:
+        rel = self.node(n.children[0])
+        for i, df, c in n.among:
+            key = f"__m{self.new()}"
+            rel = replace(rel, df=rel.df.join(df.select(F.col(c).alias(key)).distinct(), F.col(name(i)) == F.col(key), "left_semi"))
+        return rel
+
     def exists(self, rel: Rel, s: ir.Sub, negated: bool) -> Rel:
         plan, taken = self.decorrelate(s.plan, False)
         if s.kind == "in":
@@ -404,6 +469,8 @@ class Rewriter:
         lifted = self.boundary == "lift" and rel.vectors and not rel.sensitive and not rel.coins and all(isinstance(x, ir.Attr) and x.id in rel.vectors and a.fn in ("sum", "min", "max", "avg") for a in aggs for x in a.args if self.has_vector(x, rel))
         if rel.vectors and not rel.sensitive and not lifted:
             rel = self.released(rel)
+        if set().union(*map(ir.attrs_of, [*n.keys, *aggs]), set()) & rel.noised:
+            self.note(self.outside, NESTED)
         if any(self.has_vector(k, rel) for k in n.keys) or not lifted and any(self.has_vector(e, rel) for e in [*n.keys, *aggs]):
             raise Rejected("UNSUPPORTED_AGG", "an aggregate of an aggregate that differs between worlds")
         ids = {a: self.new() for a in aggs}
@@ -432,11 +499,12 @@ class Rewriter:
             rel = self.need_mask(rel)
             if self.mode == "plain":
                 return self.project(Rel(rel.df.groupBy(*key_cols).agg(*self.plain(aggs, ids, rel)), attrs, origin), items)
-            return self.project(self.worlds(rel, keys, key_cols, aggs, ids, attrs, origin), items)
+            return self.project(replace(self.worlds(rel, keys, key_cols, aggs, ids, attrs, origin), single=not keys), items)
         if lifted:
-            return self.project(self.of_worlds(rel, key_cols, aggs, ids, attrs, origin), items)
+            return self.project(replace(self.of_worlds(rel, key_cols, aggs, ids, attrs, origin), single=not keys), items)
         df = rel.df.groupBy(*key_cols).agg(*self.plain(aggs, ids, rel)) if aggs else rel.df.select(*key_cols).distinct()
-        return self.project(Rel(df, attrs, origin, key_protected), items)
+        noised = {i for i, e in [*keys, *((i, a) for a, i in ids.items())] if ir.attrs_of(e) & rel.noised}
+        return self.project(Rel(df, attrs, origin, key_protected, noised=noised, single=not keys), items)
 
     def of_worlds(self, rel: Rel, key_cols: list, aggs: list[ir.Agg], ids: dict, attrs: list, origin: dict) -> Rel:
         """Aggregates of vectors, world by world."""
@@ -448,7 +516,7 @@ class Rewriter:
                 cols.append(F.array(*[getattr(F, a.fn)(F.element_at(name(a.args[0].id), j + 1)) for j in range(self.ctx.worlds)]).alias(out))
                 t = f"__t{self.new()}" if v.touched else None
                 if t:
-                    cols.append(F.bit_or(v.touched).alias(t))
+                    cols.append(A.touched(v.touched, None, self.ctx.worlds).alias(t))
                 vectors[ids[a]] = Vector(a.fn, t)
             else:
                 cols += self.plain([a], ids, rel)
@@ -497,31 +565,27 @@ class Rewriter:
         specs = V.specs_of(df, [(name(ids[a]), a.fn, c) for a, c in wanted]) if self.strategy == "kernel" and w == 64 else None
         out_df = None
         if wanted and specs is not None:
-            rows = "__updates"
-            guard = self.diversity and self.mode == "release" and self.ctx.balance != "none"
-            out_df, touched = V.aggregate(df, by, MASK, [*specs, *([V.Spec(rows, "count", None, True)] if guard else [])])
-            if guard:  # with balanced masks a row is counted in half of the worlds
-                updates = F.aggregate(rows, F.lit(0).cast("long"), lambda a, x: a + x) / 32
-                alone = (updates >= MIN_UPDATES) & (F.bit_count(touched[rows]) == 32)
-                out_df = out_df.where(F.when(alone, F.raise_error(F.lit("an aggregate was fed by a single privacy unit")).cast("boolean")).otherwise(True)).drop(rows)
+            out_df, touched, updates = V.aggregate(df, by, MASK, specs)
+            out_df = self.guarded(rel, out_df, {touched[s.out]: updates[s.out] for s in specs})
             vectors = {ids[a]: Vector(a.fn, touched[name(ids[a])]) for a, _ in wanted}
         elif wanted:
             cols, shared = [], {}
             for a, c in wanted:
-                if w == 64 and c not in shared:
+                if c not in shared:
                     shared[c] = f"__t{self.new()}"
-                    cols.append(A.touched(MASK, c).alias(shared[c]))
+                    cols += [A.touched(MASK, c, w).alias(shared[c]), F.count(F.lit(1) if c is None else F.col(c)).alias("__n" + shared[c])]
                 cols.append(A.by_name(a.fn, MASK, c, w).alias(name(ids[a])))
-                vectors[ids[a]] = Vector(a.fn, shared.get(c))
-            out_df = df.groupBy(*by).agg(*cols)
+                vectors[ids[a]] = Vector(a.fn, shared[c])
+            out_df = self.guarded(rel, df.groupBy(*by).agg(*cols), {t: "__n" + t for t in shared.values()})
         doubled = {name(ids[a]): A.scaled(F.col(name(ids[a])), self.ctx) for a, _ in wanted if a.fn in ("sum", "count")}
         out_df = out_df.withColumns(doubled) if doubled else out_df
         for a in distinct:  # a value counts once in each world that has it
             if a.fn != "count":
                 raise Rejected("UNSUPPORTED_AGG", f"{a.fn} of distinct values")
-            each = df.groupBy(*by, self.col(a.args[0], rel).alias("__value")).agg(F.bit_or(MASK).alias(MASK)).where(F.col("__value").isNotNull())
+            each = df.groupBy(*by, self.col(a.args[0], rel).alias("__value")).agg(A.touched(MASK, None, w).alias(MASK), F.count(F.lit(1)).alias("__n")).where(F.col("__value").isNotNull())
             t = f"__t{self.new()}"
-            part = each.groupBy(*by).agg(A.world_count(MASK, None, w).alias(name(ids[a])), A.touched(MASK).alias(t))
+            part = each.groupBy(*by).agg(A.world_count(MASK, None, w).alias(name(ids[a])), A.touched(MASK, None, w).alias(t), F.sum("__n").alias("__n" + t))
+            part = self.guarded(rel, part, {t: "__n" + t}).drop("__n" + t)
             vectors[ids[a]] = Vector("count_distinct", t)
             if out_df is None:
                 out_df = part
@@ -532,6 +596,19 @@ class Rewriter:
                 out_df = out_df.join(p, _all([F.col(b).eqNullSafe(F.col(f"__{b}")) for b in by]), "left").drop(*[f"__{b}" for b in by])
         return Rel(out_df, attrs, origin, vectors=vectors)
 
+    def guarded(self, rel: Rel, df: DataFrame, columns: dict[str, str]) -> DataFrame:
+        """A runtime error where an aggregate (touched column: its number of rows) was fed by one unit alone.
+
+        Masks that a condition has narrowed say nothing about the number of units: there the inner aggregates, which were
+        made before, have been looked at.
+        """
+        if not self.diversity or self.mode != "release" or self.ctx.balance == "none" or rel.narrowed:
+            return df
+        alone = F.lit(False)
+        for t, n in columns.items():
+            alone = alone | single_unit(t, n, self.ctx.worlds, MIN_UPDATES)
+        return df.where(F.when(alone, F.raise_error(F.lit("an aggregate was fed by a single privacy unit")).cast("boolean")).otherwise(True))
+
     # ---- the rest
 
     def on_sort(self, n: ir.Sort) -> Rel:
@@ -539,6 +616,8 @@ class Rewriter:
         if self.mode == "vectors" and (rel.vectors or rel.coins):
             return rel
         rel = self.released(rel)
+        if any(ir.attrs_of(e) & rel.noised for e, _, _ in n.orders):
+            self.note(self.warnings, ORDERED)
         orders = []
         for e, down, first in n.orders:
             c = self.col(e, rel)
@@ -552,10 +631,14 @@ class Rewriter:
         if rel.sensitive:
             self.finish(rel)
         rel = self.released(rel)
+        if rel.noised and ORDERED in self.warnings:
+            self.note(self.warnings, SKIPPED if n.offset else LIMITED)
         return replace(rel, df=rel.df.offset(n.n) if n.offset else rel.df.limit(n.n))
 
     def on_distinct(self, n: ir.Distinct) -> Rel:
         rel = self.released(self.node(n.children[0]))
+        if rel.noised:
+            self.note(self.outside, NESTED)
         if rel.sensitive:
             if set(a.id for a in rel.attrs) & rel.protected and not self.class_of(rel, {a.id for a in rel.attrs}):
                 raise Rejected("PROTECTED_OUTPUT")
@@ -583,22 +666,45 @@ class Rewriter:
         return Rel(df, n.out, {}, protected, parts[0].sensitive, parts[0].masked, any(p.narrowed for p in parts))
 
     def released(self, rel: Rel) -> Rel:
-        """Vectors become noised values, coins are tossed. What stands above is post-processing."""
+        """Vectors become noised values, coins are tossed. What stands above is post-processing.
+
+        Cells and tosses are counted here, below whatever limits, filters or sums up the released rows.
+        """
         if not rel.vectors and not rel.coins:
             return rel
         group = [name(a.id) for a in rel.attrs if a.id not in rel.vectors]
-        df = rel.df
-        for c in rel.coins:
-            df = df.where(L.coin_filter(c, self.ctx, *group))
-        out = []
+        df, tosses = rel.df, 0
+        eager = self.mode == "release" and (self.charge is not None or self.ctx.adaptive)
+        if rel.coins:
+            if self.charge:
+                df = self.hold(df)
+                tosses = df.count()
+            for i, c in enumerate(rel.coins):
+                df = df.where(L.coin_filter(c, self.ctx, *group, tag=f"coin{self.nodes}.{i}"))
+        self.nodes += 1
+        tags, touched = {}, {}
         for a in rel.attrs:
-            v = rel.vectors.get(a.id)
-            if v is None:
-                out.append(F.col(name(a.id)))
-                continue
-            self.releases += 1
-            out.append(release(name(a.id), self.ctx, a.name, *group, touched=v.touched if self.null_draw and self.ctx.worlds == 64 else None).alias(name(a.id)))
-        return replace(rel, df=df.select(*out), vectors={}, coins=[])
+            if a.id in rel.vectors:
+                tags[name(a.id)] = f"{self.releases}:{a.name}"
+                self.releases += 1
+                if self.null_draw and rel.vectors[a.id].touched:
+                    touched[name(a.id)] = rel.vectors[a.id].touched
+        if tags and self.ctx.adaptive and self.mode == "release":
+            df = self.hold(release_sequential(df, group, list(tags), self.ctx, tags, touched, self.posterior, carry=True))
+            last = df.where("__posterior IS NOT NULL").orderBy(F.desc("__place")).select("__posterior").first()
+            self.posterior = list(last[0]) if last else self.posterior
+            df = df.select(*[name(a.id) for a in rel.attrs])
+        else:
+            df = df.select(*[release(c, self.ctx, tags[c], *group, touched=touched.get(c)).alias(c) if (c := name(a.id)) in tags else F.col(c) for a in rel.attrs])
+            df = self.hold(df) if eager else df
+        if self.charge:
+            self.charge(df.count() * len(tags) if tags else 0, tosses)
+        return replace(rel, df=df, vectors={}, coins=[], noised=rel.noised | set(rel.vectors), roots=None)
+
+    def hold(self, df: DataFrame) -> DataFrame:
+        df = df.persist()
+        self.held.append(df)
+        return df
 
     def finish(self, rel: Rel) -> DataFrame:
         if rel.sensitive:

@@ -15,7 +15,8 @@ from worldfold.sources.catalog import UnitCatalog
 
 @dataclass(frozen=True)
 class Verdict:
-    """kind: "pass" (no unit data), "rewrite" or "reject"; ``formal``: within the class that the theorems cover."""
+    """kind: "pass" (no unit data), "rewrite" or "reject"; ``formal``: within the class that the theorems cover, or
+    ``outside`` of it for these reasons. ``warnings``: what noise may change besides values (order, limit, offset)."""
 
     kind: str
     reason: str = ""
@@ -23,23 +24,42 @@ class Verdict:
     formal: bool = True
     joins_added: int = 0
     releases: int = 0
+    outside: tuple[str, ...] = ()
+    warnings: tuple[str, ...] = ()
 
 
 class PrivateSession:
-    def __init__(self, spark: SparkSession, catalog: UnitCatalog, mi: float = 1 / 128, worlds: int = 64, seed: int | None = None, mode: str = "query", null_draw: bool = False, limit: float | None = None, boundary: str = "release", **context):
-        """``mode`` "query" draws a key for each query; "session" keeps one, so budgets add up over the session."""
-        self.spark, self.catalog, self.mode, self.null_draw = spark, catalog, mode, null_draw
-        self.seed, self.queries, self.boundary = seed, 0, boundary
+    def __init__(self, spark: SparkSession, catalog: UnitCatalog, mi: float = 1 / 128, worlds: int = 64, seed: int | None = None, mode: str = "query", null_draw: bool = True, limit: float | None = None, boundary: str = "release", strategy: str = "kernel", diversity: bool = True, **context):
+        """``mode`` "query" draws a key for each query; "session" keeps one, so budgets add up over the session.
+
+        Every query has draws of its own in both. With ``posterior="sequential"`` releases are calibrated to what all
+        releases under the key have told so far, one after the other; only then the ledger's sum bounds them together.
+        ``null_draw``, ``strategy``, ``diversity`` and ``boundary`` are the rewriter's; other options the context's.
+        """
+        self.spark, self.catalog, self.mode = spark, catalog, mode
+        self.seed, self.queries = seed, 0
+        self.rules = {"null_draw": null_draw, "boundary": boundary, "strategy": strategy, "diversity": diversity}
         self.options = {"mi": mi, "worlds": worlds, **context}
         self.kept = QueryContext.new(seed, **self.options) if mode == "session" else None
+        self.posterior: list[float] | None = None
         self.ledger = BudgetLedger(limit)
+        self.held: list[DataFrame] = []
 
     def context(self) -> QueryContext:
-        if self.kept:
-            return self.kept
+        """The next query's: a key of its own, or the session's with the next number."""
         self.queries += 1
+        if self.kept:
+            return self.kept.but(query=self.queries)
         return QueryContext.new(None if self.seed is None else self.seed + self.queries - 1, **self.options)
 
+    def rewriter(self, ctx: QueryContext, mode: str = "release", charge=None) -> Rewriter:
+        return Rewriter(self.spark, self.catalog, ctx, mode, charge=charge, posterior=self.posterior if self.kept and ctx.key == self.kept.key else None, **self.rules)
+
+    def close(self) -> None:
+        """Lets go of the results that were kept; they are computed again, with equal values, if they are read again."""
+        while self.held:
+            self.held.pop().unpersist()
+
     def classify(self, sql: str) -> Verdict:
         try:
             plan, _ = parse(self.spark, sql)
@@ -54,31 +74,41 @@ class PrivateSession:
     def _classify(self, plan: ir.Node) -> Verdict:
         if self.passes(plan):
             return Verdict("pass")
-        r = Rewriter(self.spark, self.catalog, QueryContext.new(0, **self.options), null_draw=self.null_draw, boundary=self.boundary)
+        r = self.rewriter(QueryContext.new(0, **{**self.options, "posterior": "uniform"}))
         try:
             r.finish(r.node(plan))
         except Rejected as x:
             return Verdict("reject", x.reason, x.node)
-        return Verdict("rewrite", formal=r.formal, joins_added=r.joins_added, releases=r.releases)
+        return Verdict("rewrite", formal=r.formal, joins_added=r.joins_added, releases=r.releases, outside=tuple(r.outside), warnings=tuple(r.warnings))
 
     def rewrite(self, sql: str, ctx: QueryContext | None = None, mode: str = "release") -> DataFrame:
-        """The rewritten query, lazily. Pass-through queries come back as they are; others raise ``Rejected``."""
+        """The rewritten query, lazily and uncharged (for tests and measurements). Pass-through queries come back as they are;
+        others raise ``Rejected``. Under a running posterior releases are computed at once, since each needs the one before.
+
+        A context that is passed in is used as it is: two queries under one key and number share their draws.
+        """
         plan, df = parse(self.spark, sql)
         if self.passes(plan):
             return df
-        r = Rewriter(self.spark, self.catalog, ctx or self.context(), mode, self.null_draw, boundary=self.boundary)
-        return r.finish(r.node(plan))
+        return self._run(plan, ctx or self.context(), mode)
+
+    def _run(self, plan: ir.Node, ctx: QueryContext, mode: str = "release", charge=None) -> DataFrame:
+        r = self.rewriter(ctx, mode, charge)
+        try:
+            return r.finish(r.node(plan))
+        finally:
+            self.held += r.held
+            if self.kept and ctx.key == self.kept.key:
+                self.posterior = r.posterior
 
     def sql(self, text: str, ctx: QueryContext | None = None) -> DataFrame:
-        """Released rows. They are computed once and kept, their cells are counted and charged, and only then given out."""
+        """Released rows. What is released is computed once and kept until ``close``, its cells are counted and charged where
+        they are released (a limit, a filter or an outer aggregate above makes them no cheaper), and only then given out."""
         plan, df = parse(self.spark, text)
         if self.passes(plan):
             return df
         ctx = ctx or self.context()
-        r = Rewriter(self.spark, self.catalog, ctx, "release", self.null_draw, boundary=self.boundary)
-        out = r.finish(r.node(plan)).persist()
-        self.ledger.charge(text.strip()[:80], r.releases * out.count(), ctx.mi)
-        return out
+        return self._run(plan, ctx, charge=lambda cells, tosses: self.ledger.charge(text.strip()[:80], cells, ctx.mi, tosses, ctx.adaptive))
 
     def with_unit_joins(self, sql: str) -> DataFrame:
         """The baseline that only adds the joins to the unit: plain aggregates."""
@@ -89,6 +119,7 @@ class PrivateSession:
         plan, _ = parse(self.spark, sql)
         v = self._classify(plan)
         lines = [f"verdict: {v.kind} {v.reason}".strip(), f"joins added: {v.joins_added}, columns released: {v.releases}, formal: {v.formal}"]
+        lines += [f"outside of the formal class: {x}" for x in v.outside] + [f"warning: {x}" for x in v.warnings]
 
         def show(n: ir.Node, depth: int) -> None:
             what = getattr(n, "table", None) or getattr(n, "kind", None) or getattr(n, "what", "") or ""
