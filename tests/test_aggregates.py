@@ -63,7 +63,7 @@ def test_others_equal_brute_force(data, fn, strategy):
 def test_kernel_engine_equals_brute_force(data):
     rows, df = data
     specs = V.specs_of(df, [("s", "sum", "v"), ("n", "count", "v"), ("r", "count", None), ("lo", "min", "v"), ("hi", "max", "v")])
-    out, touched = V.aggregate(df, ["g"], "mask", specs)
+    out, touched, _ = V.aggregate(df, ["g"], "mask", specs)
     got = {r["g"]: r for r in out.collect()}
     for name, fn in (("s", "sum"), ("n", "count"), ("r", "rows"), ("lo", "min"), ("hi", "max")):
         for (g, j), want in _brute(rows, fn).items():
@@ -81,7 +81,7 @@ def test_kernel_engine_with_many_groups_nulls_and_no_rows(spark):
     for x, y in zip(sorted(kernel.collect(), key=key), sorted(wide.collect(), key=key), strict=True):
         assert (x["a"], x["b"], x["n"]) == (y["a"], y["b"], y["n"])
         assert x["s"] == pytest.approx(y["s"]) if None not in x["s"] else [p is None for p in x["s"]] == [p is None for p in y["s"]]
-    none, _ = V.aggregate(df.where("a < 0"), [], "mask", specs)
+    none, _, _ = V.aggregate(df.where("a < 0"), [], "mask", specs)
     r = none.collect()
     assert len(r) == 1 and set(r[0]["n"]) == {0} and set(r[0]["s"]) == {None}
     assert V.aggregate(df.where("a < 0"), ["a"], "mask", specs)[0].count() == 0
