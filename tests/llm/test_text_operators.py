@@ -258,3 +258,81 @@ def test_pages_have_their_evidence(spark, sf):
     assert r["declared"] in ("en", "fr", "de", "es") and r["suffix"] in ("com", "org", "net") and "<" not in r["text"][:50]
     got = langid.posteriors(p, "page_id", declared="declared", host="host", suffix="suffix")
     assert got.count() == p.count() and got.where("kept").count() > 0.9 * p.count()
+
+
+def brute_posteriors(rows):
+    """The whole posterior by hand: rows of (text, declared, host, suffix), every language declared 3 times or more."""
+    import math
+
+    n = len(rows)
+    codes = [langid.pair_codes((t or "").encode()) for t, *_ in rows]
+    names = sorted({d for _, d, _, _ in rows if d})
+    fit = {x: {t: c for (t, d, _, _), c in zip(rows, codes, strict=True) if d == x and t and t.strip()} for x in names}  # different texts
+    names = [x for x in names if len(fit[x]) >= 3]
+
+    def loglik(i, x):
+        own = rows[i][0] if rows[i][1] == x else None
+        total = np.full(65536, langid.FLOOR)
+        for t, c in fit[x].items():
+            if t != own:
+                total += np.bincount(c[:], minlength=65536)
+        return float(np.log(total / total.sum())[codes[i]].sum())
+
+    def norm(v):
+        e = np.exp(np.array(v) - max(v))
+        return e / e.sum()
+
+    own, logs = [], []
+    for i, (_, d, _, _) in enumerate(rows):
+        calm = min(langid.WEIGHT, langid.MOST / max(1, len(codes[i])))
+        other = d is not None and d not in names
+        logs.append([calm * loglik(i, x) for x in names] + [calm * len(codes[i]) * math.log(1 / 65536) if other else langid.NEVER])
+        own.append(norm(logs[-1]))
+    some = [i for i in range(n) if len(codes[i])]
+    k = len(names) + 1
+    smooth = lambda c, w: (c + langid.STRENGTH * w) / (c.sum() + langid.STRENGTH)
+    tally = lambda f: sum((own[i] for i in some if f(rows[i])), np.zeros(k))
+    p_all = smooth(tally(lambda r: True), np.full(k, 1 / k))
+    out = []
+    for i, (_, d, h, s) in enumerate(rows):
+        prior = smooth(tally(lambda r, h=h, s=s: r[2:] == (h, s)), smooth(tally(lambda r, s=s: r[3] == s), p_all)) if any(rows[j][2:] == (h, s) for j in some) else np.full(k, 1 / k)
+        v = np.array(logs[i]) + np.log(prior)
+        for said, right in ((d, langid.DECLARED), (s, langid.SUFFIX)):
+            hit = [x == said for x in names] + [said is d and d is not None and d not in names]
+            if any(hit):
+                v += np.log(np.where(hit, right, (1 - right) / (k - 1)))
+        post = norm(v)
+        out.append(([*names, d][int(post.argmax())] if len(codes[i]) else None, post.max()))
+    return out
+
+
+def test_posteriors_equal_brute_force(spark):
+    r = random.Random(8)
+    rows = [(sentences(x, r.choice([2, 6, 30]), r), x if r.random() < 0.8 else r.choice([None, "de", "fr", "xx"]), r.choice(["h1", "h2", None]), r.choice(["de", "com", None])) for x in ("en", "de", "fr") for _ in range(14)]
+    rows += [("中文字" * 9, "zh", "h1", "com"), ("der die das", "zh", "h2", "de"), (None, "en", "h1", None), ("", None, "h1", "de"), ("12 34", "en", None, None), (rows[0][0], rows[0][1], "h2", "com")]
+    df = spark.createDataFrame([(i, *x) for i, x in enumerate(rows)], "doc_id long, text string, lang string, source string, tld string")
+    got = {x["doc_id"]: x for x in langid.posteriors(df, suffix="tld").collect()}
+    for i, (language, sure) in enumerate(brute_posteriors(rows)):
+        assert got[i]["language"] == language, (rows[i], got[i])
+        if language:
+            assert got[i]["confidence"] == pytest.approx(sure, abs=1e-4)
+    zh = [i for i, x in enumerate(rows) if x[1] == "zh"]
+    assert got[zh[0]]["language"] == "zh" and got[zh[0]]["kept"] and got[zh[1]]["kept"]
+
+
+def test_more_than_64_languages_and_tags_with_regions(spark):
+    alphabets = ["".join(chr(0x400 + 7 * k + i) for i in range(7)) for k in range(90)]
+    r = random.Random(2)
+    rows = [(f"l{k:02d}", "".join(r.choice(a + " ") for _ in range(60))) for k, a in enumerate(alphabets) for _ in range(4)]
+    df = docs(spark, [t for _, t in rows] + ["der und das ist nicht"] * 3, [x.upper() + "-XX" for x, _ in rows] + ["de-DE", "de_AT", "  "], [None] * (len(rows) + 3))
+    got = {x["doc_id"]: x for x in langid.posteriors(df).collect()}
+    assert [got[i]["language"] for i in range(len(rows))] == [x for x, _ in rows]
+    assert all(got[i]["kept"] for i in range(len(rows) + 2)) and got[len(rows)]["language"] == "de"
+
+
+def test_a_text_cut_into_parts_has_the_pairs_of_the_whole():
+    raw = ("der und das  " * 200_000).encode()
+    m = langid.Model(["a"], np.array([0x6465, 0x6572]), np.array([[5, 3]], np.int32), {})
+    s, n = m.score(raw, None)
+    c = langid.pair_codes(raw)
+    assert n == len(c) and s[0] == pytest.approx(m.log[0][m.place[c]].sum(dtype=np.float64))

@@ -16,11 +16,15 @@ SPACE = r"\x20\x09-\x0D"
 def cut(df: DataFrame) -> DataFrame:
     """Write ``df`` to the shared checkpoint folder and cut its lineage.
 
-    The folder is the session's ``spark.checkpoint.dir``; a temporary one is set only where there is none (tests).
+    The folder is the session's ``spark.checkpoint.dir``. Where there is none a session of one machine (tests) gets a
+    temporary one; on a cluster, whose machines do not share such a folder, that is an error.
     """
     sc = df.sparkSession.sparkContext
     if not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="worldfold-"))
+        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not folder and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all machines share")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="worldfold-"))
     return df.checkpoint(eager=True)
 
 

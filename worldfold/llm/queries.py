@@ -15,6 +15,7 @@ QUERIES = {
     "op8_tiff": tiff.op8_tiff,
     "op9_secrets": secrets.op9_secrets,
     "op10_language": langid.op10_language,
+    "language_of_pages": langid.language_of_pages,
 }
 
 ORACLES = {"op1_mix_sources": mixing.ORACLE, "op7_line_dedup": linededup.ORACLE, "op9_secrets": secrets.oracle()}
