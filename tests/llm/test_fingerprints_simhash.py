@@ -151,8 +151,8 @@ def test_groups_equal_brute_force(spark):
     assert simhash.groups(docs(spark, [])).count() == 0
 
 
-@pytest.mark.parametrize("group", [2000, 3])
-def test_links_connect_what_is_close_also_in_large_groups(spark, group):
+@pytest.mark.parametrize(("radius", "group"), [(1, 2000), (1, 3), (2, 2000), (2, 3), (3, 2000), (3, 3), (5, 3)])
+def test_links_connect_what_is_close_also_in_large_groups(spark, radius, group):
     r = random.Random(4)
     fps = []
     for _ in range(25):
@@ -164,14 +164,34 @@ def test_links_connect_what_is_close_also_in_large_groups(spark, group):
     fps = list(dict.fromkeys(fps))
     signed = [simhash._signed(x) for x in fps]
     df = spark.createDataFrame([(x,) for x in signed], "fp long")
-    edges = simhash.links(df, group=group)
-    assert all(((a ^ b) & (2**64 - 1)).bit_count() <= 2 for a, b in [tuple(e) for e in edges.collect()])
+    edges = simhash.links(df, radius, group)
+    assert all(((a ^ b) & (2**64 - 1)).bit_count() <= radius and a < b for a, b in [tuple(e) for e in edges.collect()])
     root = {x["node"]: x["root"] for x in simhash.components(edges).collect()}
-    want = brute_groups(fps)
+    want = brute_groups(fps, radius)
     mine = [root.get(x, x) for x in signed]
     assert len(set(mine)) == len(set(want)) == len(set(zip(mine, want, strict=True)))
 
 
+def test_far_pairs_are_discarded_by_the_table_and_no_close_one_is():
+    r = np.random.default_rng(3)
+    u = r.integers(-(2**63), 2**63, 400)
+    u = np.unique(np.concatenate((u, u[:100] ^ 5, u[:50] ^ (1 << 40))))
+    seen = {}
+    got = {tuple(sorted(p)) for p in simhash.close_pairs(u, 2, seen)}
+    bits = u.view(np.uint64)
+    d = np.bitwise_count(bits[:, None] ^ bits[None, :])
+    assert got == {(i, j) for i, j in zip(*np.nonzero(d <= 2), strict=True) if i < j}
+    pairs = len(u) * (len(u) - 1) // 2
+    assert seen["in_reach"] < 0.5 * pairs and seen["left"] < 1.05 * seen["verified"] + 5
+
+
+def test_radius_is_checked(spark):
+    df = spark.createDataFrame([(1,), (3,)], "fp long")
+    assert simhash.links(df, 0).count() == 0
+    with pytest.raises(ValueError):
+        simhash.links(df, 15)
+
+
 def test_pivot_columns_bound_distances(spark):
     r = random.Random(5)
     a = r.getrandbits(64)

@@ -1,11 +1,15 @@
 """SimHash near-duplicates by pivot distance tables.
 
-A table of Hamming distances to reference fingerprints (pivots) is computed once. Distances are a metric, so no pivot's
-column differs by more than the radius between two fingerprints that close. The pivots are a base and the base with one
-pair of bits turned over, for each of the 32 pairs: two columns tell how far a fingerprint is from the base within that
-pair (its coordinate). At most ``radius`` coordinates can differ between close fingerprints, so when the coordinates are
-dealt into radius + 2 sections, two sections at least agree as a whole: pairs are looked for where two sections are
-equal, discarded by the largest coordinate difference, and the survivors are verified.
+A table of Hamming distances to many reference fingerprints (pivots) is computed once for each different value. Distances
+are a metric, so no column of the table differs by more than the radius between two fingerprints that close. Values are
+joined in ranges of one column: within a group those whose first column is in reach are candidates, pairs whose largest
+coordinate difference over all columns exceeds the radius are discarded, and the survivors are verified.
+
+One column's range holds over a third of all values, so an index stands in front, made of pivots too: the base (0) and
+the base with one pair of bits turned over, for each of the 32 pairs. Two of these columns tell how far a fingerprint is
+from the base within that pair (its coordinate). At most ``radius`` coordinates can differ between close fingerprints, so
+when the coordinates are dealt into radius + 2 sections, two sections at least agree as a whole, and only values that
+agree in two sections come into one group.
 
 Work on fingerprints is done once for each different value, never for each document.
 """
@@ -16,7 +20,6 @@ from collections.abc import Iterator
 from itertools import combinations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
@@ -25,10 +28,24 @@ from pyspark.sql.types import ArrayType, LongType
 
 from worldfold.llm.common import cut, documents, small, small_batches
 
-#: The base pivot is 0, the others 3 << 2b; a section is a run of bit pairs.
+#: The index: the base pivot is 0, the others 3 << 2b; a section is a run of bit pairs.
 PAIRS = 32
-#: Fingerprints that agree in two sections and are compared with each other in one task; larger groups go by neighbours.
+#: Fingerprints that agree in two sections and are compared with each other in one task; larger groups go by neighbours
+#: (radius 1 and 2) or block by block.
 GROUP = 2000
+#: Reference fingerprints of the table that pairs are discarded by.
+PIVOTS = 24
+
+
+def references(n: int = PIVOTS) -> np.ndarray:
+    """``n`` reference fingerprints: bits of a mixed counter, so each has about half of its bits set."""
+    x = np.arange(1, n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return _remix(x, 77)
+
+
+def distance_table(bits: np.ndarray) -> np.ndarray:
+    """values x PIVOTS: Hamming distances to the reference fingerprints."""
+    return np.bitwise_count(bits[:, None] ^ references()[None, :]).astype(np.int8)
 
 
 def simhash_of(text: bytes, words: int, seed: int = 42) -> int:
@@ -81,10 +98,15 @@ def links(fps: DataFrame, radius: int = 2, group: int = GROUP) -> DataFrame:
     """Links (a, b), a < b in signed order, that connect all different fingerprints within ``radius`` bits.
 
     Within a group that agrees in two sections only a spanning set of links is kept: what is connected is the same, and
-    no group lists its pairs. A group of over ``group`` values is not compared pair by pair: each of its values
-    is sent to all values one bit off (radius 2: two values are within 2 bits just if they share such a neighbour), where
-    at most 65 can meet, and is linked with the smallest one there.
+    no group lists its pairs. A group of over ``group`` values is not compared in one task. Up to radius 2 each of its
+    values is sent to all values one bit off: at radius 2 two values are close just if they share such a neighbour, where at
+    most 65 can meet and are linked with the smallest one; at radius 1, just if one is the other's neighbour. At larger
+    radii the group is dealt into blocks, and every block is held against every other. Radius 0 links nothing.
     """
+    if not 0 <= radius <= 14:
+        raise ValueError("radius must be from 0 to 14")
+    if radius == 0:
+        return fps.select(F.col("fp").alias("a"), F.col("fp").alias("b")).limit(0)
     coordinate = [((F.col("base") - F.element_at("pivots", b + 1) + 2) / 2).cast("int") for b in range(PAIRS)]
     table = pivot_table(fps)
     parts = sections(radius)
@@ -95,56 +117,85 @@ def links(fps: DataFrame, radius: int = 2, group: int = GROUP) -> DataFrame:
             out = out * 3 + coordinate[b]
         return out
 
-    packed = table.select("fp", "base", *[code(lo, hi).alias(f"s{i}") for i, (lo, hi) in enumerate(parts)])
+    packed = table.select("fp", *[code(lo, hi).alias(f"s{i}") for i, (lo, hi) in enumerate(parts)])
     keys = F.array(*[F.struct(F.lit(n).alias("t"), F.col(f"s{i}").alias("x"), F.col(f"s{j}").alias("y")) for n, (i, j) in enumerate(combinations(range(len(parts)), 2))])
     dealt = packed.select("fp", F.explode(keys).alias("k")).select("fp", "k.*")
     sizes = dealt.groupBy("t", "x", "y").agg(F.count("*").alias("n")).where("n > 1")
     met = cut(dealt.join(sizes, ["t", "x", "y"]))
-    small = met.where(F.col("n") <= group)
+    few = met.where(F.col("n") <= group).select("t", "x", "y", F.lit(0).alias("i"), F.lit(0).alias("j"), "fp")
+    many = met.where(F.col("n") > group)
+    if radius > 2:
+        blocks = F.ceil(F.col("n") / group).cast("int")
+        block = F.pmod(F.xxhash64("fp", F.lit(5)), F.col("blocks")).cast("int")
+        other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+        held = many.withColumn("blocks", blocks).withColumn("block", block).withColumn("other", other)
+        few = few.unionByName(held.select("t", "x", "y", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "fp"))
 
     # a task takes many groups in one call: rows come sorted by group
-    cols = ["t", "x", "y"]
+    cols = ["t", "x", "y", "i", "j"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = pd.DataFrame(columns=[*cols, "fp"])
+        held = None
         for b in batches:
-            held = pd.concat([held, b.to_pandas()], ignore_index=True) if len(held) else b.to_pandas()
-            last = held[cols].iloc[-1]
-            open_ = (held[cols] == last).all(axis=1)
-            yield _spans(held[~open_], radius)
-            held = held[open_]
-        if len(held):
+            rows = np.stack([b.column(c).to_numpy().astype(np.int64) for c in (*cols, "fp")], axis=1)
+            held = rows if held is None else np.concatenate((held, rows))
+            if len(held):
+                last = int(np.flatnonzero((held[:, :-1] != held[-1, :-1]).any(1)).max(initial=-1)) + 1
+                yield _spans(held[:last], radius)
+                held = held[last:]
+        if held is not None:
             yield _spans(held, radius)
 
-    near = small.select(*cols, "fp").repartition(*cols).sortWithinPartitions(*cols, "fp").mapInArrow(run, "a long, b long")
+    near = few.repartition(*cols).sortWithinPartitions(*cols).mapInArrow(run, "a long, b long")
     if radius > 2:
         return near.distinct()
-    turned = F.array(F.col("fp"), *[F.col("fp").bitwiseXOR(F.lit(_signed(1 << j))) for j in range(64)])
-    many = met.where(F.col("n") > group).select("fp").distinct().select("fp", F.explode(turned).alias("near"))
-    least = many.groupBy("near").agg(F.min("fp").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-    stars = many.join(least, "near").where("fp <> a").select("a", F.col("fp").alias("b"))
+    turned = [F.col("fp").bitwiseXOR(F.lit(_signed(1 << j))) for j in range(64)]
+    values = many.select("fp").distinct()
+    if radius == 1:
+        off = values.select("fp", F.explode(F.array(*turned)).alias("near")).where("fp < near")
+        stars = off.join(values.withColumnRenamed("fp", "v"), F.col("near") == F.col("v")).select(F.col("fp").alias("a"), F.col("near").alias("b"))
+    else:
+        off = values.select("fp", F.explode(F.array(F.col("fp"), *turned)).alias("near"))
+        least = off.groupBy("near").agg(F.min("fp").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
+        stars = off.join(least, "near").where("fp <> a").select("a", F.col("fp").alias("b"))
     return near.unionByName(stars).distinct()
 
 
-def _spans(rows: pd.DataFrame, radius: int) -> pa.RecordBatch:
+def _spans(rows: np.ndarray, radius: int) -> pa.RecordBatch:
+    """Spanning links of groups: rows of a group's key and a fingerprint, sorted by the key."""
     out = [np.empty((0, 2), np.int64)]
     if len(rows):
-        fp = rows["fp"].to_numpy(np.int64)
-        key = rows[["t", "x", "y"]].to_numpy(np.int64)
-        edge = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]).any(1), [True])))
-        for s, e in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-            if e - s > 1:
-                out.append(_span(fp[s:e], radius))
+        edge = np.flatnonzero(np.concatenate(([True], (rows[1:, :-1] != rows[:-1, :-1]).any(1), [True])))
+        out += [_span(rows[s:e, -1], radius) for s, e in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True) if e - s > 1]
     both = np.concatenate(out)
     return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
 
 
+def close_pairs(u: np.ndarray, radius: int, seen: dict[str, int] | None = None) -> Iterator[tuple[int, int]]:
+    """Pairs (places in ``u``, different values) within the radius, by the table of pivot distances.
+
+    ``seen`` counts pairs in reach of the first column, pairs that the other columns leave, and pairs that are verified.
+    """
+    bits = u.view(np.uint64)
+    table = distance_table(bits)
+    order = np.argsort(table[:, 0], kind="stable")
+    table, bits = table[order], bits[order]
+    reach = np.searchsorted(table[:, 0], table[:, 0] + radius, side="right")
+    seen = {} if seen is None else seen
+    for i in range(len(u) - 1):
+        at = slice(i + 1, reach[i])
+        left = np.flatnonzero(np.abs(table[at, 1:8] - table[i, 1:8]).max(1, initial=0) <= radius) + i + 1
+        left = left[np.abs(table[left, 8:] - table[i, 8:]).max(1, initial=0) <= radius]
+        same = left[np.bitwise_count(bits[left] ^ bits[i]) <= radius]
+        for k, v in (("in_reach", reach[i] - i - 1), ("left", len(left)), ("verified", len(same))):
+            seen[k] = seen.get(k, 0) + int(v)
+        for j in same.tolist():
+            yield int(order[i]), int(order[j])
+
+
 def _span(fp: np.ndarray, radius: int) -> np.ndarray:
-    """A spanning set of the links among a group's fingerprints: pairs are discarded by pivot columns, then verified."""
+    """A spanning set of the links among a group's fingerprints."""
     u = np.unique(fp.astype(np.int64))
-    bits = u.view(np.uint64)
-    masks = np.array([0, *[(0xFFFF << (16 * i)) for i in range(4)]], np.uint64)
-    columns = np.bitwise_count(bits[:, None] ^ masks[None, :]).astype(np.int8)
     parent = np.arange(len(u))
 
     def root(i: int) -> int:
@@ -154,15 +205,11 @@ def _span(fp: np.ndarray, radius: int) -> np.ndarray:
         return i
 
     out = []
-    for i in range(len(u) - 1):
-        close = np.abs(columns[i + 1 :] - columns[i]).max(1) <= radius
-        at = np.flatnonzero(close) + i + 1
-        at = at[np.bitwise_count(bits[at] ^ bits[i]) <= radius]
-        for j in at.tolist():
-            a, b = root(i), root(j)
-            if a != b:
-                parent[max(a, b)] = min(a, b)
-                out.append((u[i], u[j]))
+    for i, j in close_pairs(u, radius):
+        a, b = root(i), root(j)
+        if a != b:
+            parent[max(a, b)] = min(a, b)
+            out.append((u[min(i, j)], u[max(i, j)]))
     return np.array(out, np.int64).reshape(-1, 2)
 
 
@@ -518,7 +565,7 @@ def keep_one(docs: DataFrame, key: str = "doc_id", text: str = "text", words: in
     with small_batches(docs.sparkSession):
         marked = cut(wide_fingerprints(base, ["key", "h"], "text", words))
     nodes = marked.groupBy("same").agg(F.min(F.struct("key", "h")).alias("first"), F.first("wide").alias("wide"), F.first("samples").alias("samples"))
-    nodes = cut(nodes.withColumn("id", F.xxhash64("same")))
+    nodes = cut(nodes.withColumn("id", F.monotonically_increasing_id()))  # unique; fixed by the checkpoint, and no result depends on it
     met = meetings(sampled(nodes))
     sets = sets_of(met.select("id").distinct(), nodes, base, words)  # once, for both kinds of links
     links_ = cut(verified(cut(near_links(nodes, GROUP, met)), sets))
