@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, FloatType
 
-from worldfold.llm.common import cut, documents, small_batches
+from worldfold.llm.common import cut, documents, small, small_batches
 
 #: Labelled texts that the model is fitted on: so many a language at most, and so many bytes of each.
 FIT_TEXTS, FIT_BYTES = 400, 4000
@@ -114,7 +114,7 @@ def fit(base: DataFrame, seed: int = 1, languages: tuple[str, ...] | None = None
     top = (F.lit(2.0**63) * (share * 2 - 1)).cast("decimal(20,0)")
     limits = cut(known.groupBy("l").agg(F.approx_count_distinct("h").alias("n")).withColumn("top", F.least(top, F.lit((1 << 63) - 1).cast("decimal(20,0)")).cast("long")))
     limits = limits.where(F.col("n") >= FEWEST - 1) if languages is None else limits
-    chosen = known.join(limits.select("l", "top"), "l").where("h <= top").select("l", "h", F.expr(f"substr(text, 1, {FIT_BYTES})").alias("t"))
+    chosen = known.join(small(limits.select("l", "top")), "l").where("h <= top").select("l", "h", F.expr(f"substr(text, 1, {FIT_BYTES})").alias("t"))
 
     def count(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.drop_duplicates("h").nsmallest(FIT_TEXTS, "h")
