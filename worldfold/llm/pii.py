@@ -1,9 +1,13 @@
 """Personal data by a semi-Markov conditional random field.
 
 Exact patterns give the base spans. Around every place where digits or an at-sign stand close together (an island), the
-field chooses the best division into segments: whole spans compete by features of the span as a whole, and a dynamic
-program over segments of bounded length chooses boundaries and types together. It recovers what the patterns lose, such
-as a phone number run together with a card number.
+field chooses the best division into segments: whole spans compete by features of the span as a whole and of the words
+beside it, and a dynamic program over segments of bounded length chooses boundaries and types together, around the base
+spans, which stay. It recovers what the patterns lose, such as a phone number without its plus sign, an address with a
+spelled-out at-sign, or a card number divided by dots.
+
+Labels come from the corpus: the base spans of a bounded sample of its islands, as they are and rewritten into forms that
+the patterns miss, beside made-up ones for kinds the sample lacks.
 """
 
 from __future__ import annotations
@@ -16,6 +20,7 @@ from collections import Counter
 from collections.abc import Iterator
 from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -79,11 +84,13 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 
 # ---- islands, tokens and candidate segments
 
-MARK = re.compile(r"[0-9@]+")
+MARK = re.compile(r"[0-9@]+|[\[(](?:at|AT)[\])]")
+SPELLED = re.compile(r"\b[Aa][Tt](?= [A-Za-z0-9-]+ [Dd][Oo][Tt] )")
 REST = re.compile(r"\S*")
 TOKEN = re.compile(r"[0-9]+|[A-Za-z]+|\s|.", re.S)
-#: Longest segment in tokens.
-SEGMENT = 16
+WORD = re.compile(r"[^\W\d_]{2,}")
+#: Longest segment in tokens, and characters of context on either side.
+SEGMENT, BESIDE = 16, 32
 
 
 def shape_of(s: str) -> str:
@@ -91,89 +98,119 @@ def shape_of(s: str) -> str:
     return re.sub(r"[A-Za-z]+", "a", re.sub(r"[0-9]+", lambda m: f"<{len(m.group())}>", s))
 
 
-def features(kind: str, s: str, left: str, right: str) -> list[tuple[str, float]]:
-    """Features of a whole span with its neighbouring characters; ``O`` is a single token outside."""
+@lru_cache(1 << 14)
+def _own(kind: str, s: str) -> tuple[str, ...]:
+    """Features of the span itself."""
     if kind == "O":
-        return [("O", 1.0), ("O:digits", float(s.isdigit())), ("O:long", float(s.isdigit() and len(s) >= 7)), ("O:at", float(s == "@"))]
+        return ("O", *(["O:digits"] if s.isdigit() else []), *(["O:long"] if s.isdigit() and len(s) >= 7 else []), *(["O:at"] if s == "@" or s.lower() == "at" else []))
     d = only_digits(s)
     n = len(d)
-    f = [(kind, 1.0)]
+    f = [kind]
     if kind == "card":
-        f += [("card:luhn", float(luhn(d))), ("card:size", float(14 <= n <= 19)), ("card:even", float(bool(re.fullmatch(r"[0-9]{14,19}|[0-9]{4}(?:([ -])[0-9]{4})(?:\1[0-9]{4}){2}(?:\1[0-9]{1,3})?|[0-9]{4}([ -])[0-9]{6}\2[0-9]{5}", s))))]
+        f += [f"luhn={luhn(d)}", f"size={14 <= n <= 19}", f"even={len({len(x) for x in re.findall('[0-9]+', s)[:-1]}) <= 1}"]
     elif kind == "phone":
-        f += [("phone:size", float(10 <= n <= 15)), ("phone:plus", float(s[0] == "+")), ("phone:groups", float(bool(re.fullmatch(r"(?:\+[0-9]{1,3}[ .-]?)?(?:\([0-9]{2,4}\)[ .-]?|[0-9]{2,4}[ .-])[0-9]{3}[ .-]?[0-9]{4}", s)))), ("phone:one", float(d == s))]
+        f += [f"size={10 <= n <= 15}", f"plus={s[0] == '+'}", f"one={d == s}", f"last={len(re.findall('[0-9]+', s)[-1])}"]
     elif kind == "ip":
-        parts = s.split(".")
-        f += [("ip:four", float(len(parts) == 4 and all(p.isdigit() for p in parts))), ("ip:range", float(all(p.isdigit() and len(p) < 4 and int(p) < 256 for p in parts)))]
+        f += [f"range={all(int(p) < 256 and len(p) < 4 for p in re.findall('[0-9]+', s))}", f"zero={any(len(p) > 1 and p[0] == '0' for p in re.findall('[0-9]+', s))}"]
     else:
-        f += [("email:at", float(s.count("@") == 1)), ("email:end", float(bool(re.search(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}$", s)))), ("email:plain", float(bool(re.fullmatch(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9.-]+", s))))]
-    f.append((f"{kind}:cut", float((left[-1:].isalnum() and s[:1].isalnum()) or (right[:1].isalnum() and s[-1:].isalnum()))))
-    f.append((f"{kind}:dot", float(right[:1] in ".-" and right[1:2].isdigit() or left[-1:] in ".-+" and left[-2:-1].isdigit())))
-    return f
+        f += [f"at={s.count('@')}", f"end={bool(re.search(r'[A-Za-z]{2,}$', s))}", f"dots={min(3, s.count('.') + len(re.findall('(?i)dot', s)))}"]
+    if kind != "email":
+        f += [f"shape={shape_of(s)}", f"marks={''.join(sorted(set(re.sub('[0-9]', '', s))))}"]
+    return (f[0], *[f"{kind}:{x}" for x in f[1:]])
+
+
+@lru_cache(1 << 12)
+def _before(left: str) -> tuple[str, ...]:
+    return tuple(f"before={w}" for w in WORD.findall(left.lower())[-2:])
+
+
+def features(kind: str, s: str, left: str, right: str) -> list[str]:
+    """Features of a whole span and of the text beside it; ``O`` is a single token outside."""
+    if kind == "O":
+        return list(_own(kind, s))
+    f = []
+    f.append(f"cut={(left[-1:].isalnum() and s[:1].isalnum()) or (right[:1].isalnum() and s[-1:].isalnum())}")
+    f.append(f"go={right[:1] in tuple('.-/:_') and right[1:2].isalnum() or left[-1:] in tuple('.-+/:_@') and left[-2:-1].isalnum()}")
+    f.append(f"said={left.rstrip()[-1:] in (':', '=', '#')}")
+    return [*_own(kind, s), *[f"{kind}:{x}" for x in (*f, *_before(left))]]
 
 
 def candidates(tokens: list[str], i: int) -> Iterator[tuple[str, int]]:
-    """Types and ends of segments that may begin at token i."""
+    """Types and ends of segments that may begin at token i: bounded in tokens and digits, without line ends."""
     first = tokens[i]
-    seen_at = False
+    if first.isspace() or not (first.isalnum() and first.isascii() or first in "+("):
+        return
+    digits = runs = 0
+    at = spelled = dot = letters = False
     for j in range(i + 1, min(len(tokens), i + SEGMENT) + 1):
         last = tokens[j - 1]
-        if last == "@":
-            seen_at = True
-        if last.isspace() and len(last) and last != " ":
-            return
-        if seen_at:
-            if last == " ":
+        if last.isdigit() and last.isascii():
+            digits += len(last)
+            runs += 1
+        elif last == "@":
+            if at:
                 return
-            if last.isalnum() and first != "@" and j - i >= 3:
-                yield "email", j
-            continue
-        if last.isdigit():
-            s = "".join(tokens[i:j])
-            n = sum(map(str.isdigit, s))
-            if n > 19:
-                return
-            if first.isdigit() or first in "+(":
-                if n >= 10 and n <= 15 and (first in "+(" or len(first) <= 4) and re.fullmatch(r"[+( ).0-9-]+", s):
-                    yield "phone", j
-                if n >= 14 and first.isdigit() and re.fullmatch(r"[0-9 -]+", s):
-                    yield "card", j
-                if first.isdigit() and s.count(".") == 3 and re.fullmatch(r"[0-9.]+", s):
-                    yield "ip", j
-        elif last == " " and not (first.isdigit() or first in "+("):
+            at = True
+        elif last.isalpha():
+            word = last.lower()
+            spelled |= word == "at" and j > i + 1
+            dot |= (at or spelled) and word == "dot"
+            letters = True
+        elif last not in " .+-_%()[]/":
             return
+        elif last == " " and at:
+            return
+        dot |= last == "." and (at or spelled)
+        if digits > 19 and not letters:
+            return
+        if last.isalnum() and (at or spelled):
+            if dot and last.isalpha() and last.lower() not in ("at", "dot"):
+                yield "email", j
+        elif last.isdigit() and not letters:
+            if 7 <= digits <= 15:
+                yield "phone", j
+            if 12 <= digits <= 19 and first.isdigit():
+                yield "card", j
+            if runs == 4 and 4 <= digits <= 12 and first.isdigit() and j - i >= 7:
+                yield "ip", j
 
 
 Weights = dict[str, float]
 
 
-def _score(w: Weights, f: list[tuple[str, float]]) -> float:
-    return sum(w.get(k, 0.0) * v for k, v in f)
-
-
-def _lattice(text: str) -> tuple[list[str], list[list[tuple[str, int, list]]]]:
-    """For each end: segments (type, begin, features) that end there."""
-    tokens = TOKEN.findall(text)
-    ends: list[list[tuple[str, int, list]]] = [[] for _ in range(len(tokens) + 1)]
-    at = [0]
+def _tokens(text: str) -> tuple[list[str], list[int]]:
+    tokens, at = TOKEN.findall(text), [0]
     for t in tokens:
         at.append(at[-1] + len(t))
+    return tokens, at
+
+
+def lattice(text: str, left: str = "", right: str = "", fixed: list[tuple[int, int]] | None = None) -> tuple[list[int], list[tuple[str, int, int, list[str]]]]:
+    """Where tokens begin, and all segments (type, first token, end, features), by their ends. No segment meets a ``fixed`` range."""
+    tokens, at = _tokens(text)
+    held = [any(at[k] < e and at[k + 1] > s for s, e in fixed or ()) for k in range(len(tokens))]
+    around = left + text + right
+    out = []
     for i in range(len(tokens)):
-        ends[i + 1].append(("O", i, features("O", tokens[i], "", "")))
-        for kind, j in candidates(tokens, i):
-            ends[j].append((kind, i, features(kind, text[at[i] : at[j]], text[max(0, at[i] - 2) : at[i]], text[at[j] : at[j] + 2])))
-    return tokens, ends
+        out.append(("O", i, i + 1, features("O", tokens[i], "", "")))
+        if not held[i]:
+            for kind, j in candidates(tokens, i):
+                if any(held[i:j]):
+                    break
+                s, e = at[i] + len(left), at[j] + len(left)
+                out.append((kind, i, j, features(kind, text[at[i] : at[j]], around[max(0, s - BESIDE) : s], around[e : e + 2])))
+    return at, sorted(out, key=lambda x: x[2])
 
 
-def best(text: str, w: Weights) -> list[tuple[str, int, int]]:
+def best(text: str, w: Weights, left: str = "", right: str = "", fixed: list[tuple[int, int]] | None = None) -> list[tuple[str, int, int]]:
     """The best division of an island: its spans in characters."""
-    tokens, ends = _lattice(text)
-    top: list[tuple[float, str, int]] = [(0.0, "", 0)]
-    for e in range(1, len(tokens) + 1):
-        top.append(max((top[i][0] + _score(w, f), kind, i) for kind, i, f in ends[e]))
-    at, out, e = [0], [], len(tokens)
-    for t in tokens:
-        at.append(at[-1] + len(t))
+    at, segments = lattice(text, left, right, fixed)
+    top: list[tuple[float, str, int]] = [(0.0, "", 0), *[(-math.inf, "", 0)] * (len(at) - 1)]
+    for kind, i, j, f in segments:
+        score = top[i][0] + sum(w.get(x, 0.0) for x in f)
+        if score > top[j][0]:
+            top[j] = (score, kind, i)
+    out, e = [], len(at) - 1
     while e:
         _, kind, i = top[e]
         if kind != "O":
@@ -187,40 +224,45 @@ def _lse(xs: list[float]) -> float:
     return m + math.log(sum(math.exp(x - m) for x in xs))
 
 
-def gradient(text: str, truth: set[tuple[str, int, int]], w: Weights) -> tuple[float, Counter]:
-    """Log-likelihood of the true division and its gradient, by forward and backward sums over segments."""
-    tokens, ends = _lattice(text)
-    n = len(tokens)
-    at = [0]
-    for t in tokens:
-        at.append(at[-1] + len(t))
-    fore, scored = [0.0], [[] for _ in range(n + 1)]
-    for e in range(1, n + 1):
-        scored[e] = [(i, _score(w, f), f, kind) for kind, i, f in ends[e]]
-        fore.append(_lse([fore[i] + s for i, s, _, _ in scored[e]]))
-    back: list[list[float]] = [[] for _ in range(n + 1)]
-    back[n] = [0.0]
-    tail = [0.0] * (n + 1)
-    for e in range(n, 0, -1):
-        tail[e] = _lse(back[e])
-        for i, s, _, _ in scored[e]:
-            back[i].append(s + tail[e])
-    g: Counter = Counter()
-    like = -fore[n]
-    inside = [False] * (n + 1)
-    begins, finish = {a: i for i, a in enumerate(at)}, {a: i for i, a in enumerate(at)}
-    for kind, s, e in truth:
-        for k in range(begins[s], finish[e]):
-            inside[k] = True
-    for e in range(1, n + 1):
-        for i, s, f, kind in scored[e]:
-            p = math.exp(fore[i] + s + tail[e] - fore[n])
-            gold = (kind, at[i], at[e]) in truth if kind != "O" else not inside[i]
-            like += s * gold
-            for name, v in f:
-                if v:
-                    g[name] += (gold - p) * v
-    return like, g
+class Example:
+    """An island with its true spans: segments with numbered features, for training."""
+
+    def __init__(self, text: str, left: str, right: str, truth: set[tuple[str, int, int]], number: dict[str, int]):
+        at, segments = lattice(text, left, right)
+        self.n = len(at) - 1
+        inside = [any(at[k] < e and at[k + 1] > s for _, s, e in truth) for k in range(self.n)]
+        self.of = [(i, j) for _, i, j, _ in segments]
+        #: Spans that no segment can be: the example teaches nothing.
+        self.whole = truth <= {(kind, at[i], at[j]) for kind, i, j, _ in segments}
+        self.gold = np.array([not inside[i] if kind == "O" else (kind, at[i], at[j]) in truth for kind, i, j, _ in segments], float)
+        self.flat = np.array([number.setdefault(x, len(number)) for *_, f in segments for x in f])
+        self.start = np.cumsum([0, *[len(f) for *_, f in segments]])[:-1]
+        self.owner = np.repeat(np.arange(len(segments)), np.diff(np.append(self.start, len(self.flat))))
+
+    def gradient(self, w: np.ndarray) -> tuple[float, np.ndarray]:
+        """Log-likelihood of the true division, and truth minus expectation for each segment, by sums forward and backward."""
+        score = np.add.reduceat(w[self.flat], self.start)
+        s = score.tolist()
+        into: list[list[float]] = [[] for _ in range(self.n + 1)]
+        fore = [0.0] * (self.n + 1)
+        done = 0
+        for k, (i, j) in enumerate(self.of):
+            while done < j - 1:
+                done += 1
+                fore[done] = _lse(into[done])
+            into[j].append(fore[i] + s[k])
+        fore[self.n] = _lse(into[self.n])
+        tail = [0.0] * (self.n + 1)
+        out: list[list[float]] = [[] for _ in range(self.n + 1)]
+        left = self.n
+        for k in range(len(self.of) - 1, -1, -1):
+            i, j = self.of[k]
+            while left > j:
+                left -= 1
+                tail[left] = _lse(out[left])
+            out[i].append(s[k] + tail[j])
+        p = np.array([math.exp(min(0.0, fore[i] + s[k] + tail[j] - fore[self.n])) for k, (i, j) in enumerate(self.of)])
+        return float((score * self.gold).sum() - fore[self.n]), self.gold - p
 
 
 def _sample(r: random.Random) -> tuple[str, set[tuple[str, int, int]]]:
@@ -258,64 +300,164 @@ def _sample(r: random.Random) -> tuple[str, set[tuple[str, int, int]]]:
     return text, spans
 
 
+def rewritten(kind: str, s: str, r: random.Random) -> str:
+    """The same data in a form that the patterns do not know."""
+    d = only_digits(s)
+    if kind == "email":
+        name, host = s.split("@")
+        dot = r.choice([".", " dot "])
+        return name + r.choice([" at ", "(at)", "[at]", " (at) "]) + (host if dot == "." else host.replace(".", dot)) if dot == "." else f"{name} at {host.replace('.', dot)}"
+    if kind == "ip":
+        return s.replace(".", r.choice(["[.]", "(.)", " . "]))
+    if kind == "card":
+        return r.choice([".", "_", " - ", "/"]).join(d[i : i + 4] for i in range(0, len(d), 4))
+    a, b, c = d[-10:-7], d[-7:-4], d[-4:]
+    return r.choice([f"({a}) {b}-{c}", f"{a}-{b}-{c}", f"{a}.{b}.{c}", f"{a} {b} {c}", f"{d[:-10] or 1}-{a}-{b}-{c}", f"00{d[:-10] or 1} {a} {b}{c}"])
+
+
+Labelled = tuple[str, str, str]  # an island, and what stands before and after it
+
+
+def _rewrite(text: str, truth: list[tuple[str, int, int]], r: random.Random) -> tuple[str, set[tuple[str, int, int]]]:
+    out, spans, at = "", set(), 0
+    for kind, s, e in truth:
+        if s < at:
+            continue
+        out += text[at:s]
+        new = rewritten(kind, text[s:e], r) if r.random() < 0.7 else text[s:e]
+        spans.add((kind, len(out), len(out) + len(new)))
+        out, at = out + new, e
+    return out + text[at:], spans
+
+
+def labelled(rows: tuple[Labelled, ...], seed: int = 7) -> list[tuple[str, str, str, set]]:
+    """Labels of sampled islands: base spans as they are, and rewritten."""
+    r = random.Random(seed)
+    out = []
+    for text, left, right in rows:
+        all_ = base_spans(text)
+        truth = [b for i, b in enumerate(all_) if all(b[1] >= e or b[2] <= s for _, s, e in all_[:i])]
+        out.append((text, left, right, set(truth)))
+        if truth:
+            new, spans = _rewrite(text, truth, r)
+            out.append((new, left, right, spans))
+    return out
+
+
 @lru_cache(4)
-def train(samples: int = 400, rounds: int = 40, rate: float = 0.5, penalty: float = 0.002, seed: int = 11) -> tuple[tuple[str, float], ...]:
-    """Weights by gradient ascent on made islands (no corpus rows are needed); ``samples`` bounds the set."""
+def train(rows: tuple[Labelled, ...] = (), made: int = 300, rounds: int = 12, rate: float = 0.4, penalty: float = 0.002, seed: int = 11) -> tuple[tuple[str, float], ...]:
+    """Weights by gradient ascent on labelled islands of the corpus (``rows``) and ``made`` ones; both bound the set."""
     r = random.Random(seed)
-    data = [_sample(r) for _ in range(samples)]
-    w: Weights = {}
-    speed: Counter = Counter()
+    number: dict[str, int] = {}
+    data = [Example(t, left, right, truth, number) for t, left, right, truth in labelled(rows)]
+    for _ in range(made):
+        text, spans = _sample(r)
+        cue = r.choice(["", "", r.choice(_CUES[next(iter(spans))[0]]) + r.choice([" ", ": "]) if len(spans) == 1 and text[:1] != " " else ""])
+        data.append(Example(text, cue, "", spans, number))
+        new, spans = _rewrite(text, sorted(spans, key=lambda x: x[1]), r)
+        data.append(Example(new, cue, "", spans, number))
+    w, speed = np.zeros(len(number)), np.full(len(number), 1e-8)
     for _ in range(rounds):
-        for text, spans in data:
-            _, g = gradient(text, spans, w)
-            for k, v in g.items():
-                v -= penalty * w.get(k, 0.0)
-                speed[k] += v * v
-                w[k] = w.get(k, 0.0) + rate * v / math.sqrt(speed[k] + 1e-8)
-    return tuple(sorted(w.items()))
+        r.shuffle(data)
+        for x in data:
+            if x.n and x.whole:
+                g = x.gradient(w)[1][x.owner]
+                at, back = np.unique(x.flat, return_inverse=True)
+                step = np.bincount(back, g) - penalty * w[at]
+                speed[at] += step * step
+                w[at] += rate * step / np.sqrt(speed[at])
+    return tuple(sorted((k, round(float(w[i]), 6)) for k, i in number.items() if abs(w[i]) > 1e-4))
+
+
+#: Words that announce a kind, for made-up islands.
+_CUES = {"email": ["email", "mail", "contact", "write to"], "ip": ["ip", "host", "server", "address"], "card": ["card", "visa", "card number", "pay"], "phone": ["call", "phone", "tel", "mobile", "fax"]}
 
 
 def islands(text: str) -> Iterator[tuple[int, str]]:
-    """Runs of words with digits or at-signs, joined by single spaces, if they hold 8 digits or an at-sign."""
+    """Runs of words with digits or at-signs, joined by up to three marks or words between, if they hold 4 digits or an at-sign.
+
+    A spelled-out at-sign counts with the words around it.
+    """
+    marks = [m.span() for m in MARK.finditer(text)]
+    if " dot " in text.lower():
+        extra = []
+        for m in SPELLED.finditer(text):
+            e = m.end()
+            while (k := re.match(r" [A-Za-z0-9-]+(?: [Dd][Oo][Tt](?= ))?", text[e:])) and (k.group().lower().endswith(" dot") or text[:e].lower().endswith(" dot")):
+                e += k.end()
+            extra.append((max(0, m.start() - 1), e))
+        marks = sorted(marks + extra)
     begin = end = -1
-    for m in MARK.finditer(text):
-        if m.start() < end:
+    for s, e in marks:
+        if s < end and e <= end:
             continue
-        s = m.start()
-        while s > max(0, end) and not text[s - 1].isspace():
+        s = min(s, end) if 0 <= end > s else s
+        if text[s] in "([" and text[s - 1 : s] == " ":  # "name (at) host"
+            s -= 1
+        while s > max(0, end) and (not text[s - 1].isspace() or (s >= 1 and text[s : s + 1].isspace())):
             s -= 1
-        if begin >= 0 and s == end + 1 and text[end] == " ":
+        to = REST.match(text, e).end()
+        if text[to - 4 : to].lower() in ("(at)", "[at]") and text[to : to + 1] == " ":
+            to = REST.match(text, to + 1).end()
+        if begin >= 0 and s <= end + 3 and re.fullmatch(r" ?[-.]? ?", text[end:s] if s > end else ""):
             s = begin
         elif begin >= 0 and _worth(text, begin, end):
             yield begin, text[begin:end]
-        begin, end = s, REST.match(text, m.end()).end()
+        begin, end = s, max(end, to)
     if begin >= 0 and _worth(text, begin, end):
         yield begin, text[begin:end]
 
 
 def _worth(text: str, begin: int, end: int) -> bool:
     s = text[begin:end]
-    return "@" in s or (end - begin >= 8 and sum(map(str.isdigit, s)) >= 8)
+    return "@" in s or SPELLED.search(text, begin, end) is not None or "at)" in s.lower() or "at]" in s.lower() or sum(map(str.isdigit, s)) >= 4
 
 
 def found(text: str, w: Weights) -> tuple[list, list]:
-    """Base spans, and all spans: base ones and those of the field that meet none of them."""
+    """Base spans, and all spans: base ones and those of the field, which divides what is around them."""
     base = base_spans(text)
     added = []
     for at, s in islands(text):
         inside = [b for b in base if b[1] < at + len(s) and b[2] > at]
-        covered = sum(e - b for _, b, e in inside)
-        if sum(c.isdigit() for c in s) - sum(c.isdigit() for _, b, e in inside for c in text[b:e]) < 8 and covered:
-            continue  # the patterns have taken what there is
+        left = s
+        for _, b, e in inside:
+            left = left[: max(0, b - at)] + " " * (min(e - at, len(s)) - max(0, b - at)) + left[e - at :] if e - at < len(s) else left[: max(0, b - at)]
+        if not _worth(left, 0, len(left)):
+            continue  # no segment can be made of what the patterns leave
         for lo in range(0, len(s), 2000):  # a field over a very long island goes by windows that overlap
-            piece = s[max(0, lo - 100) : lo + 2000]
-            for kind, b, e in best(piece, w):
-                b, e = b + at + max(0, lo - 100), e + at + max(0, lo - 100)
-                if all(e <= x or b >= y for _, x, y in base) and all(e <= x or b >= y for _, x, y in added):
-                    added.append((kind, b, e))
+            a = at + max(0, lo - 100)
+            piece = text[a : at + min(len(s), lo + 2000)]
+            fixed = [(b - a, e - a) for _, b, e in inside]
+            for kind, b, e in best(piece, w, text[max(0, a - BESIDE) : a], text[a + len(piece) : a + len(piece) + 2], fixed):
+                if all(e + a <= x or b + a >= y for _, x, y in added):
+                    added.append((kind, b + a, e + a))
     return base, sorted([*base, *added], key=lambda x: (x[1], KINDS.index(x[0])))
 
 
+#: Islands of the corpus that the field is trained on, and the longest of them.
+ISLANDS, LONGEST = 300, 200
+
+
+def sample_islands(docs: DataFrame, text: str = "text", n: int = ISLANDS) -> tuple[Labelled, ...]:
+    """The ``n`` islands with the smallest hashes (with base spans and without, half each) and what stands beside them."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = []
+            for t in b.column(0):
+                t = t.as_py()
+                for at, s in islands(t):
+                    if len(s) <= LONGEST:
+                        rows.append((s, t[max(0, at - BESIDE) : at], t[at + len(s) : at + len(s) + 2], bool(base_spans(s))))
+            cols = list(zip(*rows, strict=True)) or [()] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (pa.string(), pa.string(), pa.string(), pa.bool_()), strict=True)], ["s", "l", "r", "some"])
+
+    rows = docs.select(F.col(text).alias("t")).where(F.col("t").isNotNull()).mapInArrow(run, "s string, l string, r string, some boolean")
+    rows = rows.withColumn("h", F.xxhash64("s", "l", "r"))
+    top = rows.where("some").orderBy("h", "s", "l", "r").limit(n // 2).unionAll(rows.where("not some").orderBy("h", "s", "l", "r").limit(n // 2))
+    return tuple((x["s"], x["l"], x["r"]) for x in top.select("s", "l", "r").collect())
+
+
 def joined(spans: list[tuple[str, int, int]]) -> str:
     return ",".join(f"{k}:{s}:{e}" for k, s, e in spans)
 
@@ -324,9 +466,10 @@ def detect(docs: DataFrame, key: str = "doc_id", text: str = "text", weights: tu
     """A row a document: key, n_<kind> (base spans of each kind), base_sha256, spans (all), n_added.
 
     Offsets are code points. Null or empty text has no spans. Repeated rows are rows of their own. Other columns are
-    ignored. The weights (a few dozen numbers) are trained on the driver unless given.
+    ignored. Keys are cast to long. The weights (some thousand numbers) are trained on the driver unless given, from ISLANDS
+    islands of ``docs``.
     """
-    w = dict(weights or train())
+    w = dict(weights or train(sample_islands(docs, text)))
     schema = f"{key} long, {', '.join(f'n_{k} long' for k in KINDS)}, base_sha256 string, spans string, n_added long"
     names = [c.split()[0] for c in schema.split(", ")]
     kinds = [pa.int64()] * 5 + [pa.string(), pa.string(), pa.int64()]
