@@ -276,6 +276,52 @@ def test_scan_equals_python_and_sql(spark):
     assert secrets.scan(docs(spark, [])).count() == 0
 
 
+def by_patterns(left, c):
+    """The rule that the forest is to beat: a naming word before it, or a known prefix."""
+    return bool(re.search(secrets.FIELDS["named"], left)) or bool(re.search(secrets.KEYED, c))
+
+
+def other_findings(n=600, seed=77):
+    """Findings of forms and contexts that the training set does not have."""
+    r = random.Random(seed)
+    pick = lambda chars, k: "".join(r.choice(chars) for _ in range(k))
+    b64 = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    true = [lambda: ("db.password = ", pick(b64, 28), ";"), lambda: ("export MY_SERVICE_ACCESS_KEY=", pick("ABCDEF0123456789", 32), "\n"), lambda: ("-H 'Authorization: Bearer ", pick(b64[:62], 36), "'"), lambda: ('"client_secret": "', pick(b64[:62] + "-_", 30), '",')]
+    false = [lambda: ("set password: ", "change_this_password_now", " "), lambda: ("secret = ", "this_is_not_a_real_secret_value", "\n"), lambda: ("token: ", "TokenRequestHandlerFactory", "("), lambda: ("auth ", "application/json/schema/content", " "), lambda: ("see commit ", pick("0123456789abcdef", 40), " by"), lambda: ("blob sha256:", pick("0123456789abcdef", 64), " ok"), lambda: ("from ", "src/components/" + r.choice(["Header", "Footer"]) + "/index", ".js"), lambda: ("api_key = ", "your_api_key_placeholder_text", " #"), lambda: ("order id ", pick("0123456789", 18), " was")]
+    return [(*r.choice(true if i % 2 else false)(), i % 2) for i in range(n)]
+
+
+def test_forest_takes_out_what_patterns_take_for_secrets():
+    trees = secrets.forest()
+    rows = other_findings()
+    cut = [(left[-40:], re.search(secrets.CANDIDATE, c).group(), right, y) for left, c, right, y in rows if re.search(secrets.CANDIDATE, c)]
+    forest = [secrets.score(secrets.describe(left, c, right), trees) >= secrets.SURE for left, c, right, _ in cut]
+    rule = [by_patterns(left, c) for left, c, _, _ in cut]
+    truth = [bool(y) for *_, y in cut]
+    right = lambda got: np.mean([g == t for g, t in zip(got, truth, strict=True)])
+    assert right(forest) > 0.9 and right(forest) > right(rule) + 0.05
+    assert sum(f and not t for f, t in zip(forest, truth, strict=True)) < 0.5 * sum(p and not t for p, t in zip(rule, truth, strict=True))
+
+
+def test_findings_of_the_corpus_are_told_apart(spark):
+    """Tokens that the documents name as such are found, and nothing else of them is."""
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = secrets.scan(df).where("secret").groupBy("doc_id").count().toPandas().set_index("doc_id")["count"].to_dict()
+    want = {}
+    for r in df.select("doc_id", "text").collect():
+        n = len(re.findall('token = "[0-9a-f]{40}', r["text"] or ""))
+        if n:
+            want[r["doc_id"]] = n
+    assert got == want and want
+
+
+def test_a_long_name_is_context(spark):
+    got = secrets.findings(docs(spark, ['x aws_secret_access_key = "0123456789abcdef0123" y', "", None, "é" * 50 + "/" * 20 + " " + "é" * 50])).orderBy("key", "ordinal").collect()
+    assert [(r["key"], r["ordinal"]) for r in got] == [(0, 0), (0, 1), (3, 0)] and got[1]["l"].endswith('aws_secret_access_key = "')
+    long = docs(spark, ["word " * 50_000 + "token = " + "a1" * 100_000] * 2)
+    assert secrets.scan(long).select("size").distinct().collect()[0][0] == 200_000 and secrets.scan(long).count() == 2
+
+
 # ---- language
 
 WORDS = {"en": "the and of to in is that it was for with are this from".split(), "de": "der die und das ist nicht mit ein für auf über schön".split(), "fr": "le la et les des est une pour dans que été français".split()}

@@ -1,7 +1,8 @@
 """Secret scans whose false positives a random forest takes out.
 
 Candidates are runs of characters that keys are made of. Each is described by whole numbers: length, how often the
-character class changes, how much of it dictionary words cover, whether it looks like a path, and the words beside it.
+character class changes and from which to which, how much of it dictionary words cover, how it would be spoken, whether it
+looks like a path, and the words beside it.
 A forest fitted on labelled findings scores them. The fitted trees become one SQL expression, so finding, describing and
 scoring stay in the engine; only the few hundred labelled findings are seen by Python, on the driver.
 """
@@ -36,7 +37,9 @@ FINDINGS, TREES, DEPTH, VOTE = 1200, 15, 6, 1000
 #: A finding is reported as a secret from this mean vote on.
 SURE = 500
 
-FEATURES = ["size", "digits", "uppers", "lowers", "runs", "words", "slashes", "marks", "hexed", "keyed", "kinds", *FIELDS, "ended"]
+#: Changes of class from one character to the next, and runs that words do not have.
+TURNS = {"to_letter": "[0-9][A-Za-z]", "to_digit": "[A-Za-z][0-9]", "to_upper": "[a-z][A-Z]", "to_lower": "[A-Z][a-z]", "unspoken": "[bcdfghjklmnpqrstvwxz][bcdfghjklmnpqrstvwxz][bcdfghjklmnpqrstvwxz][bcdfghjklmnpqrstvwxz]", "same": "(aa|bb|cc|dd|ee|ff|xx|00|11|22|33|44|55|66|77|88|99|--|__)"}
+FEATURES = ["size", "digits", "uppers", "lowers", "vowels", "runs", *TURNS, "words", "slashes", "marks", "hexed", "keyed", "kinds", *FIELDS, "told", "ended"]
 KEYED = "^(AKIA|ASIA|ghp_|gho_|sk_live_|sk-|xoxb-|xoxp-|AIza|glpat-|eyJ)"
 ENDED = "^[.](py|js|ts|html?|css|png|jpe?g|gif|svg|json|xml|txt|md|zip|gz|pdf)"
 
@@ -54,7 +57,10 @@ def describe(left: str, c: str, right: str) -> list[int]:
     low = c.lower()
     seen = [bool(re.search(p, left)) for p in FIELDS.values()]
     kinds = sum(bool(re.search(p, c)) for p in ("[0-9]", "[a-z]", "[A-Z]", "[^0-9a-zA-Z]"))
-    return [n, share("[0-9]"), share("[A-Z]"), share("[a-z]"), runs(c) * 100 // n, (n - len(re.sub(DICTIONARY, "", low))) * 100 // n, n - len(re.sub("/", "", c)), n - len(re.sub("[_-]", "", c)), int(bool(re.search("^([0-9a-f]+|[0-9A-F]+)$", c))), int(bool(re.search(KEYED, c))), kinds, *map(int, seen), int(bool(re.search(ENDED, right)))]
+    # a match of k characters leaves one: the length shrinks by k - 1 for each
+    turns = [(n - len(re.sub(p, "~", low if k in ("unspoken", "same") else c))) * 100 // n for k, p in TURNS.items()]
+    told = len(left) - len(re.sub(DICTIONARY, "", left.lower()))
+    return [n, share("[0-9]"), share("[A-Z]"), share("[a-z]"), share("[aeiouAEIOU]"), runs(c) * 100 // n, *turns, (n - len(re.sub(DICTIONARY, "", low))) * 100 // n, n - len(re.sub("/", "", c)), n - len(re.sub("[_-]", "", c)), int(bool(re.search("^([0-9a-f]+|[0-9A-F]+)$", c))), int(bool(re.search(KEYED, c))), kinds, *map(int, seen), told, int(bool(re.search(ENDED, right)))]
 
 
 def columns(duckdb: bool = False) -> dict[str, str]:
@@ -68,7 +74,8 @@ def columns(duckdb: bool = False) -> dict[str, str]:
     runs = "c"
     for pat, one in (("[0-9]+", "0"), ("[a-z]+", "a"), ("[A-Z]+", "A"), ("[^0-9a-zA-Z]+", "_")):
         runs = sub(runs, pat, one)
-    out = {"size": n, "digits": share("[0-9]"), "uppers": share("[A-Z]"), "lowers": share("[a-z]"), "runs": part(f"length({runs})", n)}
+    out = {"size": n, "digits": share("[0-9]"), "uppers": share("[A-Z]"), "lowers": share("[a-z]"), "vowels": share("[aeiouAEIOU]"), "runs": part(f"length({runs})", n)}
+    out |= {k: part(f"{n} - length({sub('lower(c)' if k in ('unspoken', 'same') else 'c', p, '~')})", n) for k, p in TURNS.items()}
     out["words"] = part(f"{n} - length({sub('lower(c)', DICTIONARY)})", n)
     out["slashes"] = f"{n} - length({sub('c', '/')})"
     out["marks"] = f"{n} - length({sub('c', '[_-]')})"
@@ -76,6 +83,7 @@ def columns(duckdb: bool = False) -> dict[str, str]:
     out["keyed"] = has("c", KEYED)
     out["kinds"] = " + ".join(has("c", p) for p in ("[0-9]", "[a-z]", "[A-Z]", "[^0-9a-zA-Z]"))
     out |= {k: has("l", p) for k, p in FIELDS.items()}
+    out["told"] = f"length(l) - length({sub('lower(l)', DICTIONARY)})"
     out["ended"] = has("r", ENDED)
     return {k: f"CAST({v} AS BIGINT)" for k, v in out.items()}
 
@@ -92,7 +100,7 @@ def labelled(n: int = FINDINGS, seed: int = 5) -> list[tuple[str, str, str, int]
 
     def secret() -> tuple[str, str, str]:
         body = r.choice([lambda: pick(hex_, r.choice([18, 20, 24, 32, 40, 64])), lambda: pick(mixed, r.choice([20, 24, 32, 40, 43])), lambda: pick(mixed + "+/", 40)])
-        name = r.choice(["token", "secret", "password", "passwd", "api_key", "apikey", "access_key", "auth_token", "client_secret", "private_key", "Bearer", "API_KEY"])
+        name = r.choice(["token", "secret", "password", "passwd", "api_key", "apikey", "access_key", "auth_token", "client_secret", "private_key", "Bearer", "API_KEY", "aws_secret_access_key", "STRIPE_SECRET_API_KEY", "github-access-token-value"])
         return r.choice([
             lambda: (prose() + name + r.choice([" = \"", "=", ": ", ": \"", " = '", "=\""]), body(), r.choice(["\"", " ", "'", ""]) + word()),
             lambda: (prose(), r.choice([lambda: "AKIA" + pick(up, 16), lambda: "ghp_" + pick(mixed, 36), lambda: "sk_live_" + pick(mixed, 24), lambda: "AIza" + pick(mixed, 35), lambda: "glpat-" + pick(mixed, 20), lambda: "eyJ" + pick(mixed, 60)])(), " " + word()),
@@ -181,8 +189,9 @@ def findings(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
     """A row a candidate: key, ordinal (from 0 in its text), l, c, r. Null and empty texts have none."""
     found = F.regexp_extract_all(text, F.lit(CANDIDATE), F.lit(0))
     rows = docs.where(F.regexp_like(text, F.lit(CANDIDATE))).select(F.col(key).alias("key"), found.alias("found"), F.split(text, CANDIDATE, -1).alias("gaps"))
-    rows = rows.select("key", "gaps", F.posexplode("found").alias("ordinal", "c"))
-    return rows.select("key", F.col("ordinal").cast("long").alias("ordinal"), F.expr(f"right(element_at(gaps, ordinal + 1), {BESIDE})").alias("l"), "c", F.expr(f"left(element_at(gaps, ordinal + 2), {BESIDE})").alias("r"))
+    rows = rows.select("key", "gaps", "found", F.posexplode("found").alias("ordinal", "c"))
+    before = "concat(CASE WHEN ordinal > 0 THEN element_at(found, ordinal) ELSE '' END, element_at(gaps, ordinal + 1))"  # a name may be a candidate itself
+    return rows.select("key", F.col("ordinal").cast("long").alias("ordinal"), F.expr(f"right({before}, {BESIDE})").alias("l"), "c", F.expr(f"left(element_at(gaps, ordinal + 2), {BESIDE})").alias("r"))
 
 
 def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", sure: int = SURE, trees: tuple | None = None) -> DataFrame:
@@ -206,8 +215,8 @@ def oracle() -> str:
     return f"""
 WITH f AS (
   SELECT doc_id, regexp_extract_all(text, '{CANDIDATE}') AS found, regexp_split_to_array(text, '{CANDIDATE}') AS gaps FROM documents),
-e AS (SELECT doc_id, gaps, unnest(found) AS c, unnest(range(len(found))) AS ordinal FROM f),
-k AS (SELECT doc_id, ordinal, c, right(gaps[ordinal + 1], {BESIDE}) AS l, left(gaps[ordinal + 2], {BESIDE}) AS r FROM e),
+e AS (SELECT doc_id, gaps, found, unnest(found) AS c, unnest(range(len(found))) AS ordinal FROM f),
+k AS (SELECT doc_id, ordinal, c, right((CASE WHEN ordinal > 0 THEN found[ordinal] ELSE '' END) || gaps[ordinal + 1], {BESIDE}) AS l, left(gaps[ordinal + 2], {BESIDE}) AS r FROM e),
 x AS (SELECT doc_id, ordinal, md5(c) AS candidate_md5, {feats} FROM k),
 s AS (SELECT doc_id, ordinal, candidate_md5, size, {score_sql(forest(), duckdb=True)} AS score FROM x)
 SELECT doc_id, ordinal, candidate_md5, size, score, score >= {SURE} AS secret FROM s
