@@ -7,6 +7,7 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
+from pyspark.sql import functions as F
 
 from worldfold.llm import langid, linededup, pii, secrets, tiff
 
@@ -444,3 +445,21 @@ def test_a_text_cut_into_parts_has_the_pairs_of_the_whole():
     s, n = m.score(raw, None)
     c = langid.pair_codes(raw)
     assert n == len(c) and s[0] == pytest.approx(m.log[0][m.place[c]].sum(dtype=np.float64))
+
+
+def test_lines_keep_columns_of_any_name(spark):
+    df = docs(spark, [f"same line\nown {i}" for i in range(30)] + [None]).withColumns({"__bad": F.lit(1), "__host": F.lit("h"), "host": F.lit(2), "bad": F.lit(3), "_bad": F.lit(4), "clean": F.lit(5), "n_lines": F.lit(-1), "n_dropped": F.lit("x")})
+    got = linededup.dedup(df).collect()
+    assert set(linededup.dedup(df).columns) == set(df.columns) and len(got) == 31
+    assert all((r["__bad"], r["__host"], r["host"], r["bad"], r["_bad"], r["clean"]) == (1, "h", 2, 3, 4, 5) for r in got)
+    assert all(r["text"] is None or "same" not in r["text"] and r["n_lines"] == 2 and r["n_dropped"] == 1 for r in got)
+
+
+def test_forged_sizes_are_errors_not_crashes(spark):
+    file = tiff.encode([np.arange(64, dtype=np.uint8).reshape(8, 8)], tiff.DEFLATE, 2, None, "<", strip_rows=8)
+    forged = []
+    for size in (2**31 - 1, 2**32 - 1, 60_000):
+        at = file.index(tiff.struct.pack("<HHI", tiff.WIDTH, 4, 1)) + 8
+        forged.append(file[:at] + tiff.struct.pack("<I", size) + file[at + 4 :])
+    got = tiff.pages(spark.createDataFrame([(i, x) for i, x in enumerate([file, *forged])], "doc_id long, media binary")).orderBy("doc_id").collect()
+    assert got[0]["error"] is None and got[0]["width"] == 8 and all(r["error"] for r in got[1:]) and len(got) == 4

@@ -19,6 +19,9 @@ from pyspark.sql import functions as F
 from worldfold.llm.common import documents
 
 BINS, BITS, WORDS = 256, 4, 5
+#: Bytes of texts in a key range, and the most ranges (their limits are part of the plan); beyond it ranges grow, and a task
+#: still holds but a batch of texts at a time.
+RANGE_BYTES, MOST_RANGES = 256 << 20, 16_384
 U = np.uint64
 
 
@@ -222,10 +225,13 @@ def compare_with_next(docs: DataFrame, key: str = "doc_id", text: str = "text",
 
     The next document is the one with the next lower key; equal keys are ordered by a hash of the text, null keys come
     last, and after the last comes the first. The texts are dealt out once, by key range; each task walks its range in
-    order and sees one row beyond it. A document alone is its own next one. Null text is empty.
+    order and sees one row beyond it. A document alone is its own next one. Null text is empty. Keys are cast to long.
+    There are as many ranges as the texts have RANGE_BYTES (the session's shuffle partitions at least).
     """
-    spark = docs.sparkSession
-    parts = parts or max(1, min(4096, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    if parts is None:
+        spark = docs.sparkSession
+        size = docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
+        parts = max(1, min(MOST_RANGES, max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-size // RANGE_BYTES))))
     rows = ranged(docs.select(F.col(key).cast("long").alias("key"), F.coalesce(text, F.lit("")).alias("text")), "key", parts)
     rows = rows.repartition(parts, "__part").sortWithinPartitions("__part", "__extra", F.col("key").desc_nulls_last(), F.xxhash64("text"))
     schema = f"{key} long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"

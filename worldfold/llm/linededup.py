@@ -36,23 +36,31 @@ def boilerplate(docs: DataFrame, host: str = "source", text: str = "text", ratio
     return joined.withColumn("share", F.col("pages") / F.col("total")).where(F.col("share") > ratio).drop("total")
 
 
+def _free(docs: DataFrame, name: str) -> str:
+    """A column name that ``docs`` does not have."""
+    while name in docs.columns:
+        name = "_" + name
+    return name
+
+
 def dedup(docs: DataFrame, host: str = "source", text: str = "text", ratio: float = RATIO, least: int = LEAST, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """``docs`` with boilerplate lines taken out of ``text``, and n_lines, n_dropped.
 
-    Blank lines stay. Null text stays null; its counts are 0. A null host is a host. A document that is all boilerplate is left with
+    Columns of these two names are replaced, all others are kept. Blank lines stay. Null text stays null; its counts are 0. A null host is a host. A document that is all boilerplate is left with
     empty text. Repeated rows count as pages of their own. Rows come out one for one; an empty table gives none.
     """
     found = cut(boilerplate(docs, host, text, ratio, least))
-    by_host = found.groupBy("host").agg(F.collect_set("line").alias("__bad")).withColumnRenamed("host", "__host")
+    own, bad, new = (_free(docs, x) for x in ("host", "bad", "clean"))
+    by_host = found.groupBy("host").agg(F.collect_set("line").alias(bad)).withColumnRenamed("host", own)
     if found.count() <= broadcast_rows:
         by_host = F.broadcast(by_host)
-    out = docs.join(by_host, F.col(host).eqNullSafe(F.col("__host")), "left").drop("__host")
+    out = docs.join(by_host, F.col(host).eqNullSafe(F.col(own)), "left").drop(own)
     all_ = lines_of(F.col(text))
-    good = F.filter(all_, lambda x: ~F.array_contains("__bad", mark(x)))
-    clean = F.when(F.col(text).isNull() | F.col("__bad").isNull(), F.col(text)).otherwise(F.array_join(good, "\n"))
+    good = F.filter(all_, lambda x: ~F.array_contains(bad, mark(x)))
+    clean = F.when(F.col(text).isNull() | F.col(bad).isNull(), F.col(text)).otherwise(F.array_join(good, "\n"))
     n = F.when(F.col(text).isNull(), 0).otherwise(F.size(all_))
-    left = F.when(F.col(text).isNull(), 0).when(F.col("__bad").isNull(), F.size(all_)).otherwise(F.size(good))
-    return out.withColumns({"__clean": clean, "n_lines": n.cast("long"), "n_dropped": (n - left).cast("long")}).withColumn(text, F.col("__clean")).drop("__clean", "__bad")
+    left = F.when(F.col(text).isNull(), 0).when(F.col(bad).isNull(), F.size(all_)).otherwise(F.size(good))
+    return out.withColumns({new: clean, "n_lines": n.cast("long"), "n_dropped": (n - left).cast("long")}).withColumn(text, F.col(new)).drop(new, bad)
 
 
 def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -32,6 +32,10 @@ ROW = 64
 PAGE_ROWS, STRIP_ROWS = 1 << 16, 1024
 
 
+#: The largest page that is read, and how many bytes a byte of a file can unpack to (that of LZW, the densest, with room).
+PAGE_BYTES, MOST_OUT = 1 << 31, 4000
+
+
 @dataclass
 class Page:
     width: int
@@ -188,6 +192,9 @@ def decode(file: bytes) -> list[Page]:
         kind = np.dtype(np.uint8) if bits == 8 else np.dtype(">u2" if t[-1][0] else "<u2")
         tiled = TILE_OFFSETS in t
         w, h = (t[TILE_WIDTH][0], t[TILE_LENGTH][0]) if tiled else (width, min(height, t.get(ROWS_PER_STRIP, [height])[0]))
+        size = height * width * channels * kind.itemsize
+        if size > PAGE_BYTES or size > len(file) * MOST_OUT:
+            raise ValueError(f"a page of {width} x {height} x {channels} is more than its file can hold")
         out = np.zeros((height, width, channels), kind.newbyteorder("="))
         across = -(-width // w)
         for i, (o, n) in enumerate(zip(t[TILE_OFFSETS if tiled else STRIP_OFFSETS], t[TILE_COUNTS if tiled else STRIP_COUNTS], strict=True)):
@@ -278,7 +285,7 @@ def stored(docs: DataFrame, key: str = "doc_id", text: str = "text", compression
 def pages(files: DataFrame, key: str = "doc_id", media: str = "media") -> DataFrame:
     """A row a page: key, page (from 0), width, height, channels, samples (bytes, row by row), error.
 
-    A file that is broken or of a kind that is not read gives one row with the error's text; null gives no row.
+    A file that is broken, of a kind that is not read, or with a page over PAGE_BYTES or larger than its data can unpack to gives one row with the error's text; null gives no row.
     """
     schema = files.select(key).schema.add("page", "integer").add("width", "integer").add("height", "integer").add("channels", "integer").add("samples", "binary").add("error", "string")
     names = [f.name for f in schema.fields]
@@ -291,7 +298,7 @@ def pages(files: DataFrame, key: str = "doc_id", media: str = "media") -> DataFr
                     continue
                 try:
                     rows = [(i, p.width, p.height, p.samples.shape[2], p.samples.tobytes(), None) for i, p in enumerate(decode(file))]
-                except (ValueError, KeyError, struct.error, zlib.error, IndexError) as e:
+                except (ValueError, KeyError, struct.error, zlib.error, IndexError, MemoryError, OverflowError) as e:
                     rows = [(None, None, None, None, None, str(e) or type(e).__name__)]
                 for r in rows:
                     kinds = [b.schema.types[0], pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.string()]
