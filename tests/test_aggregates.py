@@ -185,3 +185,41 @@ def test_a_hot_group_among_many_rare_ones(spark):
     out, _, _ = V.aggregate(df, ["g"], "mask", V.specs_of(df, [("s", "sum", "v"), ("hi", "max", "v")]))
     want = df.groupBy("g").agg(A.world_sum("mask", "v").alias("s"), A.world_max("mask", "v").alias("hi"))
     assert {r["g"]: (r["s"], r["hi"]) for r in out.collect()} == {r["g"]: (r["s"], r["hi"]) for r in want.collect()}
+
+
+def test_cascades_of_batches_are_exact():
+    r = np.random.default_rng(2)
+    m = masks_of(3000)
+    for scale in (1, 100, 30_000, 2**31, 2**55):
+        v = r.integers(-100, 101, 3000) * scale
+        want = [sum(int(y) for x, y in zip(m.tolist(), v.tolist(), strict=True) if x >> j & 1) for j in range(64)]
+        s, t = K.ExactLevels(), K.Buffered()
+        for a in range(0, 3000, 700):
+            s.add_many(m[a : a + 700], v[a : a + 700])
+            t.add_many(m[a : a + 700], v[a : a + 700])
+        assert s.total() == want == t.total() and (s.flushes > 0 or scale == 2**31)
+    edge = K.ExactLevels().add_many(np.array([-1, 1]), np.array([-(2**63), 2**63 - 1]))
+    assert edge.total() == [-1] + [-(2**63)] * 63
+
+
+@pytest.mark.parametrize("strategy", ["arrow", "levels", "buffered"])
+def test_exact_strategies_beyond_doubles(spark, strategy):
+    m = masks_of(4000)
+    df = spark.createDataFrame([(i % 3, int(x), 2**53 + i) for i, x in enumerate(m)], "g long, mask long, v long").repartition(5)
+    got = {r["g"]: r["v"] for r in world_aggregate(df, ["g"], "mask", "sum", "v", strategy).collect()}
+    for g in range(3):
+        want = [sum(2**53 + i for i in range(g, 4000, 3) if int(m[i]) >> j & 1) for j in range(64)]
+        assert [int(x) for x in got[g]] == want
+
+
+def test_approximate_states_go_on_over_batches():
+    m, v = masks_of(50_000), draw("uniform_int", 50_000)
+    s = K.Running("sum", "approx", True)
+    for a in range(0, 50_000, 10_000):
+        s.add(m[a : a + 10_000], v[a : a + 10_000])
+    exact = K.matrix_sum(m, v).astype(float)
+    off = (np.array(s.total()) - exact) / exact
+    assert (off <= 0).all() and off.min() > -(2**-8 + 2**-11) and len(s.own[0].levels) > 3
+    with pytest.raises(ValueError):
+        K.Running("sum", "levels", False)
+    assert all(K.state_bytes(x) > 0 for x in ("levels", "lanes32", "approx_single", "buffered", "pruned"))

@@ -66,7 +66,7 @@ def collect_worlds(rows: DataFrame, keys: list[str], values: list[str], worlds:
 def released_runs(rows: DataFrame, keys: list[str], values: list[str], ctx: QueryContext, scale: dict[str, int] | None = None) -> DataFrame:
     """Releases like the engine does, so that equal worlds give equal output."""
     v = collect_worlds(rows, keys, values, ctx.worlds, scale)
-    return v.select(*keys, *[release(c, ctx, c, *keys).alias(c) for c in values])
+    return v.select(*keys, *[release(c, ctx, f"{i}:{c}", *keys).alias(c) for i, c in enumerate(values)])
 
 
 def resample_rows(runs: DataFrame, keys: list[str], ctx: QueryContext) -> DataFrame:

@@ -30,15 +30,16 @@ def branch_sum(masks: np.ndarray, values: np.ndarray) -> np.ndarray:
 
 def matrix_sum(masks: np.ndarray, values: np.ndarray) -> np.ndarray:
     """Values times the bit matrix. Whole numbers are added exactly, in halves of 26 bits as floats hold them."""
-    b = bits(masks).astype(np.float64)
-    if values.dtype.kind == "f":
-        return values @ b
-    v = values.astype(np.int64)
-    low, high = (v & ((1 << 26) - 1)).astype(np.float64), (v >> 26).astype(np.float64)
-    out = np.zeros(WORLDS, object)
-    for a in range(0, len(v), 1 << 20):  # sums of 2**20 halves stay below 2**53
-        out += (low[a : a + (1 << 20)] @ b[a : a + (1 << 20)]).astype(np.int64).astype(object)
-        out += (high[a : a + (1 << 20)] @ b[a : a + (1 << 20)]).astype(np.int64).astype(object) * (1 << 26)
+    real = values.dtype.kind == "f"
+    out = np.zeros(WORLDS, np.float64 if real else object)
+    for a in range(0, len(masks), 1 << 16):  # sums of 2**16 halves stay far below 2**53
+        b = bits(masks[a : a + (1 << 16)]).astype(np.float64)
+        if real:
+            out += values[a : a + (1 << 16)] @ b
+            continue
+        v = values[a : a + (1 << 16)].astype(np.int64)
+        out += ((v & ((1 << 26) - 1)).astype(np.float64) @ b).astype(np.int64).astype(object)
+        out += ((v >> 26).astype(np.float64) @ b).astype(np.int64).astype(object) * (1 << 26)
     return out
 
 
@@ -62,6 +63,42 @@ class ExactLevels:
         self.updates += 1
         self._put(np.array([mask >> j & 1 for j in range(WORLDS)], np.int64) * 1, value, 0)
 
+    def add_many(self, masks: np.ndarray, values: np.ndarray) -> ExactLevels:
+        """Many values at once: runs that surely fit are summed in their level's own type, and the sums go one level up."""
+        self.updates += len(values)
+        v = values.astype(np.int64)
+        huge = v == np.iinfo(np.int64).min  # has no magnitude in 64 bits
+        for m in masks[huge].tolist():
+            self.wide = [w + (int(np.iinfo(np.int64).min) if m >> j & 1 else 0) for j, w in enumerate(self.wide)]
+        b, below = bits(masks).astype(np.int8), -1
+        for k, size in enumerate(self.SIZES):
+            top = int(np.iinfo(size).max)
+            at = np.flatnonzero((np.abs(v) > below) & (np.abs(v) <= top) & ~huge)
+            if len(at):
+                self._cascade(b[at] * v[at, None].astype(size), k, max(1, int(np.abs(v[at]).max())))
+            below = top
+        return self
+
+    def _cascade(self, block: np.ndarray, k: int, most: int) -> None:
+        """Adds rows of world values, none over ``most``, to level ``k``."""
+        while True:
+            top = int(np.iinfo(self.SIZES[k]).max)
+            if self.sure[k] + len(block) * most <= top:
+                self.levels[k] += block.sum(0, dtype=self.SIZES[k])
+                self.sure[k] += len(block) * most
+                return
+            run = max(1, top // most)
+            up = np.add.reduceat(block, np.arange(0, len(block), run), axis=0, dtype=self.SIZES[k])
+            up, most = np.concatenate((up, self.levels[k][None])), max(run * most, self.sure[k])
+            self.flushes += len(up)
+            self.levels[k][:] = 0
+            self.sure[k] = 0
+            if k + 1 == len(self.SIZES):
+                self.wide = [w + int(x) for w, x in zip(self.wide, up.astype(object).sum(0), strict=True)]
+                return
+            k += 1
+            block = up.astype(self.SIZES[k])
+
     def _put(self, which: np.ndarray, value: int, level: int) -> None:
         for k in range(level, len(self.SIZES)):
             top = int(np.iinfo(self.SIZES[k]).max)
@@ -195,15 +232,17 @@ class SignedLevels:
         self.sure = np.zeros(LEVELS, np.int64)
 
     def add(self, masks: np.ndarray, values: np.ndarray) -> SignedLevels:
-        level = ApproxLevels.level_of(np.abs(values))
-        b = bits(masks).astype(np.int64)
         top = (1 << (COUNTER - 1)) - 1
-        small = values >> (STAGGER * level)
-        for k, s, row in zip(level.tolist(), small.tolist(), b, strict=True):
-            if self.sure[k] + abs(s) > top:
-                self.cascade(k)
-            self.levels[k] += row * s
-            self.sure[k] += abs(s)
+        for a in range(0, len(masks), 1 << 16):
+            v = values[a : a + (1 << 16)]
+            level = ApproxLevels.level_of(np.abs(v))
+            b = bits(masks[a : a + (1 << 16)]).astype(np.int64)
+            small = v >> (STAGGER * level)
+            for k, s, row in zip(level.tolist(), small.tolist(), b, strict=True):
+                if self.sure[k] + abs(s) > top:
+                    self.cascade(k)
+                self.levels[k] += row * s
+                self.sure[k] += abs(s)
         return self
 
     def cascade(self, k: int) -> None:
@@ -267,6 +306,16 @@ class Buffered:
             self.pairs = []
         self.state.add(mask, value)
 
+    def add_many(self, masks: np.ndarray, values: np.ndarray) -> Buffered:
+        some = 0
+        if self.state is None:
+            some = min(len(masks), 4 - len(self.pairs))
+            for m, v in zip(masks[:some].tolist(), values[:some].tolist(), strict=True):
+                self.add(m, v)
+        if some < len(masks):
+            self.state.add_many(masks[some:], values[some:])
+        return self
+
     def total(self) -> list[int]:
         if self.state is not None:
             return self.state.total()
@@ -276,6 +325,48 @@ class Buffered:
         return 40 if self.state is None else 40 + ExactLevels.state_bytes()
 
 
+class Running:
+    """A state that batches are added to: the kernel's own where it has one, else sums of its batches."""
+
+    def __init__(self, fn: str, strategy: str, whole: bool):
+        self.fn, self.strategy, self.whole = fn, strategy, whole
+        self.sum = np.zeros(WORLDS, object if whole or fn == "count" else np.float32 if strategy == "float32" else np.float64)
+        if fn in ("max", "min"):
+            self.own = Pruned(fn == "max", 2048 if strategy == "pruned" else 1 << 62)
+        elif fn not in ("sum", "count"):
+            raise ValueError(f"{strategy} has no {fn}")
+        else:
+            self.own = {"levels": ExactLevels, "buffered": Buffered, "approx": lambda: (ApproxLevels(), ApproxLevels()), "approx_single": SignedLevels}.get(strategy, lambda: None)() if fn == "sum" else None
+        if fn == "sum" and strategy in ("levels", "buffered", "approx", "approx_single") and not whole:
+            raise ValueError(f"{strategy} adds whole numbers")
+
+    def add(self, masks: np.ndarray, values: np.ndarray | None) -> None:
+        if self.fn == "count":
+            self.sum = self.sum + matrix_count(masks)
+        elif self.fn in ("max", "min"):
+            self.own.add(masks, values)
+        elif self.strategy in ("levels", "buffered"):
+            self.own.add_many(masks, values)
+        elif self.strategy == "approx":
+            v = values.astype(np.int64)
+            self.own[0].add(masks[v >= 0], v[v >= 0])
+            self.own[1].add(masks[v < 0], -v[v < 0])
+        elif self.strategy == "approx_single":
+            self.own.add(masks, values.astype(np.int64))
+        elif self.strategy == "float32":
+            self.sum += values.astype(np.float32) @ bits(masks).astype(np.float32)
+        else:
+            self.sum = self.sum + matrix_sum(masks, values if self.whole else values.astype(float))
+
+    def total(self) -> list:
+        if self.strategy == "approx" and self.fn == "sum":
+            return (self.own[0].total() - self.own[1].total()).tolist()
+        return list(self.sum if self.own is None else self.own.total())
+
+
 def state_bytes(strategy: str, levels: int = 2) -> int:
     """Bytes of one group's state."""
-    return {"wide": 64 * 8 + 16, "lanes8": 8 * 8 + 64 * 8, "lanes16": 16 * 8 + 64 * 8, "levels_exact": ExactLevels.state_bytes(), "buffered": 40, "approx": 200 + 128 * max(0, levels - 1), "late": 24, "preagg": 24, "float32": 64 * 4}[strategy]
+    full = {"wide": 64 * 8 + 16, "levels": ExactLevels.state_bytes(), "buffered": 40, "approx": 200 + 128 * max(0, levels - 1), "approx_single": LEVELS * WORLDS * 2, "late": 24, "preagg": 24, "float32": 64 * 4}
+    if strategy.startswith("lanes"):
+        return int(strategy[5:]) * 8 + 64 * 8
+    return full[{"multiply": "wide", "arrow": "wide", "branch": "wide", "pruned": "wide"}.get(strategy, strategy)]

@@ -4,16 +4,19 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from decimal import Decimal
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import ArrayType, DoubleType
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import ArrayType, DecimalType, DoubleType
 
 from worldfold.functions import aggregates as A
 from worldfold.functions.masks import worlds_of
 from worldfold.operators import kernels as K
+from worldfold.operators.vectorized import _codes as codes
 
 #: The most rows that a chunk may add up in a lane: the top lane must not reach the sign bit.
 LANE_ROWS = {8: 127, 16: 32_767, 32: (1 << 31) - 1}
@@ -26,7 +29,8 @@ def world_aggregate(df: DataFrame, keys: list[str], mask: str, fn: str, value: s
     long. preagg: rows of a unit are added up first. late: raw rows are shuffled and aggregated where they arrive, for
     groups so many that vectors would be more than rows. arrow: a bit-matrix product for each batch. branch: a row for
     each world it is in. pruned: extremes, skipping what can't improve any world. approx: approximate sums of whole
-    numbers. levels: exact cascading sums. float32: sums in single precision.
+    numbers. levels: exact cascading sums; buffered: the same for groups of over three rows. float32: sums in single
+    precision.
     """
     if strategy == "auto":
         strategy = choose_strategy(fn, shape_of(df, keys, mask))
@@ -43,7 +47,7 @@ def world_aggregate(df: DataFrame, keys: list[str], mask: str, fn: str, value: s
         return preaggregated(df, keys, mask, fn, value, out)
     if strategy == "branch":
         return branch(df, keys, mask, fn, value, out)
-    if strategy in ("arrow", "pruned", "approx", "approx_single", "levels", "float32"):
+    if strategy in ("arrow", "pruned", "approx", "approx_single", "levels", "buffered", "float32"):
         return by_kernel(df, keys, mask, fn, value, strategy, out)
     raise ValueError(f"unknown strategy {strategy}")
 
@@ -99,38 +103,51 @@ def branch(df: DataFrame, keys: list[str], mask: str, fn: str, value: str | None
     return m.select(*keys, each.alias(out))
 
 
+#: Groups a task holds before it gives them out.
+HELD = 4096
+
+
 def by_kernel(df: DataFrame, keys: list[str], mask: str, fn: str, value: str | None, strategy: str, out: str) -> DataFrame:
-    """Partial states by NumPy inside each task, merged by group. Approximate and exact level states merge as their totals."""
+    """One NumPy state a group for a whole task (until it holds HELD groups), merged by group.
+
+    Whole numbers stay exact: they travel and merge as decimals of 38 digits. Approximate states merge as their totals.
+    """
     small = df.select(*keys, F.col(mask).alias("__mask"), *([F.col(value).alias("__value")] if value else [])).where("__mask is not null")
-    schema = small.select(*keys).schema.add("__part", ArrayType(DoubleType()))
-    whole = strategy in ("arrow", "approx", "approx_single", "levels") and value is not None and dict(small.dtypes).get("__value") in ("bigint", "int", "smallint", "tinyint")
+    whole = fn == "count" or fn == "sum" and value is not None and dict(small.dtypes)["__value"] in ("bigint", "int", "smallint", "tinyint")
+    exact = whole and not strategy.startswith("approx") and strategy != "float32"
+    schema = small.select(*keys).schema.add("__part", ArrayType(DecimalType(38, 0) if exact else DoubleType()))
+    arrow = to_arrow_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[tuple, K.Running] = {}
+
+        def given() -> pa.RecordBatch:
+            parts = [[Decimal(int(x)) for x in s.total()] if exact else [float(x) for x in s.total()] for s in held.values()]
+            cols = [pa.array([k[i] for k in held], f.type) for i, f in enumerate(arrow) if i < len(keys)]
+            held.clear()
+            return pa.RecordBatch.from_arrays([*cols, pa.array(parts, arrow.field("__part").type)], [*keys, "__part"])
+
         for b in batches:
             t = pa.Table.from_batches([b])
             if value:
                 t = t.filter(t.column("__value").is_valid())
             if not t.num_rows:
                 continue
-            if keys:
-                order = t.sort_by([(k, "ascending") for k in keys])
-                ids = order.select(keys)
-                change = np.ones(len(order), bool)
-                change[1:] = False
-                for k in keys:
-                    code = ids.column(k).combine_chunks().dictionary_encode(null_encoding="encode")
-                    code = code.indices.to_numpy(zero_copy_only=False) if not isinstance(code, pa.ChunkedArray) else code.combine_chunks().indices.to_numpy(zero_copy_only=False)
-                    change[1:] |= code[1:] != code[:-1]
-            else:
-                order, change = t, np.arange(t.num_rows) == 0
-            at = np.append(np.flatnonzero(change), len(order))
-            m = order.column("__mask").to_numpy()
-            v = order.column("__value").to_numpy() if value else None
-            states = [_state(m[s:e], None if v is None else v[s:e], fn, strategy, whole) for s, e in zip(at[:-1], at[1:], strict=True)]
-            firsts = order.select(keys).take(pa.array(at[:-1])).combine_chunks() if keys else None
-            cols = [firsts.column(k).combine_chunks() for k in keys] if keys else []
-            cols = [c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c for c in cols]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(states, pa.list_(pa.float64()))], [*keys, "__part"])
+            group, first = codes(t, keys)
+            order = np.argsort(group, kind="stable")
+            at = np.concatenate(([0], np.flatnonzero(np.diff(group[order])) + 1, [len(order)]))
+            m = t.column("__mask").to_numpy()[order]
+            v = t.column("__value").to_numpy()[order] if value else None
+            firsts = t.select(keys).take(pa.array(first)).to_pydict() if keys else {}
+            names = list(zip(*[firsts[k] for k in keys], strict=True)) if keys else [()]
+            for name, s, e in zip(names, at[:-1], at[1:], strict=True):
+                if name not in held:
+                    held[name] = K.Running(fn, strategy, whole)
+                held[name].add(m[s:e], None if v is None else v[s:e])
+            if len(held) > HELD:
+                yield given()
+        if held:
+            yield given()
 
     part = small.mapInArrow(run, schema)
     f = {"max": F.max, "min": F.min}.get(fn, F.sum)
@@ -141,28 +158,6 @@ def by_kernel(df: DataFrame, keys: list[str], mask: str, fn: str, value: str | N
     return part.groupBy(*keys).agg(vector.alias(out))
 
 
-def _state(masks: np.ndarray, values: np.ndarray | None, fn: str, strategy: str, whole: bool) -> list[float]:
-    if fn == "count":
-        return K.matrix_count(masks).astype(float).tolist()
-    if fn in ("max", "min"):
-        every = 2048 if strategy == "pruned" else max(1, len(masks))
-        return K.Pruned(fn == "max", every).add(masks, values).total().tolist()
-    if fn != "sum":
-        raise ValueError(f"{strategy} has no {fn}")
-    if strategy == "float32":
-        return K.float_sum(masks, values).tolist()
-    if strategy == "approx":
-        return K.approx_sum(masks, values).tolist()
-    if strategy == "approx_single":
-        return K.approx_sum(masks, values, two_sided=False).tolist()
-    if strategy == "levels":
-        s = K.ExactLevels()
-        for m, v in zip(masks.tolist(), values.tolist(), strict=True):
-            s.add(m, int(v))
-        return [float(x) for x in s.total()]
-    return [float(x) for x in K.matrix_sum(masks, values if whole else values.astype(float))]
-
-
 @dataclass(frozen=True)
 class Shape:
     """What the chooser goes by: rows, groups, different (group, unit) pairs, tasks."""

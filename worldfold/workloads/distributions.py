@@ -40,7 +40,7 @@ def approx_study(name: str, n: int = 1_000_000, seed: int = 0, two_sided: bool =
     return approx_error(2 * matrix_sum(m, v).astype(float), 2 * approx_sum(m, v, two_sided))
 
 
-def study(spark: SparkSession, n: int = 20_000) -> DataFrame:
+def study(spark: SparkSession, n: int = 1_000_000) -> DataFrame:
     """The study over all distributions, a task a distribution."""
     rows = spark.createDataFrame([(x,) for x in NAMES], "distribution string").repartition(len(NAMES), "distribution")
 

@@ -19,7 +19,7 @@ from worldfold.operators.strategies import world_aggregate
 from worldfold.workloads import distributions, hits, storm, tpch
 
 
-def _time(make: Callable[[], DataFrame], repeats: int = 2) -> float:
+def _time(make: Callable[[], DataFrame], repeats: int = 1) -> float:
     best = None
     for _ in range(repeats):
         t = time.perf_counter()
@@ -60,7 +60,7 @@ def storm_times(spark: SparkSession, sf_dir: str, n: int = 40, limit_s: float =
 
 def ablation(spark: SparkSession, fn: str = "sum", n: int = 200_000, groups: tuple[int, ...] = (0, 10, 1000), order: str = "uniform", strategies: tuple[str, ...] | None = None) -> DataFrame:
     """Seconds and state bytes of each strategy over generated rows, ungrouped and by numbers of groups."""
-    names = strategies or {"sum": ("wide", "multiply", "preagg", "arrow", "approx", "float32", "branch"), "count": ("wide", "lanes8", "lanes16", "preagg", "arrow", "branch"), "max": ("wide", "pruned", "preagg")}[fn]
+    names = strategies or {"sum": ("wide", "multiply", "preagg", "arrow", "levels", "buffered", "approx", "approx_single", "float32", "branch"), "count": ("wide", "lanes8", "lanes16", "lanes32", "preagg", "arrow", "branch"), "max": ("wide", "pruned", "preagg")}[fn]
     rows = []
     for k in groups:
         df = distributions.frame(spark, n, k, order).withColumn("mask", world_mask("pk", ctx=QueryContext.new(1)))
@@ -68,7 +68,7 @@ def ablation(spark: SparkSession, fn: str = "sum", n: int = 200_000, groups: tup
         plain = _time(lambda: df.groupBy(*keys).agg(F.count(F.lit(1)) if fn == "count" else getattr(F, fn)("v")))
         for s in names:
             took = _time(lambda s=s: world_aggregate(df, keys, "mask", fn, None if fn == "count" else "v", s))
-            rows.append((fn, k, s, took, took / plain, state_bytes({"multiply": "wide", "arrow": "wide", "branch": "wide", "pruned": "wide"}.get(s, s))))
+            rows.append((fn, k, s, took, took / plain, state_bytes(s)))
     return spark.createDataFrame(rows, "fn string, groups int, strategy string, seconds double, of_plain double, state_bytes int")
 
 
