@@ -1,8 +1,10 @@
 import datetime as dt
 
 import pytest
+from pyspark.sql import functions as F
 
 from worldfold.context import BudgetLedger
+from worldfold.functions.release import release_sequential
 from worldfold.streaming import windows as W
 from worldfold.workloads.tpch import CONTEXT
 
@@ -58,3 +60,43 @@ def test_sliding_windows_are_cells_of_their_own(spark, tmp_path):
     one = W.windowed(spark.read.parquet(path), "user_id", CONTEXT).count()
     many = W.windowed(spark.read.parquet(path), "user_id", CONTEXT, slide="6 hours").count()
     assert one == 1 and many > 3
+
+
+def test_charges_and_posterior_outlive_a_restart(spark, tmp_path):
+    """A second run on the checkpoint goes on where the first stopped: nothing is charged twice or forgotten, and the
+    posterior is that of one run over everything."""
+    ctx = CONTEXT.but(posterior="sequential")
+    path, check = str(tmp_path / "in"), str(tmp_path / "check")
+
+    def run(folder, ledger):
+        got = {}
+        w = W.windowed(W.source(spark, path, spark.createDataFrame([], SCHEMA).schema), "user_id", ctx, value="value")
+        W.run(w, ctx, lambda df, i: got.update({r["start"]: (r["count"], r["total"]) for r in df.collect()}), folder, ledger=ledger).awaitTermination(120)
+        return got
+
+    _events(spark, path, [1, 2])
+    _events(spark, path, [3])
+    first, ledger = {}, BudgetLedger()
+    first = run(check, ledger)
+    assert first and ledger.spent == pytest.approx(len(first) * 2 / 128) and ledger.composes
+    _events(spark, path, [5])
+    _events(spark, path, [7])
+    restarted = BudgetLedger()
+    second = run(check, restarted)
+    assert second and not set(first) & set(second)
+    assert restarted.spent == pytest.approx((len(first) + len(second)) * 2 / 128)
+    run(check, restarted)
+    assert restarted.spent == pytest.approx((len(first) + len(second)) * 2 / 128)
+    whole = W.windowed(spark.read.parquet(path), "user_id", ctx, value="value").where(F.col("start").isin([*first, *second]))
+    want = {r["start"]: (r["count"], r["total"]) for r in release_sequential(whole, ["start", "end"], ["count", "total"], ctx).collect()}
+    for k, v in (first | second).items():
+        assert v == pytest.approx(want[k])
+
+
+def test_a_replayed_batch_starts_from_its_own_posterior(spark, tmp_path):
+    c = W.Charges(spark, str(tmp_path / "charges"))
+    c.write(0, 4, [0.0, -1.0])
+    c.write(2, 6, [0.0, -2.0])
+    again = W.Charges(spark, str(tmp_path / "charges"))
+    assert again.rows == {0: (4, [0.0, -1.0]), 2: (6, [0.0, -2.0])}
+    assert again.before(0) is None and again.before(2) == [0.0, -1.0] and again.before(3) == [0.0, -2.0]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -81,25 +82,29 @@ def type_costs(spark: SparkSession, n: int = 200_000) -> DataFrame:
 
 
 def utility_runs(spark: SparkSession, sf_dir: str, sql: str, keys: list[str], runs: int = 10, mi: float = 1 / 128) -> DataFrame:
-    """Utility, recall and precision of repeated private runs, each with its own worlds."""
+    """Utility, recall and precision of repeated private runs, each with its own worlds.
+
+    Runs are jobs of their own, eight at a time, and each gives one row: a plan of all runs would be too large for the engine.
+    """
     s = tpch.session(spark, sf_dir, mi=mi)
     exact = spark.sql(sql).cache()
-    out = None
-    for i in range(runs):
-        private = s.rewrite(sql, QueryContext.new(1000 + i, mi=mi))
-        one = U.utility_summary(U.utility_diff(exact, private, keys), keys).withColumn("run", F.lit(i))
-        out = one if out is None else out.unionByName(one)
-    return out
+    jobs = [U.utility_summary(U.utility_diff(exact, s.rewrite(sql, QueryContext.new(1000 + i, mi=mi)), keys), keys) for i in range(runs)]
+    with ThreadPoolExecutor(8) as pool:
+        rows = [(*r, i) for i, r in enumerate(pool.map(lambda d: d.first(), jobs))]
+    exact.unpersist()
+    return spark.createDataFrame(rows, "utility double, recall double, precision double, skipped_cells long, run int")
 
 
 def attacks(spark: SparkSession, sf_dir: str, runs: int = 400) -> DataFrame:
-    """Measured success of the best attacker on a customer count by segment, against the bound, for some budgets."""
+    """Measured success of the best attacker on the customers' balances by segment, against the bound, for some budgets:
+    from the cell of the attacked customer's segment alone, and from the cells of all segments."""
     c = spark.read.parquet(f"{sf_dir}/customer.parquet").withColumn("mask", world_mask("c_custkey", ctx=QueryContext.new(3)))
     unit = c.orderBy("c_custkey").select("mask", "c_mktsegment").first()
-    v = c.where(F.col("c_mktsegment") == unit["c_mktsegment"]).agg(A.world_sum("mask", "c_acctbal").alias("v")).first()["v"]
+    sums = c.groupBy("c_mktsegment").agg(A.world_sum("mask", "c_acctbal").alias("v")).orderBy(F.col("c_mktsegment") != unit["c_mktsegment"], "c_mktsegment").collect()  # one row a segment
+    vectors = 2 * np.array([[x or 0.0 for x in r["v"]] for r in sums])
     inside = bits(np.array([unit["mask"]]))[0]
-    rows = [(d, simulate_attack(2 * np.array([v]), inside, 1 / d, runs), attack_bound(1 / d)) for d in (4, 16, 64, 256)]
-    return spark.createDataFrame(rows, "one_over_mi int, measured double, bound double")
+    rows = [(d, k, simulate_attack(vectors[:k], inside, 1 / d, runs), attack_bound(k / d)) for d in (4, 16, 64, 256) for k in sorted({1, len(vectors)})]
+    return spark.createDataFrame(rows, "one_over_mi int, cells int, measured double, bound double")
 
 
 def worlds_compared(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -305,18 +305,26 @@ def utility_crafted(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("utility_diff_crafted", utility_crafted, "SELECT CAST(30.0 AS DOUBLE) AS utility, CAST(0.75 AS DOUBLE) AS recall, CAST(0.6 AS DOUBLE) AS precision, CAST(1 AS BIGINT) AS skipped_cells")
 
 
-def utility_pricing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Utility, recall and precision of one released pricing summary."""
-    s = tpch.session(spark, sf_dir)
-    sql = "SELECT l_returnflag, l_linestatus, sum(l_quantity) AS q, avg(l_extendedprice) AS a, count(*) AS n FROM lineitem GROUP BY l_returnflag, l_linestatus"
-    return U.utility_summary(U.utility_diff(spark.sql(sql), s.rewrite(sql, CONTEXT), ["l_returnflag", "l_linestatus"]), ["l_returnflag", "l_linestatus"])
+PRICING = "SELECT l_returnflag, l_linestatus, sum(l_quantity) AS q, avg(l_extendedprice) AS a, count(*) AS n FROM {} GROUP BY l_returnflag, l_linestatus"
 
 
-_add("utility_pricing", utility_pricing)
-_add("utility_runs", lambda spark, d: experiments.utility_runs(spark, d, "SELECT o_orderpriority, count(*) AS n, avg(o_totalprice) AS a FROM orders GROUP BY o_orderpriority", ["o_orderpriority"], 3))
-_add("mia_attacks", partial(experiments.attacks, runs=100))
+def utility_pricing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Utility, recall and precision of one released pricing summary."""
+    s, keys = tpch.session(spark, sf_dir), ["l_returnflag", "l_linestatus"]
+    u = U.utility_summary(U.utility_diff(spark.sql(PRICING.format("lineitem")), s.rewrite(PRICING.format("lineitem"), CONTEXT), keys), keys)
+    return u.withColumn("utility", F.round("utility", 5))
+
+
+_CELLS = tpch.release_sql("SELECT l_returnflag, l_linestatus, j AS world, 2 * sum(l_quantity) AS q, avg(l_extendedprice) AS a, 2 * count(*) AS n FROM li GROUP BY ALL", ("l_returnflag", "l_linestatus"), {"q": 9, "a": 9, "n": 9})
+_OFF = ", ".join(f"abs(p.{c} - e.{c}) / nullif(abs(e.{c}), 0) * 100" for c in "qan")
+_add("utility_pricing", utility_pricing, f"""WITH {LINES}, p AS ({_CELLS}), e AS ({PRICING.format('lineitem')}),
+d AS (SELECT e.n IS NOT NULL AS ine, p.l_returnflag IS NOT NULL AS inp, [{_OFF}] AS off FROM e FULL JOIN p ON e.l_returnflag IS NOT DISTINCT FROM p.l_returnflag AND e.l_linestatus IS NOT DISTINCT FROM p.l_linestatus)
+SELECT round(sum(list_sum(off)) FILTER (ine AND inp) / sum(list_count(off)) FILTER (ine AND inp), 5) AS utility, sum(CAST(ine AND inp AS INT)) / sum(CAST(ine AS INT)) AS recall,
+sum(CAST(ine AND inp AS INT)) / sum(CAST(inp AS INT)) AS precision, CAST(sum(CASE WHEN ine AND inp THEN 3 - list_count(off) ELSE 0 END) AS BIGINT) AS skipped_cells FROM d""")
+_add("utility_runs", lambda spark, d: experiments.utility_runs(spark, d, "SELECT o_orderpriority, count(*) AS n, avg(o_totalprice) AS a FROM orders GROUP BY o_orderpriority", ["o_orderpriority"], 30))
+_add("mia_attacks", partial(experiments.attacks, runs=400))
 _add("vec_sum_auto", partial(vec, fn="sum", group="flag", strategy="auto"), vec_sql("sum", "flag"))
-_add("noise_each_vs_lift", partial(ratios.lift_against_each, n=3, seeds=2))
+_add("noise_each_vs_lift", partial(ratios.lift_against_each, n=20, seeds=10))
 _add("approx_sum_study", lambda spark, d: distributions.study(spark))
 _add("storm_coverage", partial(storm.coverage_report, n=120))
 _add("ablation_sum", lambda spark, d: experiments.ablation(spark, "sum", 100_000, (0, 1000)))
@@ -332,7 +340,7 @@ for _k in tpch.WORLDS:
     _add(f"tpch_{_k}", partial(tpch.by_world, name=_k), tpch.worlds_sql(_k))
 for _k in tpch.PASSED:
     _add(f"tpch_{_k}", partial(tpch.plain, name=_k), tpch.SQL[_k])
-_add("tpch_h15", partial(tpch.released, name="h15", ctx=CONTEXT))
+_add("tpch_h15", partial(tpch.released, name="h15", ctx=CONTEXT), tpch.top_supplier_sql())
 _add("tpch_h20_released", partial(tpch.released, name="h20", ctx=CONTEXT), tpch.coins_sql())
 for _k in tpch.RELEASED:
     _add(f"released_{_k}", partial(tpch.rounded, name=_k), tpch.released_sql(_k))
