@@ -94,3 +94,25 @@ def test_experiments_give_their_tables(spark, sf):
     assert w[64] > 0 and w[128] > 0
     u = X.utility_runs(spark, sf, "SELECT l_returnflag, count(*) AS n FROM lineitem GROUP BY l_returnflag", ["l_returnflag"], 3)
     assert u.where("recall = 1 AND precision = 1").count() == 3
+
+
+def test_laplace_clips_a_units_part(spark):
+    """Without noise to speak of the clipped parts are what is summed; null values add nothing, null groups are a group."""
+    rows = [("a", 1, 30.0), ("a", 1, 30.0), ("a", 2, -90.0), ("a", 3, None), (None, 4, 5.0)]
+    df = spark.createDataFrame(rows, "g string, u int, v double")
+    got = {r["g"]: r["total"] for r in B.laplace_sums(df, ["g"], "u", "v", 40, 1e9, CONTEXT).collect()}
+    assert got == {"a": pytest.approx(0.0, abs=1e-3), None: pytest.approx(5.0, abs=1e-3)}
+    many = spark.range(4000).select("id", F.lit(1).alias("u"), F.lit(0.0).alias("v"))
+    noise = [r["total"] for r in B.laplace_sums(many, ["id"], "u", "v", 10, 0.5, CONTEXT).collect()]
+    assert sum(abs(x) for x in noise) / 4000 == pytest.approx(20, rel=0.08)  # the scale is the mean deviation
+    assert abs(sum(noise) / 4000) < 2
+    assert B.laplace_sums(df.where("false"), ["g"], "u", "v", 40, 1.0, CONTEXT).count() == 0
+
+
+def test_predicted_errors_as_numpy_gives_them(spark):
+    import numpy as np
+
+    v = [float(x % 7 + 20) for x in range(64)]
+    df = spark.createDataFrame([(v,), ([0.0] * 64,)], "v array<double>")
+    got = [r[0] for r in df.select(U.predicted_percent("v", 1 / 128)).collect()]
+    assert got == [pytest.approx(U.predicted_mape(np.array(v), 1 / 128)), None]

@@ -85,8 +85,15 @@ def run_plain(spark: SparkSession, sql: str) -> DataFrame:
     return spark.sql(sql)
 
 
-def laplace(total: float, bound: float, epsilon: float, seed: int) -> float:
-    """A sum with Laplace noise for a known bound on one unit's part: for orientation beside the other measures."""
-    import numpy as np
+def laplace_sums(rows: DataFrame, keys: list[str], unit: str, value: str, bound: float, epsilon: float, ctx: QueryContext, out: str = "total") -> DataFrame:
+    """Sums with Laplace noise: differential privacy by a known bound, for orientation beside the other measures.
 
-    return total + float(np.random.default_rng(seed).laplace(0, bound / epsilon))
+    A unit's part of a group is clipped to ``bound`` either way, so noise of scale ``bound / epsilon`` hides any one unit in
+    one group; a unit that is in several groups pays ``epsilon`` for each. Null values add nothing. Rows are summed by unit
+    before they are shuffled, and draws are keyed, so a retried task repeats them.
+    """
+    parts = rows.groupBy(*keys, unit).agg(F.sum(value).alias("__part"))
+    clipped = F.least(F.greatest(F.coalesce(F.col("__part").cast("double"), F.lit(0.0)), F.lit(-float(bound))), F.lit(float(bound)))
+    off = uniform(ctx, f"laplace:{out}", *keys) - 0.5
+    noise = -F.signum(off) * F.log(1 - 2 * F.abs(off)) * (bound / epsilon)
+    return parts.groupBy(*keys).agg(F.sum(clipped).alias(out)).withColumn(out, F.col(out) + noise)

@@ -5,9 +5,11 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from worldfold.functions.release import filled, weighted_var
+
 
 def utility_diff(exact: DataFrame, private: DataFrame, keys: list[str]) -> DataFrame:
     """Rows tagged "=", "-" (missing from the private answer) or "+" (extra), with a percentage error for each number.
@@ -58,6 +60,12 @@ def predicted_mape(vector: np.ndarray, mi: float) -> float:
     return float(100 * math.sqrt(2 / math.pi) * sd / abs(v.mean()))
 
 
+def predicted_percent(vector: Column | str, mi: float) -> Column:
+    """``predicted_mape`` of every cell of a table of vectors; null where the worlds' mean is 0."""
+    mean = F.aggregate(filled(vector), F.lit(0.0), lambda a, x: a + x) / F.size(vector)
+    return F.try_divide(100 * F.sqrt(2 / F.pi() * weighted_var(vector) * (1 + 1 / (2 * mi))), F.abs(mean))
+
+
 def slowdown(times: dict[str, float], plain: dict[str, float]) -> dict[str, float]:
     """Median and mean of times over plain times, and the share within some factors."""
     r = sorted(times[k] / plain[k] for k in times if plain.get(k))

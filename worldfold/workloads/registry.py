@@ -8,14 +8,16 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from worldfold.context import QueryContext, attack_bound
+from worldfold.context import QueryContext, attack_bound, budget_for
 from worldfold.functions import aggregates as A
 from worldfold.functions import lift as L
-from worldfold.functions.masks import duckdb_hash, duckdb_in_world, in_world, world_mask
+from worldfold.functions.masks import duckdb_hash, duckdb_in_world, in_world, mia_prior, world_mask
 from worldfold.functions.release import null_chance, release, release_sequential
 from worldfold.operators import baseline as B
 from worldfold.operators import utility as U
 from worldfold.operators.strategies import world_aggregate
+from worldfold.sources import tables
+from worldfold.sources.catalog import UnitCatalog
 from worldfold.streaming import windows
 from worldfold.workloads import distributions, experiments, hits, ratios, storm, tpch
 from worldfold.workloads.tpch import CONTEXT, KEY
@@ -255,6 +257,60 @@ def mask_members(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("mask_members", mask_members, f"SELECT c_custkey, CAST(j AS INT) AS world, {duckdb_in_world('c_custkey', KEY)} AS member FROM customer, (SELECT unnest(range(64)) AS j) w")
 
 
+def query_rehash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same query twice in a session that draws a key for each: the worlds are other ones each time."""
+    s = tpch.session(spark, sf_dir, seed=5, hash="md5")
+    one, two = (s.rewrite("SELECT l_returnflag, count(*) AS n FROM lineitem GROUP BY l_returnflag", mode="vectors") for _ in range(2))
+    rows = [A.to_rows(v, ["l_returnflag"], ["n"]).withColumn("query", F.lit(i)) for i, v in enumerate((one, two), 1)]
+    return rows[0].unionByName(rows[1]).where("n <> 0").withColumn("n", F.col("n").cast("long"))
+
+
+_REHASHED = " UNION ALL ".join(f"SELECT l_returnflag, CAST(j AS INT) AS world, 2 * count(*) AS n, CAST({q} AS INT) AS query FROM lineitem JOIN orders ON l_orderkey = o_orderkey, (SELECT unnest(range(64)) AS j) w WHERE {duckdb_in_world('o_custkey', f'seed-{q + 4}')} GROUP BY ALL" for q in (1, 2))
+_add("query_rehash", query_rehash, _REHASHED)
+
+
+def membership_prior(spark: SparkSession, sf_dir: str, balance: str) -> DataFrame:
+    """An attacker's chance before any release, by unit: one half where masks are balanced, left to chance where not."""
+    c = spark.read.parquet(f"{sf_dir}/customer.parquet").select("c_custkey", world_mask("c_custkey", ctx=CONTEXT.but(balance=balance)).alias("mask"))
+    return mia_prior(c).drop("mask")
+
+
+_add("membership_prior", partial(membership_prior, balance="complement"), f"SELECT c_custkey, sum(CASE WHEN {duckdb_in_world('c_custkey', KEY)} THEN 1 ELSE 0 END) / 64.0 AS prior FROM customer, (SELECT unnest(range(64)) AS j) w GROUP BY c_custkey")
+_add("membership_prior_raw", partial(membership_prior, balance="none"), f"SELECT c_custkey, bit_count({duckdb_hash('c_custkey', KEY)}::BIT) / 64.0 AS prior FROM customer")
+
+
+def success_budgets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The budgets that hold attacks to some rates of success, by two priors."""
+    rows = [(p, s, round(budget_for(s, p), 9)) for p in (0.5, 0.25) for s in (0.5, 0.52, 0.55, 0.6, 0.75, 0.9)]
+    return spark.createDataFrame(rows, "prior double, success double, mi double")
+
+
+_add("success_budgets", success_budgets, "SELECT prior, success, round(success * ln(success / prior) + (1 - success) * ln((1 - success) / (1 - prior)), 9) AS mi FROM (SELECT unnest([0.5, 0.25])::DOUBLE AS prior) p, (SELECT unnest([0.5, 0.52, 0.55, 0.6, 0.75, 0.9])::DOUBLE AS success) s")
+
+
+def interval(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Nine tenths of the half samples' totals, for those who may see exact answers."""
+    v = lines(spark, sf_dir).groupBy("l_suppkey").agg(A.scaled(A.world_sum("mask", "cents"), CONTEXT).alias("v"))
+    return v.select("l_suppkey", A.half_sample_interval("v").alias("i")).select("l_suppkey", "i.low", "i.high")
+
+
+_add("half_sample_interval", interval, f"""WITH {LINES}, v AS (SELECT l_suppkey, list_sort(list(y)) AS v FROM (SELECT l_suppkey, j, 2 * CAST(sum({CENTS}) AS BIGINT) AS y FROM li GROUP BY ALL) t GROUP BY ALL)
+SELECT l_suppkey, v[CAST(greatest(1, ceil(len(v) * 0.05)) AS INT)] AS low, v[CAST(greatest(1, ceil(len(v) * 0.95)) AS INT)] AS high FROM v""")
+
+
+def unit_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What small statements declare: the unit, links (one is dropped again), and each table's way to the unit."""
+    tables.load(spark, sf_dir, "customer", "orders", "lineitem", "part")
+    c = UnitCatalog().learn(spark, "customer", "orders", "lineitem", "part")
+    c.execute("DECLARE UNIT customer KEY (c_custkey) PROTECT (c_name); DECLARE LINK orders (o_custkey) TO customer (c_custkey); DECLARE LINK lineitem (l_orderkey) TO orders (o_orderkey); DECLARE LINK lineitem (l_partkey) TO part (p_partkey); DROP LINK lineitem TO part")
+    seen = {"customer": "c_name", "orders": "o_custkey", "lineitem": "l_quantity", "part": "p_brand"}
+    rows = [(t, c.sensitive(t), None if c.path(t) is None else len(c.path(t)), col, c.protected(t, col)) for t, col in seen.items()]
+    return spark.createDataFrame(rows, "name string, sensitive boolean, hops int, col string, protected boolean")
+
+
+_add("unit_paths", unit_paths, "SELECT name, sensitive, CAST(hops AS INT) AS hops, col, protected FROM (VALUES ('customer', true, 0, 'c_name', true), ('orders', true, 1, 'o_custkey', true), ('lineitem', true, 2, 'l_quantity', false), ('part', false, NULL, 'p_brand', false)) t(name, sensitive, hops, col, protected)")
+
+
 # ---- the many-runs baseline
 
 def _pricing(df: DataFrame, *more: str) -> DataFrame:
@@ -284,6 +340,46 @@ def multi_run_released(spark: SparkSession, sf_dir: str) -> DataFrame:
 _add("multi_run_released", multi_run_released, released_sql("count").replace("md5('" + KEY + ":v:", "md5('" + KEY + ":0:n:"))
 
 
+def bernoulli_units(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Samples of independent coins: how many units each world has drawn, and the sum of their keys."""
+    u = B.sample_units(spark.read.parquet(f"{sf_dir}/customer.parquet"), "c_custkey", CONTEXT, "bernoulli")
+    return u.groupBy("world").agg(F.count(F.lit(1)).alias("units"), F.sum("unit").alias("keys"))
+
+
+_add("bernoulli_units", bernoulli_units, f"SELECT CAST(j AS INT) AS world, count(*) AS units, CAST(sum(c_custkey) AS BIGINT) AS keys FROM customer, (SELECT unnest(range(64)) AS j) w WHERE {tpch.uniform_sql('sample', ('c_custkey', 'j'))} < 0.5 GROUP BY j")
+
+
+def resampled(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Parts that a run keeps by a filter on its own average, drawn from the union of the runs; a part may come twice."""
+    keep = lambda d: d.groupBy("l_partkey", "world").agg(F.avg("l_quantity").alias("q")).where("q > 25").select("l_partkey", "world")
+    samples = B.sample_units(spark.read.parquet(f"{sf_dir}/customer.parquet"), "c_custkey", CONTEXT)
+    runs = B.multi_run(lines(spark, sf_dir).select("o_custkey", "l_partkey", "l_quantity"), "o_custkey", keep, samples, mode="explode")
+    return B.resample_rows(runs, ["l_partkey"], CONTEXT)
+
+
+_add("multi_run_resampled", resampled, f"WITH {LINES} SELECT l_partkey FROM (SELECT l_partkey, j FROM li GROUP BY ALL HAVING avg(l_quantity) > 25) t WHERE {tpch.uniform_sql('resample', ('l_partkey', 'j'))} < 1 / 64.0")
+
+
+def ratio_noise_each(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The baseline of lifting: sum and count are released each, and then divided."""
+    v = lines(spark, sf_dir).groupBy("l_returnflag").agg(A.scaled(A.world_sum("mask", "cents"), CONTEXT).alias("total"), A.scaled(A.world_count("mask"), CONTEXT).alias("n"))
+    return B.noise_each(v, ["l_returnflag"], CONTEXT, ["total", "n"], lambda a, b: F.round(a / b, 3), "ratio")
+
+
+_EACH = ", ".join(f"max(CASE WHEN j = {CONTEXT.secret_world} THEN {c} END) + sqrt(var_pop({c}) / {2 * CONTEXT.mi}) * {tpch.gaussian_sql(c, ('l_returnflag',))} AS {c}" for c in ("total", "n"))
+_add("ratio_noise_each", ratio_noise_each, f"WITH {LINES}, v AS (SELECT l_returnflag, j, 2.0 * sum({CENTS}) AS total, 2.0 * count(*) AS n FROM li GROUP BY ALL) SELECT l_returnflag, round(total / n, 3) AS ratio FROM (SELECT l_returnflag, {_EACH} FROM v GROUP BY l_returnflag) z")
+
+
+def laplace_pricing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quantities by flag with Laplace noise, each customer's part clipped to 500."""
+    r = B.laplace_sums(lines(spark, sf_dir), ["l_returnflag"], "o_custkey", "l_quantity", 500, 0.5, CONTEXT)
+    return r.withColumn("total", F.round("total", 4))
+
+
+_U = tpch.uniform_sql("laplace:total", ("l_returnflag",))
+_add("laplace_pricing", laplace_pricing, f"SELECT l_returnflag, round(total - sign({_U} - 0.5) * ln(1 - 2 * abs({_U} - 0.5)) * 1000, 4) AS total FROM (SELECT l_returnflag, sum(greatest(least(part, 500), -500)) AS total FROM (SELECT l_returnflag, o_custkey, coalesce(sum(l_quantity), 0) AS part FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_custkey IS NOT NULL GROUP BY ALL) p GROUP BY ALL) t")
+
+
 def unit_joins_only(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = tpch.session(spark, sf_dir).with_unit_joins("SELECT l_returnflag, count(*) AS n, sum(l_quantity) AS q FROM lineitem GROUP BY l_returnflag")
     return d
@@ -321,6 +417,13 @@ _add("utility_pricing", utility_pricing, f"""WITH {LINES}, p AS ({_CELLS}), e AS
 d AS (SELECT e.n IS NOT NULL AS ine, p.l_returnflag IS NOT NULL AS inp, [{_OFF}] AS off FROM e FULL JOIN p ON e.l_returnflag IS NOT DISTINCT FROM p.l_returnflag AND e.l_linestatus IS NOT DISTINCT FROM p.l_linestatus)
 SELECT round(sum(list_sum(off)) FILTER (ine AND inp) / sum(list_count(off)) FILTER (ine AND inp), 5) AS utility, sum(CAST(ine AND inp AS INT)) / sum(CAST(ine AS INT)) AS recall,
 sum(CAST(ine AND inp AS INT)) / sum(CAST(inp AS INT)) AS precision, CAST(sum(CASE WHEN ine AND inp THEN 3 - list_count(off) ELSE 0 END) AS BIGINT) AS skipped_cells FROM d""")
+def predicted_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The percentage error that each released count is to be expected to have, before anything is released."""
+    v = lines(spark, sf_dir).groupBy("l_suppkey").agg(A.scaled(A.world_count("mask"), CONTEXT).alias("n"))
+    return v.select("l_suppkey", F.round(U.predicted_percent("n", CONTEXT.mi), 6).alias("percent"))
+
+
+_add("predicted_errors", predicted_errors, f"WITH {LINES} SELECT l_suppkey, round(100 * sqrt(2 / pi() * (sum(n * n) / 64.0 - (sum(n) / 64.0) * (sum(n) / 64.0)) * {1 + 1 / (2 * CONTEXT.mi)}) / abs(sum(n) / 64.0), 6) AS percent FROM (SELECT l_suppkey, j, 2.0::DOUBLE * count(*) AS n FROM li GROUP BY ALL) t GROUP BY ALL")
 _add("utility_runs", lambda spark, d: experiments.utility_runs(spark, d, "SELECT o_orderpriority, count(*) AS n, avg(o_totalprice) AS a FROM orders GROUP BY o_orderpriority", ["o_orderpriority"], 30))
 _add("mia_attacks", partial(experiments.attacks, runs=400))
 _add("vec_sum_auto", partial(vec, fn="sum", group="flag", strategy="auto"), vec_sql("sum", "flag"))
@@ -332,6 +435,9 @@ _add("ablation_count", lambda spark, d: experiments.ablation(spark, "count", 100
 _add("ablation_max", lambda spark, d: experiments.ablation(spark, "max", 100_000, (0, 1000), "increasing"))
 _add("type_costs", lambda spark, d: experiments.type_costs(spark, 100_000))
 _add("worlds_compared", experiments.worlds_compared)
+_add("run_times", experiments.run_times)
+_add("log_run_times", experiments.log_run_times)
+_add("storm_times", experiments.storm_times)
 
 
 # ---- workloads
