@@ -226,8 +226,8 @@ def lines(n=120):
 def test_boilerplate_goes_and_all_else_stays(spark):
     texts = lines()
     sources = [["a", "b", None][i % 3] for i in range(len(texts))]
-    for limit in (200_000, 0):  # broadcast and shuffled
-        got = linededup.dedup(docs(spark, texts, sources=sources), broadcast_rows=limit).toPandas().set_index("doc_id")
+    for limit, pages in ((200_000, 1), (0, 50_000), (0, 7)):  # broadcast, shuffled, and shuffled with hosts in parts
+        got = linededup.dedup(docs(spark, texts, sources=sources), broadcast_rows=limit, part_pages=pages).toPandas().set_index("doc_id")
         assert len(got) == len(texts)
         for i, t in enumerate(texts):
             if t is None:
@@ -238,7 +238,7 @@ def test_boilerplate_goes_and_all_else_stays(spark):
             keep = [x for x in t.split("\n") if not x.strip(" ") or not (on(x) >= linededup.LEAST and on(x) / len(host) > linededup.RATIO)]
             assert got.text[i] == "\n".join(keep) and got.n_lines[i] - got.n_dropped[i] == len(keep)
     assert got.n_dropped.sum() > 60
-    assert linededup.dedup(docs(spark, [])).count() == 0
+    assert linededup.dedup(docs(spark, [])).count() == 0 and linededup.dedup(docs(spark, []), broadcast_rows=-1).count() == 0
 
 
 def test_line_dedup_equals_sql(spark):
@@ -449,10 +449,13 @@ def test_a_text_cut_into_parts_has_the_pairs_of_the_whole():
 
 def test_lines_keep_columns_of_any_name(spark):
     df = docs(spark, [f"same line\nown {i}" for i in range(30)] + [None]).withColumns({"__bad": F.lit(1), "__host": F.lit("h"), "host": F.lit(2), "bad": F.lit(3), "_bad": F.lit(4), "clean": F.lit(5), "n_lines": F.lit(-1), "n_dropped": F.lit("x")})
-    got = linededup.dedup(df).collect()
-    assert set(linededup.dedup(df).columns) == set(df.columns) and len(got) == 31
-    assert all((r["__bad"], r["__host"], r["host"], r["bad"], r["_bad"], r["clean"]) == (1, "h", 2, 3, 4, 5) for r in got)
-    assert all(r["text"] is None or "same" not in r["text"] and r["n_lines"] == 2 and r["n_dropped"] == 1 for r in got)
+    df = df.withColumns({"part": F.lit(6), "parts": F.lit(7), "copy": F.lit(8), "far": F.lit(9), "by": F.create_map(F.lit("k"), F.lit(1))})
+    for limit in (200_000, 0):
+        found = linededup.dedup(df, broadcast_rows=limit, part_pages=4)
+        got = found.collect()
+        assert set(found.columns) == set(df.columns) and len(got) == 31
+        assert all(tuple(r[c] for c in ("__bad", "__host", "host", "bad", "_bad", "clean", "part", "parts", "copy", "far")) == (1, "h", 2, 3, 4, 5, 6, 7, 8, 9) for r in got)
+        assert all(r["text"] is None or "same" not in r["text"] and r["n_lines"] == 2 and r["n_dropped"] == 1 for r in got)
 
 
 def test_forged_sizes_are_errors_not_crashes(spark):

@@ -11,6 +11,8 @@ from worldfold.llm.common import cut, documents
 RATIO, LEAST = 0.02, 4
 #: Boilerplate lines that are sent to every executor; more than that are joined by shuffle.
 BROADCAST_ROWS = 200_000
+#: In a shuffle by host a host is dealt into parts of so many pages, or of a thousandth of all pages where that is more.
+PART_PAGES = 50_000
 
 
 def lines_of(text: Column) -> Column:
@@ -43,18 +45,40 @@ def _free(docs: DataFrame, name: str) -> str:
     return name
 
 
-def dedup(docs: DataFrame, host: str = "source", text: str = "text", ratio: float = RATIO, least: int = LEAST, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def _dealt(docs: DataFrame, by_host: DataFrame, host: str, own: str, part: str, copy: str, part_pages: int) -> tuple[DataFrame, DataFrame]:
+    """``docs`` with a column ``part`` and ``by_host`` with ``copy``, to be joined by host and these two.
+
+    Pages of a large host are dealt by a hash of the row, and the host's lines stand once in each of its parts. Large
+    hosts have over a thousandth of all pages each, so they are under 1,000 and can be broadcast; rows that are equal in all
+    columns share a part.
+    """
+    far, parts = _free(docs, "far"), _free(docs, "parts")
+    pages = cut(docs.groupBy(F.col(host).alias(far)).agg(F.count("*").alias(parts)))
+    each = max(part_pages, -(-(pages.agg(F.sum(parts)).first()[0] or 0) // 1000))
+    large = F.broadcast(pages.where(F.col(parts) > each).withColumn(parts, F.ceil(F.col(parts) / each).cast("int")))
+    whole = [F.col(f"`{f.name}`") for f in docs.schema.fields if not any(x in f.dataType.simpleString() for x in ("map<", "variant"))]
+    many = F.coalesce(F.col(parts), F.lit(1))
+    rows = docs.join(large, F.col(host).eqNullSafe(F.col(far)), "left").withColumn(part, F.pmod(F.xxhash64(*whole), many).cast("int")).drop(far, parts)
+    lines = by_host.join(large, F.col(own).eqNullSafe(F.col(far)), "left").withColumn(copy, F.explode(F.sequence(F.lit(0), many - 1))).drop(far, parts)
+    return rows, lines
+
+
+def dedup(docs: DataFrame, host: str = "source", text: str = "text", ratio: float = RATIO, least: int = LEAST, broadcast_rows: int = BROADCAST_ROWS, part_pages: int = PART_PAGES) -> DataFrame:
     """``docs`` with boilerplate lines taken out of ``text``, and n_lines, n_dropped.
 
     Columns of these two names are replaced, all others are kept. Blank lines stay. Null text stays null; its counts are 0. A null host is a host. A document that is all boilerplate is left with
     empty text. Repeated rows count as pages of their own. Rows come out one for one; an empty table gives none.
+    Up to ``broadcast_rows`` boilerplate lines texts stay where they are; beyond, they are shuffled by host and part.
     """
     found = cut(boilerplate(docs, host, text, ratio, least))
-    own, bad, new = (_free(docs, x) for x in ("host", "bad", "clean"))
+    own, bad, new, part, copy = (_free(docs, x) for x in ("host", "bad", "clean", "part", "copy"))
     by_host = found.groupBy("host").agg(F.collect_set("line").alias(bad)).withColumnRenamed("host", own)
+    same = F.col(host).eqNullSafe(F.col(own))
     if found.count() <= broadcast_rows:
-        by_host = F.broadcast(by_host)
-    out = docs.join(by_host, F.col(host).eqNullSafe(F.col(own)), "left").drop(own)
+        out = docs.join(F.broadcast(by_host), same, "left").drop(own)
+    else:
+        rows, lines = _dealt(docs, by_host, host, own, part, copy, part_pages)
+        out = rows.join(lines, same & (F.col(part) == F.col(copy)), "left").drop(own, part, copy)
     all_ = lines_of(F.col(text))
     good = F.filter(all_, lambda x: ~F.array_contains(bad, mark(x)))
     clean = F.when(F.col(text).isNull() | F.col(bad).isNull(), F.col(text)).otherwise(F.array_join(good, "\n"))
