@@ -29,6 +29,22 @@ def test_samplers(spark, sampler):
     assert set(n) == {32} if sampler != "bernoulli" else 28 < sum(n) / 300 < 36
 
 
+@pytest.mark.parametrize("query", ["multi_run_explode"])
+def test_one_job_repeats_rows_behind_the_join(spark, sf, query):
+    """Repeated samples below a join are broadcast by the size of the table they come from, which the driver does not hold."""
+    plan = registry.QUERIES[query](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert 0 <= plan.index("Generate explode") < plan.index("Join Inner")
+    assert "rightHint=(strategy=merge)" in plan
+
+
+def test_samples_as_masks_are_the_samples(spark):
+    units = spark.range(50).withColumnRenamed("id", "u")
+    rows = units.select(F.col("u").alias("k"), (F.col("u") % 3).alias("g"))
+    each = lambda d: d.groupBy("g", "world").count()
+    got = [sorted(tuple(r) for r in B.multi_run(rows, "k", each, s, mode="explode", keys=k).collect()) for s, k in ((B.sample_units(units, "u", CONTEXT), ()), (B.sample_masks(units, "u", CONTEXT), ("g",)))]
+    assert got[0] == got[1] and sum(n for *_, n in got[0]) == 50 * 32
+
+
 def test_absent_worlds_keep_their_place(spark):
     rows = spark.createDataFrame([("a", 1, 5), ("a", 3, 7)], "g string, world int, v int")
     v = B.collect_worlds(rows, ["g"], ["v"], 4).collect()[0]["v"]
