@@ -29,7 +29,7 @@ def test_samplers(spark, sampler):
     assert set(n) == {32} if sampler != "bernoulli" else 28 < sum(n) / 300 < 36
 
 
-@pytest.mark.parametrize("query", ["multi_run_explode", "multi_run_released"])
+@pytest.mark.parametrize("query", ["multi_run_explode", "multi_run_released", "multi_run_resampled"])
 def test_one_job_repeats_rows_behind_the_join(spark, sf, query):
     """Repeated samples below a join are broadcast by the size of the table they come from, which the driver does not hold."""
     plan = registry.QUERIES[query](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
