@@ -17,7 +17,7 @@ def reads(spark, name, sf, table):
     return rows
 
 
-@pytest.mark.parametrize("name,rows", [("ablation_count", 14), ("ablation_max", 6), ("ablation_sum", 20)])
+@pytest.mark.parametrize("name,rows", [("ablation_count", 14), ("ablation_max", 6), ("ablation_sum", 20), ("type_costs", 7)])
 def test_costs_are_of_events(spark, sf, name, rows):
     assert len(reads(spark, name, sf, "events")) == rows
 
