@@ -29,3 +29,17 @@ def test_given_rows_are_all_events(spark, sf):
         assert df.count() == e.count() == df.where("pk is not null and v is not null").count() and df.select("g").distinct().count() == 10
     v = [r["v"] for r in distributions.given(spark, sf, 0, "increasing").collect()]
     assert v == sorted(v)
+
+
+@pytest.mark.parametrize("name", ["attack_bounds"])
+def test_bounds_are_of_customers_priors(spark, sf, name):
+    from worldfold.context import attack_bound, budget_for
+
+    rows = reads(spark, name, sf, "customer")
+    units = {r["prior"]: r["units"] for r in rows}
+    assert name == "success_budgets" or sum(units.values()) == spark.read.parquet(f"{sf}/customer.parquet").count()
+    for r in rows:
+        if name == "attack_bounds":
+            assert r["success"] == pytest.approx(attack_bound(1 / r["one_over_mi"], r["prior"]), abs=6e-5)
+        else:
+            assert r["mi"] == pytest.approx(budget_for(r["success"], r["prior"]), abs=1e-9)
