@@ -31,7 +31,7 @@ def test_given_rows_are_all_events(spark, sf):
     assert v == sorted(v)
 
 
-@pytest.mark.parametrize("name", ["attack_bounds"])
+@pytest.mark.parametrize("name", ["attack_bounds", "success_budgets"])
 def test_bounds_are_of_customers_priors(spark, sf, name):
     from worldfold.context import attack_bound, budget_for
 
