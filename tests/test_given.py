@@ -43,3 +43,16 @@ def test_bounds_are_of_customers_priors(spark, sf, name):
             assert r["success"] == pytest.approx(attack_bound(1 / r["one_over_mi"], r["prior"]), abs=6e-5)
         else:
             assert r["mi"] == pytest.approx(budget_for(r["success"], r["prior"]), abs=1e-9)
+
+
+def test_approximate_sums_are_of_events(spark, sf):
+    rows = {r["distribution"]: r for r in reads(spark, "approx_sum_study", sf, "events")}
+    assert set(rows) == set(distributions.NAMES)
+    for k, r in rows.items():
+        if k == "negative_mixed":
+            assert r["single_percent"] > r["two_percent"]
+        else:
+            assert r["two_percent"] < 100 * (2**-8 + 8 * 2**-12)
+    df = distributions.shaped(spark, sf)
+    n = spark.read.parquet(f"{sf}/events.parquet").count()
+    assert {r["distribution"]: r["count"] for r in df.where("v is not null and mask is not null").groupBy("distribution").count().collect()} == dict.fromkeys(distributions.NAMES, n)
