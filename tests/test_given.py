@@ -56,3 +56,19 @@ def test_approximate_sums_are_of_events(spark, sf):
     df = distributions.shaped(spark, sf)
     n = spark.read.parquet(f"{sf}/events.parquet").count()
     assert {r["distribution"]: r["count"] for r in df.where("v is not null and mask is not null").groupBy("distribution").count().collect()} == dict.fromkeys(distributions.NAMES, n)
+
+
+def test_ways_to_the_unit_are_followed_by_rows(spark, sf):
+    got = {r["name"]: (r["hops"], r["n"], r["owned"]) for r in reads(spark, "unit_paths", sf, "lineitem")}
+    n = {t: spark.read.parquet(f"{sf}/{t}.parquet").count() for t in got}
+    assert got == {"customer": (0, n["customer"], n["customer"]), "orders": (1, n["orders"], n["orders"]), "lineitem": (2, n["lineitem"], n["lineitem"]), "part": (None, n["part"], 0)}
+
+
+def test_rows_without_a_unit_are_not_owned(spark):
+    from worldfold.sources.catalog import UnitCatalog
+
+    for t, rows in {"u": [(1,), (2,), (None,)], "a": [(10, 1), (11, 1), (12, None), (13, 9)], "b": [(10,), (10,), (13,), (14,), (None,)]}.items():
+        spark.createDataFrame(rows, {"u": "id int", "a": "k int, u int", "b": "a int"}[t]).createOrReplaceTempView(f"owned_{t}")
+    c = UnitCatalog().execute("DECLARE UNIT owned_u KEY (id); DECLARE LINK owned_a (u) TO owned_u (id); DECLARE LINK owned_b (a) TO owned_a (k)")
+    assert [c.owned(spark, f"owned_{t}").count() for t in "uab"] == [2, 2, 2]
+    assert c.owned(spark, "other") is None
