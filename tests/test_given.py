@@ -72,3 +72,30 @@ def test_rows_without_a_unit_are_not_owned(spark):
     c = UnitCatalog().execute("DECLARE UNIT owned_u KEY (id); DECLARE LINK owned_a (u) TO owned_u (id); DECLARE LINK owned_b (a) TO owned_a (k)")
     assert [c.owned(spark, f"owned_{t}").count() for t in "uab"] == [2, 2, 2]
     assert c.owned(spark, "other") is None
+
+
+def test_a_run_that_is_refused_is_a_verdict(spark):
+    from worldfold.plans.session import PrivateSession
+    from worldfold.sources.catalog import UnitCatalog
+
+    spark.range(300).selectExpr("id % 50 AS u", "CASE WHEN id % 50 = 7 THEN 'own' ELSE 'shared' END AS g", "id AS v").createOrReplaceTempView("tried_few")
+    spark.sql("SELECT * FROM tried_few UNION ALL SELECT 7, 'own', id FROM range(100)").createOrReplaceTempView("tried")
+    s = PrivateSession(spark, UnitCatalog().declare_unit("tried", "u", ["u"]))
+    sql = "SELECT g, sum(v) AS s FROM tried GROUP BY g"
+    few = PrivateSession(spark, UnitCatalog().declare_unit("tried_few", "u", ["u"]))
+    assert s.classify(sql).kind == few.classify(sql.replace("tried", "tried_few")).kind == few.tried(sql.replace("tried", "tried_few")).kind == "rewrite"
+    assert (s.tried(sql).kind, s.tried(sql).reason) == ("reject", "SINGLE_UNIT")
+    got = s.all_tried([sql, "SELECT u FROM tried", "SELECT sum(v) AS s FROM tried", sql])
+    assert [v.kind for v in got] == ["reject", "reject", "rewrite", "reject"] and s.ledger.spent == 0
+    with pytest.raises(Exception, match="DIVIDE_BY_ZERO"):
+        PrivateSession(spark, UnitCatalog()).tried("SELECT 1 / (v - v) AS x FROM tried")
+
+
+@pytest.mark.parametrize("name", ["hits_verdicts"])
+def test_verdicts_come_of_runs(spark, sf, name, monkeypatch):
+    from worldfold.plans.session import PrivateSession
+
+    seen, real = [], PrivateSession.rewrite
+    monkeypatch.setattr(PrivateSession, "rewrite", lambda self, sql, *a: (seen.append(sql), real(self, sql, *a))[1])
+    rows = registry.QUERIES[name](spark, sf).collect()
+    assert len(seen) == len(set(seen)) == sum(r["verdict"] != "reject" for r in rows) > 15
