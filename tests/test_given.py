@@ -91,7 +91,7 @@ def test_a_run_that_is_refused_is_a_verdict(spark):
         PrivateSession(spark, UnitCatalog()).tried("SELECT 1 / (v - v) AS x FROM tried")
 
 
-@pytest.mark.parametrize("name", ["hits_verdicts"])
+@pytest.mark.parametrize("name", ["hits_verdicts", "tpch_verdicts"])
 def test_verdicts_come_of_runs(spark, sf, name, monkeypatch):
     from worldfold.plans.session import PrivateSession
 
