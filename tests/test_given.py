@@ -99,3 +99,14 @@ def test_verdicts_come_of_runs(spark, sf, name, monkeypatch):
     monkeypatch.setattr(PrivateSession, "rewrite", lambda self, sql, *a: (seen.append(sql), real(self, sql, *a))[1])
     rows = registry.QUERIES[name](spark, sf).collect()
     assert len(seen) == len(set(seen)) == sum(r["verdict"] != "reject" for r in rows) > 15
+
+
+def test_generated_queries_are_run(spark, sf, monkeypatch):
+    from worldfold.plans.session import PrivateSession
+    from worldfold.workloads import storm
+
+    seen, real = [], PrivateSession.rewrite
+    monkeypatch.setattr(PrivateSession, "rewrite", lambda self, sql, *a: (seen.append(sql), real(self, sql, *a))[1])
+    rows = registry.QUERIES["storm_coverage"](spark, sf).collect()
+    assert sum(r["queries"] for r in rows) == 120
+    assert sorted(seen) == sorted({q for k, q in storm.generate(120) if k in ("rewrite", "pass")})
