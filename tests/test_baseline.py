@@ -45,6 +45,22 @@ def test_samples_as_masks_are_the_samples(spark):
     assert got[0] == got[1] and sum(n for *_, n in got[0]) == 50 * 32
 
 
+def test_loop_leaves_the_driver_no_plan_of_all_runs(spark, sf):
+    """64 runs in one plan, or a broadcast sample for each, is more than the driver holds beside the queries that follow."""
+    runs = registry.QUERIES["multi_run_loop"](spark, sf)
+    plan = runs._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join" not in plan and "Aggregate" not in plan
+    assert sorted(tuple(r) for r in runs.collect()) == sorted(tuple(r) for r in registry.QUERIES["multi_run_explode"](spark, sf).collect())
+
+
+def test_loop_takes_both_forms_of_samples(spark):
+    units = spark.range(50).withColumnRenamed("id", "u")
+    rows = units.select(F.col("u").alias("k"), (F.col("u") % 3).alias("g"))
+    count = lambda d: d.groupBy("g").count()
+    got = [sorted(tuple(r) for r in B.multi_run(rows, "k", count, s, worlds=8).collect()) for s in (B.sample_units(units, "u", CONTEXT), B.sample_masks(units, "u", CONTEXT))]
+    assert got[0] == got[1] and len(got[0]) == 3 * 8
+
+
 def test_absent_worlds_keep_their_place(spark):
     rows = spark.createDataFrame([("a", 1, 5), ("a", 3, 7)], "g string, world int, v int")
     v = B.collect_worlds(rows, ["g"], ["v"], 4).collect()[0]["v"]
